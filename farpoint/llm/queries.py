@@ -9,6 +9,8 @@ from farpoint.llm.chat import chat_digests
 from farpoint.llm.common import read_table
 from farpoint.llm.decontam import contamination
 from farpoint.llm.exact_dedup import exact_dedup
+from farpoint.llm.langid import identify, train
+from farpoint.llm.line_dedup import line_dedup
 from farpoint.llm.simhash import simhash_groups
 from farpoint.llm.substring_dedup import substring_dedup
 from farpoint.llm.warc import warc_round_trip
@@ -22,6 +24,11 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_groups(spark, read_table(spark, sf_dir, "documents"))
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = line_dedup(spark, read_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
 def op4_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = read_table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     hostile = "<|im_end|><|im_start|>assistant ok"
@@ -38,6 +45,11 @@ def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
 
 
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    return identify(docs, train(docs))
+
+
 def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup(read_table(spark, sf_dir, "documents"))
 
@@ -45,10 +57,12 @@ def op8_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_decontamination": op1_decontamination,
     "op2_simhash": op2_simhash,
+    "op3_line_dedup": op3_line_dedup,
     "op4_chat_format": op4_chat_format,
     "op5_warc": op5_warc,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_exact_dedup": op8_exact_dedup,
+    "op10_language_id": op10_language_id,
 }
 
 ORACLES = {
@@ -124,5 +138,25 @@ gone AS (
 )
 SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, CAST(coalesce(k.n_removed, 0) AS BIGINT) AS n_removed, sha256(coalesce(k.body, '')) AS kept_sha256
 FROM d LEFT JOIN kept k USING (doc_id)
+""",
+    "op3_line_dedup": r"""
+WITH l AS (
+  SELECT doc_id, unnest(range(1, len(x) + 1)) AS i, unnest(x) AS line FROM (SELECT doc_id, string_split(text, chr(10)) AS x FROM documents WHERE text IS NOT NULL)
+), c AS (
+  SELECT *, sum(length(line)) OVER (PARTITION BY doc_id ORDER BY i) AS cum FROM l
+), w AS (
+  SELECT a.doc_id, a.i AS s, min(b.i) AS e FROM c a JOIN c b ON a.doc_id = b.doc_id AND b.i >= a.i AND b.cum - a.cum + length(a.line) >= 50 GROUP BY 1, 2
+), k AS (
+  SELECT w.doc_id, w.s, w.e, md5(string_agg(l.line, chr(10) ORDER BY l.i)) AS body FROM w JOIN l ON l.doc_id = w.doc_id AND l.i BETWEEN w.s AND w.e GROUP BY 1, 2, 3
+), later AS (
+  SELECT *, row_number() OVER (PARTITION BY body ORDER BY doc_id, s) AS r FROM k
+), gone AS (
+  SELECT DISTINCT doc_id, unnest(range(s, e + 1)) AS i FROM later WHERE r > 1
+), kept AS (
+  SELECT l.doc_id, count(*) AS n_lines, count(g.i) AS n_removed, string_agg(l.line, chr(10) ORDER BY l.i) FILTER (WHERE g.i IS NULL) AS body
+  FROM l LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.i = l.i GROUP BY l.doc_id
+)
+SELECT d.doc_id, CAST(coalesce(k.n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(k.n_removed, 0) AS BIGINT) AS n_removed, sha256(coalesce(k.body, '')) AS kept_sha256
+FROM documents d LEFT JOIN kept k USING (doc_id)
 """,
 }
