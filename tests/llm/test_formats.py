@@ -28,6 +28,23 @@ def test_spans_and_rewriting_template():
     assert not appends and [x[s[0][3] : s[0][4]] for x, s in examples] == ["one", "two"]
 
 
+def test_long_conversations_are_linear_and_checked():
+    rng = random.Random(2)
+    turns = [(rng.choice(["user", "assistant"]), rng.choice(["<|", "a", "", "long " * 9])) for _ in range(150)]
+    for template in (chat.marked_template, lambda t: "<s>" + chat.marked_template(t)):
+        got = chat.locate(template, turns, context=4)
+        assert got == chat.locate(template, turns, context=1000) and got[0]
+        assert got[1][0][0] == template(turns)
+
+    def forgets_far(turns):
+        return chat.marked_template(turns[-40:])
+
+    assert chat.locate(forgets_far, turns, context=4) == chat.locate(forgets_far, turns, context=1000)
+    assert not chat.locate(forgets_far, turns, context=4)[0]
+    a, b = "x" * 1000 + "ab", "x" * 1000 + "ba"
+    assert chat.common(a, b) == 1000 and chat.common(a, a[:5]) == 5 and chat.common("", a) == 0 and chat.common("q", a) == 0
+
+
 def test_chat_edge_rows(spark):
     rows = [(1, 2, "assistant", None, 9), (1, 1, None, "q", 9), (None, 1, "assistant", "x<|y", 9), (2, 1, "assistant", "a", 9), (2, 1, "assistant", "a", 9), (3, 0, "user\nassistant", "t" * 100_000, 9)]
     frame = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, turns int")
