@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 #: White space of the text contracts, as a Java regular expression.
 SPACE_RUN = r"[\x20\x09-\x0D]+"
 
+FREE_SHUFFLES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 _own: dict[str, str] = {}
 
 
@@ -52,7 +54,12 @@ class Staging:
 
     def keep(self, df: DataFrame, table: str, codec: str = "zstd") -> DataFrame:
         path = self.path(table)
-        df.write.option("compression", codec).parquet(path)
+        before = self.spark.conf.get(FREE_SHUFFLES, "false")
+        self.spark.conf.set(FREE_SHUFFLES, "true")  # the written table takes the place of the shuffle files
+        try:
+            df.write.option("compression", codec).parquet(path)
+        finally:
+            self.spark.conf.set(FREE_SHUFFLES, before)
         kept = self.spark.read.schema(df.schema).parquet(path)
         kept.staged_path = path
         return kept

@@ -13,6 +13,7 @@ from farpoint.llm.langid import identify, train
 from farpoint.llm.line_dedup import line_dedup
 from farpoint.llm.simhash import simhash_groups
 from farpoint.llm.substring_dedup import substring_dedup
+from farpoint.llm.token_shards import shard_round_trip
 from farpoint.llm.warc import warc_round_trip
 
 
@@ -40,6 +41,10 @@ def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc_round_trip(spark, read_table(spark, sf_dir, "pages"))
 
 
+def op6_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shard_round_trip(spark, read_table(spark, sf_dir, "documents"))
+
+
 def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = substring_dedup(spark, read_table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
@@ -60,6 +65,7 @@ QUERIES = {
     "op3_line_dedup": op3_line_dedup,
     "op4_chat_format": op4_chat_format,
     "op5_warc": op5_warc,
+    "op6_token_shards": op6_token_shards,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_exact_dedup": op8_exact_dedup,
     "op10_language_id": op10_language_id,
