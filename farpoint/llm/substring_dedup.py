@@ -231,6 +231,7 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_r
     """(doc_id, body_hash, spans): word ranges covered by a window that also starts elsewhere."""
     places = stage.keep(docs.mapInArrow(_scan, "part long, doc_id long, body_hash long, first int, last int"), "places")
     shared = places.groupBy("part").agg(F.count("*").alias("n")).where("n > 1").select("part", F.ceil(F.col("n") / group_rows).cast("int").alias("deals"))
+    shared = stage.keep(shared, "shared")  # written, so that both sides of the join are plain exchanges and a hot partition can be split
     deal = F.pmod(F.xxhash64("doc_id", "body_hash", "first"), F.col("deals")).cast("int")
     kept = places.join(shared, "part").select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
     per_doc = kept.groupBy("doc_id", "body_hash").agg(F.collect_set("s").alias("runs"))
@@ -242,7 +243,27 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_r
     split = found.where("node is not null")
     wide = split.groupBy("node").agg(F.sum("leaves").alias("all_leaves")).where("all_leaves > 1")
     spans = found.where("node is null").unionByName(split.where("leaves = 1").join(wide, "node", "left_semi").select(found.columns))
-    return stage.keep(spans.groupBy("doc_id", "body_hash").agg(F.collect_list(F.struct("begin", "stop")).alias("spans")), "spans")
+    per_doc = spans.groupBy("doc_id", "body_hash").agg(F.collect_list(F.struct("begin", "stop")).alias("spans"))
+    return stage.keep(per_doc.mapInArrow(_merge, "doc_id long, body_hash long, spans array<struct<begin:int,stop:int>>"), "spans")
+
+
+def merged(begin: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Overlapping and touching spans as one."""
+    order = np.argsort(begin, kind="stable")
+    begin, reach = begin[order], np.maximum.accumulate(stop[order])
+    new = np.flatnonzero(np.concatenate([[True], begin[1:] > reach[:-1]]))
+    return begin[new], reach[np.concatenate([new[1:], [len(begin)]]) - 1]
+
+
+def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        offsets = batch.column(2).offsets.to_numpy()
+        begin, stop = (c.to_numpy() for c in batch.column(2).values.flatten())
+        pairs = [merged(begin[a:b], stop[a:b]) for a, b in zip(offsets, offsets[1:], strict=False)]
+        cuts = pa.array(np.concatenate([[0], np.cumsum([len(b) for b, _ in pairs])]).astype(np.int32))
+        both = [np.concatenate([p[i] for p in pairs]) if pairs else np.empty(0, np.int32) for i in (0, 1)]
+        spans = pa.ListArray.from_arrays(cuts, pa.StructArray.from_arrays([pa.array(x.astype(np.int32)) for x in both], ["begin", "stop"]))
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), spans], names=["doc_id", "body_hash", "spans"])
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
