@@ -74,6 +74,13 @@ class Staging:
         where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def without_ids(stage: Staging, docs: DataFrame, gone: DataFrame, limit: int = 1_000_000) -> DataFrame:
+    """``docs`` without the ids in the one column of ``gone``; the texts are not moved while those are few."""
+    gone = stage.keep(gone.toDF("__gone").distinct(), "gone")
+    side = F.broadcast(gone) if gone.count() <= limit else gone
+    return docs.join(side, docs["doc_id"].eqNullSafe(side["__gone"]), "left_anti")
+
+
 def ascii_lower(col: Column) -> Column:
     """Lower-cases A-Z and nothing else."""
     return F.translate(col, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -82,11 +89,3 @@ def ascii_lower(col: Column) -> Column:
 def repeat_rows(df: DataFrame, count: str) -> DataFrame:
     """Each row ``count`` times, numbered from 1 in ``copy_no``."""
     return df.withColumn("copy_no", F.explode(F.sequence(F.lit(1).cast("long"), F.col(count)))).drop(count)
-
-
-def same_keys(left: DataFrame, right: DataFrame, keys: dict[str, str]) -> Column:
-    """Null-safe equality of ``left`` and ``right`` on the named columns."""
-    cond = F.lit(True)
-    for a, b in keys.items():
-        cond = cond & left[a].eqNullSafe(right[b])
-    return cond

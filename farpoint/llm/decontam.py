@@ -16,7 +16,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm.common import Staging, ascii_lower, repeat_rows
+from farpoint.llm.common import Staging, ascii_lower, repeat_rows, without_ids
 
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WINDOW = 13
@@ -100,5 +100,5 @@ def find_windows(base: DataFrame, prefixes: DataFrame) -> DataFrame:
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Documents that the rule clears, all columns."""
-    bad = contamination(spark, docs, benchmark).where("contaminated").select(F.col("doc_id").alias("__bad_id")).distinct()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["__bad_id"]), "left_anti")
+    bad = contamination(spark, docs, benchmark).where("contaminated").select("doc_id")
+    return without_ids(Staging(spark, "clean"), docs, bad)

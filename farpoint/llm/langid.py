@@ -139,45 +139,70 @@ def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, seed: int = 0) -> Byt
     return net
 
 
-def _predict(net: ByteNet | None):
+class Predictor:
+    """Languages and scores of a batch of texts."""
+
+    def __init__(self, net: ByteNet | None):
+        self.net, self.run = net, net.predictor() if net else None
+
+    def __call__(self, texts: pa.Array) -> tuple[list[str], np.ndarray]:
+        net, n_texts = self.net, len(texts)
+        total = np.zeros((n_texts, len(net.classes) if net else 1))
+        size, letters = np.zeros(n_texts), np.zeros(n_texts, bool)
+        held, owner, weight, n = [], [], [], 0
+
+        def flush():
+            x, who, w = np.concatenate(held), np.concatenate(owner), np.concatenate(weight)
+            for lo in range(0, len(x), CHUNK):
+                np.add.at(total, who[lo : lo + CHUNK], self.run(x[lo : lo + CHUNK]) * w[lo : lo + CHUNK, None])
+
+        for i, text in enumerate(texts):
+            text = text.as_py() or ""
+            if net is None or not any(map(str.isalpha, text)):
+                continue
+            data = text.encode("utf-8", "surrogatepass")
+            letters[i], size[i] = True, len(data)
+            x = windows_of(data)
+            held.append(x)
+            owner.append(np.full(len(x), i))
+            w = np.full(len(x), float(LENGTH))
+            w[-1] = len(data) - LENGTH * (len(x) - 1)
+            weight.append(w)
+            n += len(x)
+            if n >= 4096:
+                flush()
+                held, owner, weight, n = [], [], [], 0
+        if n:
+            flush()
+        names = [net.classes[b] if ok else UNKNOWN for b, ok in zip(total.argmax(1).tolist(), letters.tolist(), strict=True)]
+        return names, np.clip(np.where(letters, total.max(1) / np.maximum(size, 1), 0.0), 0.0, 1.0)
+
+
+def _identify(net: ByteNet | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        predict = net.predictor() if net else None
+        predict = Predictor(net)
         for batch in batches:
-            total = np.zeros((batch.num_rows, len(net.classes) if net else 1))
-            size, letters = np.zeros(batch.num_rows), np.zeros(batch.num_rows, bool)
-            held, owner, weight, n = [], [], [], 0
-
-            def flush():
-                x, who, w = np.concatenate(held), np.concatenate(owner), np.concatenate(weight)
-                for lo in range(0, len(x), CHUNK):
-                    np.add.at(total, who[lo : lo + CHUNK], predict(x[lo : lo + CHUNK]) * w[lo : lo + CHUNK, None])
-
-            for i, text in enumerate(batch.column(1)):
-                text = text.as_py() or ""
-                if net is None or not any(map(str.isalpha, text)):
-                    continue
-                data = text.encode("utf-8", "surrogatepass")
-                letters[i], size[i] = True, len(data)
-                x = windows_of(data)
-                held.append(x)
-                owner.append(np.full(len(x), i))
-                w = np.full(len(x), float(LENGTH))
-                w[-1] = len(data) - LENGTH * (len(x) - 1)
-                weight.append(w)
-                n += len(x)
-                if n >= 4096:
-                    flush()
-                    held, owner, weight, n = [], [], [], 0
-            if n:
-                flush()
-            best = total.argmax(1)
-            names = [net.classes[b] if ok else UNKNOWN for b, ok in zip(best.tolist(), letters.tolist(), strict=True)]
-            score = np.clip(np.where(letters, total.max(1) / np.maximum(size, 1), 0.0), 0.0, 1.0)
+            names, score = predict(batch.column(1))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(names, pa.string()), pa.array(score)], names=["doc_id", "held_out", "lang_pred", "score"])
 
     return run
 
 
+def _keep(net: ByteNet | None, text_at: int, least: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        predict = Predictor(net)
+        for batch in batches:
+            names, score = predict(batch.column(text_at))
+            yield batch.filter(pa.array([n != UNKNOWN and s >= least for n, s in zip(names, score.tolist(), strict=True)], pa.bool_()))
+
+    return run
+
+
+def keep_identified(docs: DataFrame, net: ByteNet | None, least: float = 0.35) -> DataFrame:
+    """The documents with a language, all columns; those with no letter or a score below ``least`` go."""
+    return docs.mapInArrow(_keep(net, docs.columns.index("text"), least), docs.schema)
+
+
 def identify(docs: DataFrame, net: ByteNet | None) -> DataFrame:
     """One row per document: doc_id, held_out, lang_pred, score.
 
@@ -186,4 +211,4 @@ def identify(docs: DataFrame, net: ByteNet | None) -> DataFrame:
     text for held_out; other columns are ignored; repeated rows each get a row.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", held_out(F.col("doc_id")).alias("held_out"))
-    return rows.mapInArrow(_predict(net), "doc_id long, held_out boolean, lang_pred string, score double")
+    return rows.mapInArrow(_identify(net), "doc_id long, held_out boolean, lang_pred string, score double")

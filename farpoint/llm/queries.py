@@ -12,6 +12,7 @@ from farpoint.llm.exact_dedup import exact_dedup
 from farpoint.llm.langid import identify, train
 from farpoint.llm.line_dedup import line_dedup
 from farpoint.llm.simhash import simhash_groups
+from farpoint.llm.sp_sample import sampled_encodings
 from farpoint.llm.substring_dedup import substring_dedup
 from farpoint.llm.token_shards import shard_round_trip
 from farpoint.llm.warc import warc_round_trip
@@ -50,6 +51,10 @@ def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
 
 
+def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sampled_encodings(read_table(spark, sf_dir, "documents"))
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     return identify(docs, train(docs))
@@ -68,6 +73,7 @@ QUERIES = {
     "op6_token_shards": op6_token_shards,
     "op7_substring_dedup": op7_substring_dedup,
     "op8_exact_dedup": op8_exact_dedup,
+    "op9_sentencepiece": op9_sentencepiece,
     "op10_language_id": op10_language_id,
 }
 

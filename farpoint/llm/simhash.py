@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm.common import Staging
+from farpoint.llm.common import Staging, without_ids
 from farpoint.llm.components import connected_components
 
 SEED = 42
@@ -163,6 +163,9 @@ def simhash_groups(spark: SparkSession, docs: DataFrame, heavy: int = HEAVY) ->
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """One document of each group stays: that with the smallest id; ids are taken to be unique."""
-    keep = simhash_groups(spark, docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__keep_id")).distinct()
-    return docs.join(keep, docs["doc_id"].eqNullSafe(keep["__keep_id"]), "left_semi")
+    """One document of each group stays: that with the smallest id, once if its row is repeated."""
+    stage = Staging(spark, "near")
+    groups = stage.keep(simhash_groups(spark, docs).select("doc_id", "component_id"), "groups")
+    left = without_ids(stage, docs, groups.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id"))
+    repeated = groups.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
+    return left if repeated.isEmpty() else left.dropDuplicates(["doc_id"])
