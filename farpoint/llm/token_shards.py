@@ -12,7 +12,9 @@ from __future__ import annotations
 import base64
 import functools
 import hashlib
+import sys
 import uuid
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -74,10 +76,14 @@ def _sequences(path: str, length: int):
         rows: list[tuple] = []
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                ids = np.array([*encode(text.as_py() or ""), END_OF_TEXT], "<u2")
-                for chunk, at in enumerate(range(0, len(ids), length)):
-                    piece = ids[at : at + length]
-                    rows.append((part, number, doc, chunk, len(piece), press(piece.tobytes())))
+                ids = array("H", encode(text.as_py() or ""))
+                ids.append(END_OF_TEXT)
+                if sys.byteorder == "big":
+                    ids.byteswap()
+                data = ids.tobytes()
+                for chunk, at in enumerate(range(0, len(data), 2 * length)):
+                    piece = data[at : at + 2 * length]
+                    rows.append((part, number, doc, chunk, len(piece) // 2, press(piece)))
                     number += 1
                 if len(rows) >= 2000:
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
@@ -181,4 +187,5 @@ def shard_round_trip(spark: SparkSession, docs: DataFrame) -> DataFrame:
     stage = Staging(spark, "shards")
     index = write_shards(spark, docs, stage)
     back = read_shards(index, stage).select("slot", (F.octet_length("tokens") / 2).cast("int").alias("n_tokens"), F.sha2("tokens", 256).alias("tokens_sha256"))
-    return index.select("slot", "shard", "doc_id", "chunk").join(back, "slot").select("doc_id", "chunk", "n_tokens", "slot", "shard", "tokens_sha256")
+    # by merging: both sides have a row for each sequence
+    return index.select("slot", "shard", "doc_id", "chunk").hint("merge").join(back, "slot").select("doc_id", "chunk", "n_tokens", "slot", "shard", "tokens_sha256")
