@@ -195,13 +195,14 @@ def read_warc(spark: SparkSession, manifest: DataFrame, stage: Staging, block_by
     leaps = stage.keep(spread.select(root, "path", "start", "stop").mapInArrow(_candidates, "path string, at long, after long"), "leaps")
     entries = stage.keep(leaps.where("at = 0").select("path", "at"), "entries")
     known, jumps = entries.count(), leaps
+    every = leaps.select("path", "at").hint("merge")  # a row for each possible record: not to be broadcast
     while n_blocks > 1:
-        ahead = jumps.join(entries, ["path", "at"], "left_semi").select("path", F.col("after").alias("at")).join(leaps.select("path", "at"), ["path", "at"], "left_semi")
+        ahead = jumps.join(entries, ["path", "at"], "left_semi").select("path", F.col("after").alias("at")).join(every, ["path", "at"], "left_semi")
         entries = stage.keep(entries.unionByName(ahead).distinct(), "entries")
         if (now := entries.count()) == known:
             break
         known = now
-        far = jumps.select("path", F.col("at").alias("after"), F.col("after").alias("far"))
+        far = jumps.select("path", F.col("at").alias("after"), F.col("after").alias("far")).hint("merge")
         jumps = stage.keep(jumps.join(far, ["path", "after"], "left").select("path", "at", F.coalesce("far", "after").alias("after")), "jumps")
     place = F.expr(f"at - at % {block_bytes}")
     starts = entries.withColumn("start", place).join(blocks, ["path", "start"])
