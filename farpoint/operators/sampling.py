@@ -145,8 +145,10 @@ def pivot_sample(
     if sample is None:
         return PivotSample(rest, trace, False, params)
     out = sample.select("id", "coords", F.lit("S").alias("part"))
-    # under keep_equal a sampled point may be live still
-    out = out.unionByName(rest if tie_rule == "drop_equal" else rest.join(out.select("id"), "id", "left_anti").select("id", "coords", "part"))
+    if tie_rule != "drop_equal":  # a sampled point may be live still, and be drawn again
+        out = out.dropDuplicates(["id"])
+        rest = rest.join(out.select("id"), "id", "left_anti").select("id", "coords", "part")
+    out = out.unionByName(rest)
     return PivotSample(out, trace, True, params, size <= params.threshold)
 
 

@@ -484,3 +484,37 @@ register(
     "q_rollup_runs", lambda s, d: measures.rollup_runs(_runs(s, d)).select(F.coalesce("dataset", F.lit("all")).alias("dataset"), F.coalesce("alg", F.lit("all")).alias("alg"), "n_runs", F.round("mean_radius", 3).alias("mean_radius")),
     _runs_sql("SELECT coalesce(dataset, 'all') AS dataset, coalesce(alg, 'all') AS alg, count(*) AS n_runs, round(avg(radius), 3) AS mean_radius FROM runs GROUP BY ROLLUP (dataset, alg)"),
 )
+
+# ---- SQL, ML and streaming surfaces ----
+
+
+def _udtf(s: SparkSession, d: str) -> DataFrame:
+    from farpoint.functions.sql import register_sql
+
+    register_sql(s)
+    points_of(s, d, "orders_2d").select("id", "coords").createOrReplaceTempView("farpoint_orders_2d")
+    return picked(s.sql("SELECT * FROM k_center(TABLE(farpoint_orders_2d) WITH SINGLE PARTITION, 10)"))
+
+
+register("q_sql_udtf_orders", _udtf, O.farthest_first("orders_2d", 10))
+
+
+def _euclid(s: SparkSession, d: str) -> DataFrame:
+    from farpoint.functions.sql import register_sql
+
+    register_sql(s)
+    points_of(s, d, "nation_tiny").createOrReplaceTempView("farpoint_nation")
+    return s.sql("SELECT a.id AS a, b.id AS b, round(euclid(a.coords, b.coords), 9) AS distance, CAST(manhattan(a.coords, b.coords) AS BIGINT) AS blocks FROM farpoint_nation a JOIN farpoint_nation b ON a.id < b.id")
+
+
+register("q_sql_euclid_nation", _euclid, O.query([O.points_cte("nation_tiny")[0]], f"SELECT a.id AS a, b.id AS b, round(sqrt({O.squared('a', 'b', 2)}), 9) AS distance, CAST({O.manhattan('a', 'b', 2)} AS BIGINT) AS blocks FROM pts a JOIN pts b ON a.id < b.id"))
+
+
+def _ml(s: SparkSession, d: str) -> DataFrame:
+    from farpoint.operators.mlapi import KCenter
+
+    p = points_of(s, d, "customer_2d").select("id", "coords")
+    return KCenter(k=25, algorithm="farthest_first").fit(p).transform(p).groupBy("center_id").agg(F.count("*").alias("size"))
+
+
+register("q_ml_kcenter_customer", _ml, _with_centers("SELECT n.center_id AS center_id, count(*) AS size FROM assigned GROUP BY 1", "customer_2d", 25))
