@@ -55,10 +55,11 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, wi
     )
     wins = stage.keep(benchmark_windows(benchmark, window), "windows")
     tokens = wins.select(F.explode("win").alias("token")).distinct()
-    if wins.count() <= block_windows:
+    few = wins.count() <= block_windows  # then their words are few as well
+    if few:
         tokens = F.broadcast(tokens)
     counts = base.select(F.explode_outer(F.split("body", " ")).alias("token")).join(tokens, "token").groupBy("token").agg(F.count("*").alias("df"))
-    spread = wins.select("win", "items", F.posexplode("win").alias("at", "token")).join(counts, "token", "left")
+    spread = wins.select("win", "items", F.posexplode("win").alias("at", "token")).join(F.broadcast(counts) if few else counts, "token", "left")
     rarest = stage.keep(
         spread.groupBy("win").agg(F.min(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "token", "at")).alias("prefix"), F.first("items").alias("items"))
         .where("prefix.df > 0")  # a word that no document has
