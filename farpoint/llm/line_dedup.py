@@ -92,6 +92,7 @@ def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS) ->
     windows = stage.keep(windows, "windows")
     place = F.struct("doc_id", ROW, "pos")
     intervals = windows.groupBy("span", "head", "tail").agg(F.min(place).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+    intervals = stage.keep(intervals, "intervals")  # written, so that both sides of the join are plain exchanges and a hot interval can be split
     return windows.join(intervals, ["span", "head", "tail"]).where(place != F.col("first")).select(ROW, "pos", "span")
 
 
