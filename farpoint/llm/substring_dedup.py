@@ -27,7 +27,7 @@ from farpoint.llm.common import Staging
 WINDOW = 35
 GRAM = 8
 #: Stretches of a partition that one group takes; each has fewer than 2 * WINDOW words.
-GROUP_ROWS = 8000
+GROUP_ROWS = 2000
 #: Words refined at once; three ranks of 20 bits are packed into one integer.
 GROUP_WORDS = 1 << 20
 #: Words hashed at once.
