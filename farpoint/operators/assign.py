@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from farpoint.functions.distance import Metric, metric
@@ -36,7 +36,7 @@ def _nearest(sent, measure: str | Metric):
         for b in batches:
             if b.num_rows:
                 x = kernels.matrix(b.column("coords"))
-                which, key = kernels.nearest_product(x, centers) if metric(measure).name == "euclidean" and x.shape[1] >= 16 else kernels.nearest(x, centers, measure)
+                which, key = kernels.nearest(x, centers, measure)
                 yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(ids[which]), pa.array(key)], names=["id", "center_id", "key"])
 
     return run
@@ -121,3 +121,32 @@ def ball_join(points: DataFrame, centers: DataFrame, radius: float) -> DataFrame
     p = points.select("id", "coords", cell(F.col("coords")[0]).alias("gx"), cell(F.col("coords")[1]).alias("gy"))
     key = F.aggregate(F.zip_with("coords", "c", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
     return p.join(c, ["gx", "gy"]).select("id", "center_id", key.alias("key")).where(F.col("key") <= radius * radius)
+
+
+def farthest_per_cluster(assigned: DataFrame, t: int) -> DataFrame:
+    """center_id, place, id, key: the t farthest points of each cluster.
+
+    A cluster is first cut down in 64 parts, so that a large one is no large group.
+    """
+    w = Window.partitionBy("center_id").orderBy(F.desc("key"), "id")
+    part = Window.partitionBy("center_id", "part").orderBy(F.desc("key"), "id")
+    near = assigned.withColumn("part", F.pmod(F.xxhash64("id"), F.lit(64))).withColumn("r", F.row_number().over(part)).where(F.col("r") <= t)
+    return near.withColumn("place", F.row_number().over(w)).where(F.col("place") <= t).select("center_id", "place", "id", "key")
+
+
+def distance_profile(assigned: DataFrame, measure: str | Metric = "euclidean", bins: int = 20) -> DataFrame:
+    """x, y: a histogram of the distances to the centers."""
+    d = metric(measure).finish_expr(F.col("key").cast("double"))
+    return assigned.agg(F.histogram_numeric(d, F.lit(bins)).alias("h")).select(F.explode("h").alias("b")).select("b.x", "b.y")
+
+
+def nearest_center_udf(centers: DataFrame, measure: str | Metric = "euclidean"):
+    """A scalar function coords -> id of the nearest center, for use in any expression."""
+    ids, x = center_rows(centers)
+
+    @F.arrow_udf("long")
+    def nearest_center(coords: pa.Array) -> pa.Array:
+        which, _ = kernels.nearest(kernels.matrix(coords), x, measure)
+        return pa.array(ids[which])
+
+    return nearest_center

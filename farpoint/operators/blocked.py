@@ -16,10 +16,12 @@ from farpoint.functions.distance import Metric
 from farpoint.operators import kernels
 from farpoint.operators.farthest_first import CENTERS, center_batch, gathered
 from farpoint.operators.partitioning import in_blocks
-from farpoint.plans.planner import LevelPlan, blocks_for, plan_levels
+from farpoint.plans.planner import Level, LevelPlan, blocks_for, plan_levels
 from farpoint.sources.staging import materialise
 
 LOCAL = "block int, " + CENTERS + ", n_block long, elapsed_ns long"
+#: Points that one task solves, unless a capacity is given; more centers than this get a further level.
+CAPACITY = 2_000_000
 Solver = Callable[[np.ndarray, int, int, str], tuple[np.ndarray, np.ndarray, float]]
 
 
@@ -36,7 +38,7 @@ def _block(k: int, measure: str | Metric, solver: Solver, seeds: dict[int, int],
         return picks, keys
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block, began, total = TaskContext.get().partitionId(), time.perf_counter_ns(), 0
+        block, total, took = TaskContext.get().partitionId(), 0, 0
         if chunk is None:
             ids, x = gathered(batches)
             total = len(ids)
@@ -45,25 +47,29 @@ def _block(k: int, measure: str | Metric, solver: Solver, seeds: dict[int, int],
 
             def reduce():
                 i, p = gathered(held)
+                began = time.perf_counter_ns()
                 picks, _ = solved(i, p, block)
                 kept_ids.append(i[picks])
                 kept_x.append(p[picks])
+                return time.perf_counter_ns() - began
 
             for b in batches:
                 held.append(b)
                 rows += b.num_rows
                 total += b.num_rows
                 if rows >= chunk:
-                    reduce()
+                    took += reduce()
                     held, rows = [], 0
             if held and rows:
-                reduce()
+                took += reduce()
             ids, x = kernels.by_id(np.concatenate(kept_ids), np.concatenate(kept_x)) if kept_ids else (np.empty(0, np.int64), np.empty((0, 1)))
         if not len(ids):
             return
+        began = time.perf_counter_ns()  # of the solver alone: moving the rows is not counted
         picks, keys = solved(ids, x, block)
+        took += time.perf_counter_ns() - began
         out = center_batch(ids, x, picks, keys)
-        n, took = out.num_rows, time.perf_counter_ns() - began
+        n = out.num_rows
         extra = [pa.array([block] * n, pa.int32()), *out.columns, pa.array([total] * n, pa.int64()), pa.array([took] * n, pa.int64())]
         yield pa.RecordBatch.from_arrays(extra, names=["block", *out.schema.names, "n_block", "elapsed_ns"])
 
@@ -112,8 +118,11 @@ def blocked_farthest_first(
         n = points.count() if n is None else n
         plan = plan_levels(n, k, m, capacity if capacity is not None else n, rounds)
         counts = [level.blocks for level in plan.levels]
-    else:
-        plan, counts = LevelPlan((), -1), [m]  # the size of the points is not asked for
+    else:  # the size of the points is not asked for, only that all blocks' centers fit into one task
+        counts = [points.rdd.getNumPartitions() if strategy == "scan_split" else m]
+        while k * counts[-1] > CAPACITY and -(-k * counts[-1] // CAPACITY) < counts[-1]:
+            counts.append(-(-k * counts[-1] // CAPACITY))
+        plan = LevelPlan(tuple(Level(-1, b, k * b) for b in counts), k * counts[-1])
     level_seeds = level_seeds or []
     at, done = points.select("id", "coords"), []
     for i, blocks in enumerate(counts):

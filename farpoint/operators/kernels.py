@@ -7,8 +7,10 @@ import pyarrow as pa
 
 from farpoint.functions.distance import Metric, metric
 
-#: Rows of a distance block: block rows times centers doubles are held at a time.
+#: Rows that one center is compared with at a time.
 BLOCK = 8192
+#: Tiles of a distance table, and the number of centers from which tables are made.
+ROWS, COLUMNS, PRODUCTS = 1024, 256, 16
 
 
 def matrix(column: pa.Array) -> np.ndarray:
@@ -74,9 +76,19 @@ def farthest_first_pruned(x: np.ndarray, k: int, seed: int = 0) -> tuple[np.ndar
     return np.array(picks), np.array(keys), float(low.max())
 
 
+def products_are_exact(x: np.ndarray, centers: np.ndarray) -> bool:
+    """Whole coordinates so small that all sums of products stay below 2**53."""
+    if not (len(x) and len(centers)) or not ((x == np.rint(x)).all() and (centers == np.rint(centers)).all()):
+        return False
+    most = max(np.abs(x).max(), np.abs(centers).max())
+    return 4 * x.shape[1] * most * most < 2**53
+
+
 def nearest(x: np.ndarray, centers: np.ndarray, measure: str | Metric = "euclidean") -> tuple[np.ndarray, np.ndarray]:
     """For each row the index of its nearest center (the first of equals) and the key."""
     m = metric(measure)
+    if m.name == "euclidean" and len(centers) >= PRODUCTS and products_are_exact(x, centers):
+        return nearest_product(x, centers)
     best, which = np.full(len(x), np.inf), np.zeros(len(x), np.int64)
     for lo in range(0, len(x), BLOCK):
         block = x[lo : lo + BLOCK]
@@ -88,26 +100,48 @@ def nearest(x: np.ndarray, centers: np.ndarray, measure: str | Metric = "euclide
     return which, best
 
 
-def nearest_product(x: np.ndarray, centers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """nearest() for squared Euclidean keys through matrix products.
+def _tiles(x: np.ndarray, centers: np.ndarray):
+    """(first row, first center, -2 x.c + c.c) in tiles that stay in the cache, and the rows' own squares."""
+    wide = np.column_stack([-2.0 * centers, (centers * centers).sum(1)]).T.copy()
+    tall = np.column_stack([x, np.ones(len(x))])
+    for lo in range(0, len(x), ROWS):
+        for at in range(0, len(centers), COLUMNS):
+            yield lo, at, tall[lo : lo + ROWS] @ wide[:, at : at + COLUMNS]
 
-    Exact while all products stay below 2**53 (integer coordinates); quicker from about 16 dimensions.
-    """
-    best, which = np.empty(len(x)), np.empty(len(x), np.int64)
-    square = (centers * centers).sum(1)
-    for lo in range(0, len(x), BLOCK):
-        block = x[lo : lo + BLOCK]
-        d = square[None, :] - 2.0 * (block @ centers.T)
-        which[lo : lo + BLOCK] = d.argmin(1)
-        best[lo : lo + BLOCK] = np.maximum(d[np.arange(len(block)), which[lo : lo + BLOCK]] + (block * block).sum(1), 0.0)
-    return which, best
+
+def nearest_product(x: np.ndarray, centers: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """nearest() for squared Euclidean keys through matrix products; exact where products_are_exact."""
+    best, which = np.full(len(x), np.inf), np.zeros(len(x), np.int64)
+    for lo, at, d in _tiles(x, centers):
+        arg = d.argmin(1)
+        low = d[np.arange(len(d)), arg]
+        closer = low < best[lo : lo + ROWS]
+        best[lo : lo + ROWS][closer] = low[closer]
+        which[lo : lo + ROWS][closer] = arg[closer] + at
+    return which, best + (x * x).sum(1)
 
 
 def lower_keys(x: np.ndarray, low: np.ndarray, centers: np.ndarray, measure: str | Metric = "euclidean") -> np.ndarray:
     """min(low, keys to the nearest of ``centers``)."""
     m = metric(measure)
-    if m.name == "euclidean" and x.shape[1] >= 16 and len(centers) >= 16:
-        return np.minimum(low, nearest_product(x, centers)[1])
+    if m.name == "euclidean" and len(centers) >= PRODUCTS:
+        if products_are_exact(x, centers):
+            best = np.full(len(x), np.inf)
+            for lo, _, d in _tiles(x, centers):
+                part = best[lo : lo + ROWS]
+                np.minimum(part, d.min(1), out=part)
+            return np.minimum(low, best + (x * x).sum(1))
+        out = low.copy()
+        for lo in range(0, len(x), ROWS):
+            block, part = x[lo : lo + ROWS], out[lo : lo + ROWS]
+            for at in range(0, len(centers), COLUMNS):
+                tile = np.zeros((len(block), min(COLUMNS, len(centers) - at)))
+                for j in range(x.shape[1]):
+                    d = block[:, j, None] - centers[None, at : at + COLUMNS, j]
+                    d *= d
+                    tile += d
+                np.minimum(part, tile.min(1), out=part)
+        return out
     out = low.copy()
     for lo in range(0, len(x), BLOCK):
         block, part = x[lo : lo + BLOCK], out[lo : lo + BLOCK]

@@ -8,6 +8,7 @@ The distance to the sample stays with each live point, so a round compares it wi
 from __future__ import annotations
 
 import math
+import time
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -73,13 +74,16 @@ class PivotSample:
 
 def _lowered(members: "object", measure: str | Metric):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        centers = members.value
+        centers, spent = members.value, 0
         for b in batches:
-            at = b.schema.names.index("key")
             if b.num_rows and len(centers):
-                low = b.column(at).fill_null(np.inf).to_numpy(zero_copy_only=False)
-                key = pa.array(kernels.lower_keys(kernels.matrix(b.column("coords")), low, centers, measure))
-                b = pa.RecordBatch.from_arrays([key if i == at else c for i, c in enumerate(b.columns)], schema=b.schema)
+                low = b.column("key").fill_null(np.inf).to_numpy(zero_copy_only=False)
+                x = kernels.matrix(b.column("coords"))
+                began = time.perf_counter_ns()
+                key = kernels.lower_keys(x, low, centers, measure)
+                spent += time.perf_counter_ns() - began
+                new = {"key": pa.array(key), "ns": pa.array(np.full(len(key), spent))}
+                b = pa.RecordBatch.from_arrays([new.get(n, c) for n, c in zip(b.schema.names, b.columns, strict=True)], schema=b.schema)
             yield b
 
     return run
@@ -109,12 +113,13 @@ def select_pivot(probes: DataFrame, rank: int) -> float | None:
 
 def pivot_sample(
     points: DataFrame, k: int, eps: float = 0.1, phi: float = PRESET_ORIGINAL, seed: int = 42, tie_rule: str = "drop_equal", log_base: float = math.e, max_iterations: int = 100,
-    measure: str | Metric = "euclidean", generator: str = "xxhash", n: int | None = None,
+    measure: str | Metric = "euclidean", generator: str = "xxhash", n: int | None = None, machines: int | None = None,
 ) -> PivotSample:
     """The sample S and the points still live in the end, with a trace of the iterations.
 
     ``drop_equal`` also drops points exactly as far as the pivot, so sampled points always leave and
     the live set shrinks; ``keep_equal`` is the rule as first published and may stop at max_iterations.
+    ``machines`` deals the live points over that many tasks, for simulated times (slowest_ns of a trace row).
     """
     points = points.select("id", "coords")
     n = points.count() if n is None else n
@@ -123,7 +128,9 @@ def pivot_sample(
     kept, redraws = None, 0
     while size > params.threshold and len(trace) < max_iterations:
         iteration = len(trace) + 1
-        drawn = live.withColumns({"in_s": _draw(generator, seed + redraws, iteration - 1, "S") < params.sample_rate(size), "in_h": _draw(generator, seed + redraws, iteration - 1, "H") < params.probe_rate(size)})
+        drawn = live.withColumns({"in_s": _draw(generator, seed + redraws, iteration - 1, "S") < params.sample_rate(size), "in_h": _draw(generator, seed + redraws, iteration - 1, "H") < params.probe_rate(size), "ns": F.lit(0).cast("long")})
+        if machines:
+            drawn = drawn.repartition(machines)
         new = drawn.where("in_s").select("id", "coords")
         members = np.array([list(r.coords) for r in new.select("coords").toLocalIterator()])  # about 9 k n^eps log n rows
         if not len(members) and sample is None:
@@ -132,12 +139,12 @@ def pivot_sample(
         new = materialise(new, "members")
         sample = new if sample is None else sample.unionByName(new)
         nearer = materialise(with_set_distance(drawn, members, measure), "live")
-        counts = nearer.agg(F.sum(F.col("in_s").cast("long")).alias("s"), F.sum(F.col("in_h").cast("long")).alias("h")).first()
+        counts = nearer.agg(F.sum(F.col("in_s").cast("long")).alias("s"), F.sum(F.col("in_h").cast("long")).alias("h"), F.max("ns").alias("ns")).first()
         pivot = select_pivot(nearer.where("in_h"), params.pivot_rank)
         limit = 0.0 if pivot is None else pivot
         live = nearer.where(F.col("key") > limit if tie_rule == "drop_equal" else F.col("key") >= limit).select("id", "coords", "key")
         after = live.count()
-        trace.append({"iteration": iteration, "live": size, "new_sample": counts.s, "probes": counts.h, "pivot_key": limit, "live_after": after})
+        trace.append({"iteration": iteration, "live": size, "new_sample": counts.s, "probes": counts.h, "pivot_key": limit, "live_after": after, "slowest_ns": counts.ns})
         if kept is not None:
             release(kept)
         kept, size = nearer, after

@@ -57,3 +57,20 @@ def rank_in_live(live: DataFrame) -> DataFrame:
 def low_rank_count(ranked: DataFrame, reference_ids: DataFrame, i: int) -> DataFrame:
     """low_ranked: how many reference points have rank at most i."""
     return ranked.join(reference_ids.select("id"), "id", "left_semi").agg(F.count_if(F.col("rank_live") <= i).alias("low_ranked"))
+
+
+def cube_runs(runs: DataFrame) -> DataFrame:
+    """Means by algorithm and k with all subtotals."""
+    return runs.cube("alg", "k").agg(F.count("*").alias("n_runs"), F.avg("radius").alias("mean_radius"))
+
+
+def grouping_sets_runs(runs: DataFrame) -> DataFrame:
+    """Means by algorithm, and by k, in one table; which of them a row is stands in ``level``."""
+    return runs.groupingSets([[F.col("alg")], [F.col("k")]], "alg", "k").agg(F.grouping_id().alias("level"), F.avg("radius").alias("mean_radius"))
+
+
+def center_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
+    """both, only_a, only_b: how many centers two methods share."""
+    left, right = a.select("id"), b.select("id")
+    both = left.intersect(right).agg(F.count("*").alias("both"))
+    return both.crossJoin(left.exceptAll(right).agg(F.count("*").alias("only_a"))).crossJoin(right.exceptAll(left).agg(F.count("*").alias("only_b")))

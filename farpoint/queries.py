@@ -518,3 +518,45 @@ def _ml(s: SparkSession, d: str) -> DataFrame:
 
 
 register("q_ml_kcenter_customer", _ml, _with_centers("SELECT n.center_id AS center_id, count(*) AS size FROM assigned GROUP BY 1", "customer_2d", 25))
+register("q_cube_runs", lambda s, d: measures.cube_runs(_runs(s, d)).select(F.coalesce("alg", F.lit("all")).alias("alg"), F.coalesce("k", F.lit(0)).alias("k"), "n_runs", F.round("mean_radius", 3).alias("mean_radius")), _runs_sql("SELECT coalesce(alg, 'all') AS alg, coalesce(k, 0) AS k, count(*) AS n_runs, round(avg(radius), 3) AS mean_radius FROM runs GROUP BY CUBE (alg, k)"))
+register("q_grouping_sets_runs", lambda s, d: measures.grouping_sets_runs(_runs(s, d)).select(F.coalesce("alg", F.lit("all")).alias("alg"), F.coalesce("k", F.lit(0)).alias("k"), F.round("mean_radius", 3).alias("mean_radius")), _runs_sql("SELECT coalesce(alg, 'all') AS alg, coalesce(k, 0) AS k, round(avg(radius), 3) AS mean_radius FROM runs GROUP BY GROUPING SETS ((alg), (k))"))
+
+
+def _overlap(s: SparkSession, d: str) -> DataFrame:
+    p = points_of(s, d, "orders_2d")
+    return measures.center_overlap(farthest_first(p, 25), blocked_farthest_first(p, 25, 8).centers)
+
+
+def _overlap_sql() -> str:
+    pts, dims = O.points_cte("orders_2d")
+    return O.query([pts, *O.traversal("ff", "pts", dims, 25), *O.blocked_ctes(dims, 25, 8)], "SELECT count(*) FILTER (WHERE a.id IS NOT NULL AND b.id IS NOT NULL) AS both, count(*) FILTER (WHERE b.id IS NULL) AS only_a, count(*) FILTER (WHERE a.id IS NULL) AS only_b FROM ff a FULL JOIN last b ON a.id = b.id")
+
+
+register("q_center_overlap_orders", _overlap, _overlap_sql())
+register(
+    "q_farthest_per_cluster_customer", lambda s, d: A.farthest_per_cluster(_served(s, d, "customer_2d", 25), 3),
+    _with_centers("SELECT center_id, place, id, key FROM (SELECT n.center_id AS center_id, id, CAST(n.key AS BIGINT) AS key, row_number() OVER (PARTITION BY n.center_id ORDER BY n.key DESC, id) AS place FROM assigned) WHERE place <= 3", "customer_2d", 25),
+)
+register("q_distance_profile_orders", lambda s, d: A.distance_profile(_served(s, d)))
+
+
+def _udf_assign(s: SparkSession, d: str) -> DataFrame:
+    p = points_of(s, d, "customer_2d")
+    near = A.nearest_center_udf(farthest_first(p, 25))
+    return p.select("id", near("coords").alias("center_id"))
+
+
+register("q_udf_nearest_customer", _udf_assign, _with_centers("SELECT id, n.center_id AS center_id FROM assigned", "customer_2d", 25))
+
+
+def _planned(s: SparkSession, d: str) -> DataFrame:
+    """An instance through its plan: the blocked scheme with levels for a small capacity."""
+    from farpoint.plans.plan import make_plan, solve
+    from farpoint.plans.problem import KCenterProblem
+
+    problem = KCenterProblem(points_of(s, d, "orders_2d"), 10)
+    plan = make_plan(problem.points.count(), 10, 8, algorithm="blocked")
+    return picked(solve(problem, plan, strategy="id_mod").centers)
+
+
+register("q_planned_orders", _planned, O.blocked("orders_2d", 10, 8))

@@ -62,12 +62,19 @@ def test_fixtures():
     assert kernels.farthest_first(line, 9)[2] == 0 and len(kernels.farthest_first(np.empty((0, 1)), 3)[0]) == 0
 
 
-def test_nearest_forms_agree():
+def test_nearest_forms_agree(monkeypatch):
     rng = np.random.default_rng(0)
-    x, c = rng.integers(0, 1000, (20_000, 20)).astype(float), rng.integers(0, 1000, (30, 20)).astype(float)
-    a, b = kernels.nearest(x, c), kernels.nearest_product(x, c)
-    assert (a[0] == b[0]).all() and (a[1] == b[1]).all()
-    assert (kernels.lower_keys(x, np.full(len(x), 1e5), c) == np.minimum(a[1], 1e5)).all()
+    for dims, n in ((20, 300), (2, 700)):
+        x, c = rng.integers(-1000, 1000, (5_000, dims)).astype(float), rng.integers(-1000, 1000, (n, dims)).astype(float)
+        far = np.full(len(x), np.inf)
+        tiles, lowered, floats = kernels.nearest(x, c), kernels.lower_keys(x, far, c), kernels.lower_keys(x + 0.25, far, c + 0.25)
+        with monkeypatch.context() as m:
+            m.setattr(kernels, "PRODUCTS", 10**9)
+            which, key = kernels.nearest(x, c)
+            assert (lowered == kernels.lower_keys(x, far, c)).all()
+        assert (tiles[0] == which).all() and (tiles[1] == key).all() and (lowered == key).all() and (floats == key).all()
+        assert (kernels.lower_keys(x, np.full(len(x), 500.0), c) == np.minimum(key, 500)).all()
+    assert not kernels.products_are_exact(x * 2.0**20, c) and not kernels.products_are_exact(x + 0.5, c)
 
 
 @pytest.mark.parametrize("name", [*METRICS, "minkowski"])
