@@ -68,7 +68,7 @@ def _named(stage: Staging, rows: DataFrame, keys: list[str], table: str) -> Data
     """``rows`` whose key stands more than once, with a name of the key in ``name``."""
     again = rows.groupBy(*keys).agg(F.count("*").alias("n")).where("n > 1").select(*keys)
     names = stage.keep(again.withColumn("name", F.monotonically_increasing_id()), f"{table}-names")
-    return stage.keep(rows.join(names, keys).drop(*keys), table)
+    return stage.keep(rows.join(names.hint("merge"), keys).drop(*keys), table)  # names grow with the lines: not to be broadcast
 
 
 def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
@@ -80,20 +80,20 @@ def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS) ->
         step = 1 << (len(ranks) - 1)
         here = ranks[-1].select(ROW, "pos", F.col("name").alias("head"))
         there = ranks[-1].select(ROW, (F.col("pos") - step).alias("pos"), F.col("name").alias("tail"))
-        ranks.append(_named(stage, here.join(there, [ROW, "pos"]), ["head", "tail"], "runs"))
+        ranks.append(_named(stage, here.join(there.hint("merge"), [ROW, "pos"]), ["head", "tail"], "runs"))
     windows = ranks[0].where("span = 1").select(ROW, "doc_id", "pos", "span", F.col("name").alias("head"), F.col("name").alias("tail"))
     for k, rank in enumerate(ranks[1:], 1):
         width = 1 << k
         todo = ranks[0].where((F.col("span") >= width) & (F.col("span") < 2 * width)).select(ROW, "doc_id", "pos", "span")
         head = rank.select(ROW, "pos", F.col("name").alias("head"))
         tail = rank.select(ROW, F.col("pos").alias("last"), F.col("name").alias("tail"))
-        both = todo.join(head, [ROW, "pos"]).withColumn("last", F.col("pos") + F.col("span") - width).join(tail, [ROW, "last"])
+        both = todo.join(head.hint("merge"), [ROW, "pos"]).withColumn("last", F.col("pos") + F.col("span") - width).join(tail.hint("merge"), [ROW, "last"])
         windows = windows.unionByName(both.select(windows.columns))
     windows = stage.keep(windows, "windows")
     place = F.struct("doc_id", ROW, "pos")
     intervals = windows.groupBy("span", "head", "tail").agg(F.min(place).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
     intervals = stage.keep(intervals, "intervals")  # written, so that both sides of the join are plain exchanges and a hot interval can be split
-    return windows.join(intervals, ["span", "head", "tail"]).where(place != F.col("first")).select(ROW, "pos", "span")
+    return windows.join(intervals.hint("merge"), ["span", "head", "tail"]).where(place != F.col("first")).select(ROW, "pos", "span")
 
 
 def _cut(names: list[str], text_at: int):
