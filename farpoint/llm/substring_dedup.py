@@ -233,7 +233,7 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_r
     shared = places.groupBy("part").agg(F.count("*").alias("n")).where("n > 1").select("part", F.ceil(F.col("n") / group_rows).cast("int").alias("deals"))
     shared = stage.keep(shared, "shared")  # written, so that both sides of the join are plain exchanges and a hot partition can be split
     deal = F.pmod(F.xxhash64("doc_id", "body_hash", "first"), F.col("deals")).cast("int")
-    kept = places.join(shared, "part").select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
+    kept = places.join(shared.hint("merge"), "part").select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
     per_doc = kept.groupBy("doc_id", "body_hash").agg(F.collect_set("s").alias("runs"))
     per_doc = per_doc.select(F.col("doc_id").alias("k_id"), F.col("body_hash").alias("k_hash"), "runs").hint("shuffle_hash")
     with_runs = docs.join(per_doc, docs["doc_id"].eqNullSafe(per_doc["k_id"]) & (docs["body_hash"] == per_doc["k_hash"]))
@@ -242,7 +242,7 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_r
     found = stage.keep(groups.mapInArrow(_trees, "doc_id long, body_hash long, begin int, stop int, node binary, leaves int"), "nodes")
     split = found.where("node is not null")
     wide = split.groupBy("node").agg(F.sum("leaves").alias("all_leaves")).where("all_leaves > 1")
-    spans = found.where("node is null").unionByName(split.where("leaves = 1").join(wide, "node", "left_semi").select(found.columns))
+    spans = found.where("node is null").unionByName(split.where("leaves = 1").join(wide.hint("merge"), "node", "left_semi").select(found.columns))
     per_doc = spans.groupBy("doc_id", "body_hash").agg(F.collect_list(F.struct("begin", "stop")).alias("spans"))
     return stage.keep(per_doc.mapInArrow(_merge, "doc_id long, body_hash long, spans array<struct<begin:int,stop:int>>"), "spans")
 
