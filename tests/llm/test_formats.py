@@ -57,6 +57,17 @@ def test_chat_edge_rows(spark):
     assert chat.chat_digests(spark, frame.limit(0)).count() == 0
 
 
+def test_conversations_in_parts(spark):
+    rng = random.Random(3)
+    rows = [(c, t, rng.choice(["user", "assistant"]), rng.choice(["<|", "a", None, "x y"])) for c in (1, 2, 3, None) for t in range(rng.choice([3, 90]))]
+    frame = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    whole = sorted(map(str, chat.chat_digests(spark, frame).collect()))
+    assert sorted(map(str, chat.chat_digests(spark, frame, part_turns=7).collect())) == whole
+    parts = chat.format_chats(frame, part_turns=7).where("conv_id = 1").orderBy("part").collect()
+    one = chat.format_chats(frame).where("conv_id = 1").collect()
+    assert len(one) == 1 and "".join(p.formatted for p in parts) == one[0].formatted
+
+
 def test_warc_boundaries(spark):
     inner = warc.record_bytes(77, "http://fake/", b"fake payload", None, False, "1970-01-01T00:00:00Z").decode()
     big = "p" * 1500
