@@ -153,6 +153,21 @@ def farthest_first_by_group(points: DataFrame, k: int, group: str, measure: str
     return points.select(group, "id", "coords").groupBy(group).applyInArrow(run, f"`{group}` {kind}, {CENTERS}")
 
 
+def blocked_by_group(points: DataFrame, k: int, group: str, parts: int = 8, measure: str | Metric = "euclidean") -> DataFrame:
+    """farthest_first_by_group for groups of any size: each group's parts first, then their centers (factor 4)."""
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, x = gathered(table.to_batches())
+        picks, _, _ = kernels.farthest_first(x, k, 0, 0.0, measure)
+        name = table.column(group)[0]
+        return pa.table([pa.array([name.as_py()] * len(picks), name.type), pa.array(ids[picks]), pa.array(x[picks].tolist(), pa.list_(pa.float64()))], names=[group, "id", "coords"])
+
+    kind = dict(points.dtypes)[group]
+    dealt = points.select(group, "id", "coords", F.pmod("id", F.lit(parts)).alias("part_no"))
+    local = dealt.groupBy(group, "part_no").applyInArrow(run, f"`{group}` {kind}, id long, coords array<double>")
+    return farthest_first_by_group(local, k, group, measure)
+
+
 def farthest_first_edges(edges: DataFrame, k: int, seed: int | None = None) -> DataFrame:
     """Farthest-first on an explicit complete graph (u, v, w), both directions given: rank, id, key.
 

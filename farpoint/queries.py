@@ -11,7 +11,7 @@ from farpoint import oracles as O
 from farpoint.operators import assign as A
 from farpoint.operators import baselines, exact, sampling, threshold
 from farpoint.operators.blocked import blocked_farthest_first, round_trace, slab_farthest_first
-from farpoint.operators.farthest_first import farthest_first, farthest_first_by_group, farthest_first_edges, opt_lower_bound, radius_profile
+from farpoint.operators.farthest_first import blocked_by_group, farthest_first, farthest_first_by_group, farthest_first_edges, opt_lower_bound, radius_profile
 from farpoint.plans import bounds, cost, measures, planner
 from farpoint.plans.problem import distinct_points
 from farpoint.sources.views import clustered_sql, points_of
@@ -68,6 +68,16 @@ def _per_segment_sql() -> str:
 register("q_kcenter_per_segment", lambda s, d: farthest_first_by_group(points_of(s, d, "customer_2d"), 5, "c_mktsegment").select("c_mktsegment", "rank", "id", F.coalesce("key", F.lit(0.0)).cast("bigint").alias("key")), _per_segment_sql())
 
 
+def _blocked_segment_sql() -> str:
+    pts, dims = O.points_cte("customer_2d")
+    ctes = [pts, "dealt AS MATERIALIZED (SELECT *, c_mktsegment || ':' || CAST(id % 4 AS VARCHAR) AS block FROM pts)", *O.traversal("level0", "dealt", dims, 5, "block")]
+    ctes += [f"survivors AS MATERIALIZED (SELECT DISTINCT id, {O.cs(dims)}, split_part(block, ':', 1) AS c_mktsegment FROM level0)", *O.traversal("ff", "survivors", dims, 5, "c_mktsegment")]
+    return O.query(ctes, "SELECT c_mktsegment, rank, id, coalesce(CAST(key AS BIGINT), 0) AS key FROM ff")
+
+
+register("q_blocked_per_segment", lambda s, d: blocked_by_group(points_of(s, d, "customer_2d"), 5, "c_mktsegment", 4).select("c_mktsegment", "rank", "id", F.coalesce("key", F.lit(0.0)).cast("bigint").alias("key")), _blocked_segment_sql())
+
+
 def nation_edges(s: SparkSession, d: str) -> DataFrame:
     p = points_of(s, d, "nation_tiny")
     a, b = p.select(F.col("id").alias("u"), F.col("coords").alias("a")), p.select(F.col("id").alias("v"), F.col("coords").alias("b"))
