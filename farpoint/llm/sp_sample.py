@@ -66,6 +66,7 @@ class Vocabulary:
         self.weight = np.array([-sharpness * (math.log(max(i - n_special, 0) + 1) + norm) for i in range(len(pieces))])
         self.byte_weight = float(self.weight[-1])
         self.bytes = [bytes([i - FIRST_BYTE]) if FIRST_BYTE <= i < n_special else b"" if i < FIRST_BYTE else p.replace(SPACE, " ").encode() for i, p in enumerate(pieces)]
+        self.byte_table = np.array([*self.bytes, None], object)[:-1]
         counts: dict[str, int] = {}
         for p in pieces[n_special:]:
             for c in p:
@@ -111,15 +112,17 @@ class Vocabulary:
         out[high] = np.where(self.rare_key[at] == key, self.rare_child[at], 0)
         return out
 
-    def spelt(self, codes: list[int]) -> list[int]:
+    def spelt(self, codes: np.ndarray) -> np.ndarray:
         """Piece ids; a negative code is a character in bytes."""
+        if not len(codes) or codes.min() >= 0:
+            return codes
         out = []
-        for c in codes:
+        for c in codes.tolist():
             if c >= 0:
                 out.append(c)
             else:
                 out += [FIRST_BYTE + b for b in chr(-c).encode("utf-8", "surrogatepass")]
-        return out
+        return np.array(out, np.int32)
 
 
 @functools.cache
@@ -130,8 +133,9 @@ def vocabulary(path: str) -> Vocabulary:
     return Vocabulary([model.id_to_piece(i) for i in range(model.get_piece_size())])
 
 
-def decode(vocab: Vocabulary, ids: list[int]) -> bytes:
-    return b"".join(map(vocab.bytes.__getitem__, ids))[1:]
+def decode(vocab: Vocabulary, ids: np.ndarray | list[int]) -> bytes:
+    """The UTF-8 text of the pieces, without the space put before the first word."""
+    return b"".join(vocab.byte_table[np.asarray(ids, np.int64)].tolist())[1:]
 
 
 def units_of(text: str) -> list[str]:
@@ -364,13 +368,12 @@ def sample(vocab: Vocabulary, texts: list[str], seeds: list[int], samples: int,
     out = []
     for d, search in enumerate(searches):
         if not n_units[d]:
-            out.append([([], 0.0, 0.0, 1.0)])  # the one segmentation of the empty text
+            out.append([(np.empty(0, np.int32), 0.0, 0.0, 1.0)])  # the one segmentation of the empty text
             continue
         bound = search.bound()
         rows = []
         for edges, _, log_prob, value in search.paths:
-            codes = lat.code[edges]
-            ids = codes.tolist() if codes.min() >= 0 else vocab.spelt(codes.tolist())
+            ids = vocab.spelt(lat.code[edges])
             score = 1.0 if bound == -math.inf else -math.expm1(-math.exp(min(log_prob - bound, 50.0)))
             rows.append((ids, log_prob, value, score))
         out.append(rows)
@@ -391,7 +394,7 @@ def _sample(path: str, samples: int, with_ids: bool):
             columns: list[list] = [[] for _ in range(width)]
             for doc, rows in zip(docs, sample(vocab, texts, seeds, samples), strict=True):
                 for no, (ids, log_prob, value, score) in enumerate(rows, 1):
-                    row = (doc, no, len(ids), hashlib.sha256(np.array(ids, "<i4").tobytes()).hexdigest(), log_prob, value, score, hashlib.sha256(decode(vocab, ids)).hexdigest(), ids)
+                    row = (doc, no, len(ids), hashlib.sha256(ids.astype("<i4", copy=False).tobytes()).hexdigest(), log_prob, value, score, hashlib.sha256(decode(vocab, ids)).hexdigest(), ids)
                     for column, v in zip(columns, row, strict=False):
                         column.append(v)
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=False)], names=names[:width])
