@@ -13,7 +13,9 @@ from pyspark.sql import functions as F
 #: White space of the text contracts, as a Java regular expression.
 SPACE_RUN = r"[\x20\x09-\x0D]+"
 
-FREE_SHUFFLES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Runtime settings of a staged write: the table takes the place of the shuffle files, and batches of
+#: whole texts stay small in the Python workers.
+WHILE_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2000"}
 
 _own: dict[str, str] = {}
 
@@ -54,12 +56,14 @@ class Staging:
 
     def keep(self, df: DataFrame, table: str, codec: str = "zstd") -> DataFrame:
         path = self.path(table)
-        before = self.spark.conf.get(FREE_SHUFFLES, "false")
-        self.spark.conf.set(FREE_SHUFFLES, "true")  # the written table takes the place of the shuffle files
+        before = {k: self.spark.conf.get(k) for k in WHILE_WRITING}
         try:
+            for k, v in WHILE_WRITING.items():
+                self.spark.conf.set(k, v)
             df.write.option("compression", codec).parquet(path)
         finally:
-            self.spark.conf.set(FREE_SHUFFLES, before)
+            for k, v in before.items():
+                self.spark.conf.set(k, v)
         kept = self.spark.read.schema(df.schema).parquet(path)
         kept.staged_path = path
         return kept

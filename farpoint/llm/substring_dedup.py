@@ -28,10 +28,10 @@ WINDOW = 35
 GRAM = 8
 #: Stretches of a partition that one group takes; each has fewer than 2 * WINDOW words.
 GROUP_ROWS = 2000
-#: Words refined at once; three ranks of 20 bits are packed into one integer.
-GROUP_WORDS = 1 << 20
+#: Words refined at once; three ranks of 20 bits are packed into one integer, so at most 2**20.
+GROUP_WORDS = 1 << 18
 #: Words hashed at once.
-SCAN_WORDS = 400_000
+SCAN_WORDS = 200_000
 BROADCAST_SPANS = 1_000_000
 ODD = np.uint64(0x9E3779B97F4A7C15)
 
@@ -40,7 +40,7 @@ class _Hashes(dict):
     """64-bit hash of a word, remembered up to a bound."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 300_000:
+        if len(self) > 200_000:
             self.clear()
         value = self[word] = xxhash.xxh64_intdigest(word, 7)
         return value
