@@ -8,12 +8,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from farpoint import oracles as O
+from farpoint import workloads as W
 from farpoint.operators import assign as A
 from farpoint.operators import baselines, exact, sampling, threshold
 from farpoint.operators.blocked import blocked_farthest_first, round_trace, slab_farthest_first
 from farpoint.operators.farthest_first import blocked_by_group, farthest_first, farthest_first_by_group, farthest_first_edges, opt_lower_bound, radius_profile
 from farpoint.plans import bounds, cost, measures, planner
 from farpoint.plans.problem import distinct_points
+from farpoint.sources.staging import materialise
 from farpoint.sources.views import clustered_sql, points_of
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -374,7 +376,6 @@ _rg, _rx = clustered_sql("gauss", 25, "duck", offset="radial")
 register("q_gauss_radial_points", _radial, f"SELECT o_orderkey AS id, CAST({_rg} AS BIGINT) AS g, {', '.join(f'{x} AS c{i}' for i, x in enumerate(_rx))} FROM orders")
 
 # ---- experiment workloads ----
-from farpoint import workloads as W  # noqa: E402
 
 
 def _grid_oracle(view: str, m: int = 8) -> str:
@@ -396,8 +397,6 @@ def _grid(view: str) -> Query:
 
 
 def materialised(points: DataFrame) -> DataFrame:
-    from farpoint.sources.staging import materialise
-
     return materialise(points.select("id", "coords"), "points")
 
 
