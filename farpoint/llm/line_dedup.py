@@ -7,7 +7,10 @@ ranks cut at that depth. The window at a place is the fewest lines from there wi
 ``min_chars`` characters; suffixes whose common prefix reaches over their window form an interval of
 the suffix array, recognised by the names of the window's first and last power of two of lines.
 Of each interval the first member stays and the lines of the others' windows go, so a maximal
-repeated run goes as the union of its windows.
+repeated run goes as the union of its windows, up to the end of the last one. With ``whole_runs`` the
+windows taken backwards, the fewest lines that end at a place, are matched too: a line of a run
+either has enough characters after it in the run, and its own window holds it, or stands in the
+run's last window backwards. Then each maximal run of ``min_chars`` characters or more goes whole.
 """
 
 from __future__ import annotations
@@ -39,13 +42,19 @@ def window_lines(sizes: list[int], least: int) -> list[int]:
     return out
 
 
-def _lines(least: int):
+def backward_lines(sizes: list[int], spans: list[int], least: int) -> list[int]:
+    """For each line the fewest lines up to it that hold ``least`` characters; 0 where ``spans`` has that window already."""
+    back = window_lines(sizes[::-1], least)[::-1]
+    return [n if n and spans[i - n + 1] != n else 0 for i, n in enumerate(back)]
+
+
+def _lines(least: int, whole_runs: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [ROW, "doc_id", "pos", "line_hash", "span"]
+        names = [ROW, "doc_id", "pos", "line_hash", "span", "back"]
 
         def made(rows):
-            kinds = [pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int32()]
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [[]] * 5, kinds, strict=True)], names=names)
+            kinds = [pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int32(), pa.int32()]
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [[]] * 6, kinds, strict=True)], names=names)
 
         rows = []
         for batch in batches:
@@ -53,9 +62,11 @@ def _lines(least: int):
                 if not text.is_valid:
                     continue
                 lines = text.as_py().split("\n")
-                spans = window_lines([len(x) for x in lines], least)
-                for i, (line, n) in enumerate(zip(lines, spans, strict=True)):
-                    rows.append((row, doc, i, hashlib.md5(line.encode("utf-8", "surrogatepass")).digest(), n))
+                sizes = [len(x) for x in lines]
+                spans = window_lines(sizes, least)
+                backs = backward_lines(sizes, spans, least) if whole_runs else [0] * len(lines)
+                for i, (line, n, back) in enumerate(zip(lines, spans, backs, strict=True)):
+                    rows.append((row, doc, i, hashlib.md5(line.encode("utf-8", "surrogatepass")).digest(), n, back))
                     if len(rows) >= 20_000:
                         yield made(rows)
                         rows = []
@@ -71,20 +82,23 @@ def _named(stage: Staging, rows: DataFrame, keys: list[str], table: str) -> Data
     return stage.keep(rows.join(names.hint("merge"), keys).drop(*keys), table)  # names grow with the lines: not to be broadcast
 
 
-def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
+def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS, whole_runs: bool = False) -> DataFrame:
     """(__row, doc_id, text) -> (__row, pos, span) of the windows that an earlier place holds too."""
-    lines = stage.keep(rows.mapInArrow(_lines(min_chars), f"{ROW} long, doc_id long, pos int, line_hash binary, span int"), "lines")
+    lines = stage.keep(rows.mapInArrow(_lines(min_chars, whole_runs), f"{ROW} long, doc_id long, pos int, line_hash binary, span int, back int"), "lines")
     ranks = [_named(stage, lines, ["line_hash"], "runs")]
-    longest = ranks[0].agg(F.max("span")).first()[0] or 0
+    longest = ranks[0].agg(F.max(F.greatest("span", "back"))).first()[0] or 0
     while 2 << (len(ranks) - 1) <= longest:
         step = 1 << (len(ranks) - 1)
         here = ranks[-1].select(ROW, "pos", F.col("name").alias("head"))
         there = ranks[-1].select(ROW, (F.col("pos") - step).alias("pos"), F.col("name").alias("tail"))
         ranks.append(_named(stage, here.join(there.hint("merge"), [ROW, "pos"]), ["head", "tail"], "runs"))
+    places = ranks[0].where("span > 1").select(ROW, "doc_id", "pos", "span")
+    if whole_runs:
+        places = places.unionByName(ranks[0].where("back > 1").select(ROW, "doc_id", (F.col("pos") - F.col("back") + 1).alias("pos"), F.col("back").alias("span")))
     windows = ranks[0].where("span = 1").select(ROW, "doc_id", "pos", "span", F.col("name").alias("head"), F.col("name").alias("tail"))
     for k, rank in enumerate(ranks[1:], 1):
         width = 1 << k
-        todo = ranks[0].where((F.col("span") >= width) & (F.col("span") < 2 * width)).select(ROW, "doc_id", "pos", "span")
+        todo = places.where((F.col("span") >= width) & (F.col("span") < 2 * width))
         head = rank.select(ROW, "pos", F.col("name").alias("head"))
         tail = rank.select(ROW, F.col("pos").alias("last"), F.col("name").alias("tail"))
         both = todo.join(head.hint("merge"), [ROW, "pos"]).withColumn("last", F.col("pos") + F.col("span") - width).join(tail.hint("merge"), [ROW, "last"])
@@ -120,9 +134,11 @@ def _cut(names: list[str], text_at: int):
     return run
 
 
-def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
+def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS, whole_runs: bool = False) -> DataFrame:
     """``docs`` with later copies deleted from ``text``, and the columns n_lines and n_removed.
 
+    With ``whole_runs`` every line of a later copy of a run of ``min_chars`` characters or more goes;
+    without, the rule of the query's SQL, the lines after the run's last full window stay.
     Lines end at a newline. Earlier means a smaller doc_id (null first), then the row, then the place.
     Null text stays null with no lines, the empty text is one empty line, an empty table gives
     none; a row repeated with the same id and text keeps one copy; other columns stay (those named
@@ -131,7 +147,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS)
     stage = Staging(spark, "lines")
     docs = docs.drop("n_lines", "n_removed", ROW)
     rows = stage.keep(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
-    copies = later_copies(stage, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), "text"), min_chars)
+    copies = later_copies(stage, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), "text"), min_chars, whole_runs)
     spans = stage.keep(copies.groupBy(ROW).agg(F.collect_list(F.struct("pos", "span")).alias("__spans")), "spans")
     total = spans.agg(F.coalesce(F.sum(F.size("__spans")), F.lit(0))).first()[0]
     joined = rows.join(spans.hint("broadcast" if total <= BROADCAST_SPANS else "shuffle_hash"), ROW, "left")

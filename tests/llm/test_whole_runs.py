@@ -1,0 +1,32 @@
+import random
+
+from farpoint.llm import line_dedup as L
+
+
+def brute_whole(docs, least):
+    """Every run of ``least`` characters or more that an earlier place holds goes."""
+    seen, out = set(), []
+    for doc, text in sorted(docs, key=lambda d: (d[0] is not None, d[0] or 0)):
+        lines, gone = [] if text is None else text.split("\n"), set()
+        for s in range(len(lines)):
+            for e in range(s + 1, len(lines) + 1):
+                if sum(map(len, lines[s:e])) >= least:
+                    key = tuple(lines[s:e])
+                    if key in seen:
+                        gone |= set(range(s, e))
+                    seen.add(key)
+        out.append((doc, None if text is None else "\n".join(x for i, x in enumerate(lines) if i not in gone), len(lines), len(gone)))
+    return sorted(map(str, out))
+
+
+def test_maximal_runs_go_whole(spark):
+    rng = random.Random(6)
+    vocab = ["", "a", "bb", "c" * 9, "d" * 25, "é" * 12, "e" * 60]
+    docs = [(None, "\n".join("xyz" for _ in range(40))), (1, None), (2, ""), (3, "\n" * 20 + "e" * 60), (4, "t" * 70 + "\nend"), (5, "t" * 70 + "\nend")]
+    docs += [(10 + i, "\n".join(rng.choice(vocab) + rng.choice(["", "", str(rng.randrange(30))]) for _ in range(rng.randrange(1, 30)))) for i in range(40)]
+    docs += [(200, docs[20][1]), (200, docs[20][1]), (201, docs[30][1] + "\nnew")]
+    frame = spark.createDataFrame([(t, d) for d, t in docs], "text string, doc_id long")
+    for least in (50, 8):
+        got = L.line_dedup(spark, frame, least, whole_runs=True).select("doc_id", "text", "n_lines", "n_removed").collect()
+        assert sorted(str(tuple(r)) for r in got) == brute_whole(docs, least)
+    assert ("5", "", 2, 2) == next((str(r.doc_id), r.text, r.n_lines, r.n_removed) for r in L.line_dedup(spark, frame, whole_runs=True).collect() if r.doc_id == 5)
