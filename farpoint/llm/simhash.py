@@ -26,13 +26,16 @@ SEED = 42
 SEGMENTS = 8
 LIMIT = 2
 HEAVY = 1024
+#: Words of a shingle where near duplicates are judged by the Jaccard similarity of their sets.
+SIMILAR_SHINGLE = 5
+BROADCAST_TEXTS = 500_000
 
 
-def fingerprint(text: str | None, shingle: int = 3, seed: int = SEED) -> int:
-    """A bit is 1 if it is set in over half of the XXH64 of the word shingles, repeats included."""
+def shingle_hashes(text: str | None, shingle: int, seed: int = SEED) -> Iterator[np.ndarray]:
+    """XXH64 of the word shingles in pieces; a text of fewer words is one shingle, one of none has none."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return 0
+        return
     body = b" ".join(words)
     n = max(len(words) - shingle + 1, 1)
     sizes = np.fromiter(map(len, words), np.int64, len(words))
@@ -40,11 +43,17 @@ def fingerprint(text: str | None, shingle: int = 3, seed: int = SEED) -> int:
     starts = (ends - sizes)[:n].tolist()
     stops = ends[len(words) - n :].tolist()
     digest = xxhash.xxh64_intdigest
-    votes = np.zeros(64, np.int64)
     for lo in range(0, n, 65_536):
-        hashes = np.fromiter((digest(body[a:b], seed) for a, b in zip(starts[lo : lo + 65_536], stops[lo : lo + 65_536], strict=True)), np.uint64)
+        yield np.fromiter((digest(body[a:b], seed) for a, b in zip(starts[lo : lo + 65_536], stops[lo : lo + 65_536], strict=True)), np.uint64)
+
+
+def fingerprint(text: str | None, shingle: int = 3, seed: int = SEED) -> int:
+    """A bit is 1 if it is set in over half of the XXH64 of the word shingles, repeats included."""
+    votes, n = np.zeros(64, np.int64), 0
+    for hashes in shingle_hashes(text, shingle, seed):
         bits = np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
         votes += np.add.reduce(bits, axis=0, dtype=np.int32)
+        n += len(hashes)
     return int(np.packbits(votes * 2 > n, bitorder="little").view(np.uint64)[0])
 
 
@@ -162,10 +171,126 @@ def simhash_groups(spark: SparkSession, docs: DataFrame, heavy: int = HEAVY) ->
     return prints.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def shingle_set(text: str | None) -> np.ndarray:
+    return np.unique(np.concatenate([np.empty(0, np.uint64), *shingle_hashes(text, SIMILAR_SHINGLE)]).view(np.int64))
+
+
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(text_hash, text) -> the set of the text's shingles, in rows of bounded size."""
+    for batch in batches:
+        for h, text in zip(batch.column(0), batch.column(1), strict=True):
+            yield pa.RecordBatch.from_arrays([pa.array([h.as_py()], pa.binary()), pa.array([shingle_set(text.as_py())], pa.list_(pa.int64()))], names=["text_hash", "items"])
+
+
+def common_shingles(rows: DataFrame, texts: int = 20_000, least: int = 8, most: int = 100_000) -> np.ndarray:
+    """Shingles that many texts of a sample hold. They go last in the order of the prefix filter, which is exact for any order."""
+    n = rows.count()
+    some = rows if n <= texts else rows.where(F.pmod(F.xxhash64("text_hash"), F.lit(n // texts + 1)) == 0)
+    some = some.where("text_hash IS NOT NULL").select("text_hash", "text").mapInArrow(_sets, "text_hash binary, items array<long>")
+    often = some.select("text_hash", F.explode("items").alias("item")).groupBy("item").agg(F.count("*").alias("n")).where(F.col("n") >= least)
+    return np.sort(np.array([r.item for r in often.orderBy(F.desc("n"), "item").limit(most).collect()], np.int64))
+
+
+def prefix_size(n: int) -> int:
+    """Of the first so many of n items, in one order for all sets, two sets of Jaccard 0.8 or more share one."""
+    return n - (4 * n + 4) // 5 + 1 if n else 0
+
+
+def with_prefixes(rows: DataFrame, last: np.ndarray) -> DataFrame:
+    """(doc_id, text, text_hash) -> doc_id, text_hash, fp, n_items and the prefix of the set of shingles."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            prints, sizes, prefixes = [], [], []
+            for text in (x.as_py() for x in batch.column(1)):
+                items = shingle_set(text)
+                late = np.isin(items, last, assume_unique=True)
+                prints.append(fingerprint(text))
+                sizes.append(len(items))
+                prefixes.append(np.concatenate([items[~late], items[late]])[: prefix_size(len(items))])
+            fp = pa.array(np.array(prints, np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), fp, pa.array(sizes, pa.int64()), pa.array(prefixes, pa.list_(pa.int64()))], names=["doc_id", "text_hash", "fp", "n_items", "prefix"])
+
+    return rows.select("doc_id", "text", "text_hash").mapInArrow(run, "doc_id long, text_hash binary, fp long, n_items long, prefix array<long>")
+
+
+def similar_pairs(item: np.ndarray, size: np.ndarray, at: np.ndarray, fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows sorted by item -> row pairs of one item whose sizes and places allow a Jaccard of 0.8, and that are not linked by their fingerprints."""
+    left, right = [], []
+    live, gap = np.arange(len(item) - 1), 1
+    while len(live):
+        live = live[live + gap < len(item)]
+        live = live[item[live] == item[live + gap]]
+        a, b = live, live + gap
+        most = np.minimum(size[a] - at[a], size[b] - at[b])  # common items, if this is the first of them
+        ok = (9 * most >= 4 * (size[a] + size[b])) & (np.bitwise_count(fp[a] ^ fp[b]) > LIMIT)
+        left.append(a[ok])
+        right.append(b[ok])
+        # rows of an item are sorted by size: a later row is too large as well
+        live = live[5 * size[a] >= 4 * size[b]]
+        gap += 1
+    none = np.empty(0, np.int64)
+    return np.concatenate([none, *left]), np.concatenate([none, *right])
+
+
+def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Input (item, n_items, at, fp, text_hash) sorted by item and n_items; a run that a batch ends with waits for the next."""
+
+    def paired(rows: pa.Table):
+        item, size, at, fp = (rows.column(i).to_numpy() for i in range(4))
+        a, b = similar_pairs(item, size, at, fp.view(np.uint64))
+        for lo in range(0, len(a), 100_000):
+            x, y = (rows.take(pa.array(i[lo : lo + 100_000])).combine_chunks() for i in (a, b))
+            columns = [t.column(c).combine_chunks() for t, c in ((x, 4), (x, 3), (y, 4), (y, 3))]
+            yield pa.RecordBatch.from_arrays([c.chunk(0) if isinstance(c, pa.ChunkedArray) else c for c in columns], names=["a", "fa", "b", "fb"])
+
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        item = batch.column(0).to_numpy()
+        cut = int(np.searchsorted(item, item[-1]))
+        if held and (cut or held[-1].column(0)[-1] != batch.column(0)[0]):
+            yield from paired(pa.Table.from_batches([*held, batch.slice(0, cut)]))
+            held = []
+        elif cut:
+            yield from paired(pa.Table.from_batches([batch.slice(0, cut)]))
+        held.append(batch.slice(cut))
+    if held:
+        yield from paired(pa.Table.from_batches(held))
+
+
+def similar_links(stage: Staging, rows: DataFrame, prints: DataFrame) -> DataFrame:
+    """Links (a, b) between the fingerprints of texts of Jaccard 0.8 or more: prefix, size and place filters, then the whole sets."""
+    texts = prints.where("n_items > 0").dropDuplicates(["text_hash"])
+    items = texts.select(F.posexplode("prefix").alias("at", "item"), "n_items", "fp", "text_hash").select("item", "n_items", F.col("at").cast("long").alias("at"), "fp", "text_hash")
+    pairs = items.repartition("item").sortWithinPartitions("item", "n_items").mapInArrow(_pairs, "a binary, fa long, b binary, fb long")
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("fa")).otherwise(F.col("fb")).alias("fa"), F.when(F.col("a") < F.col("b"), F.col("fb")).otherwise(F.col("fa")).alias("fb"))
+    pairs = stage.keep(pairs.distinct(), "pairs")
+    wanted = stage.keep(pairs.select(F.col("a").alias("text_hash")).union(pairs.select("b")).distinct(), "wanted")
+    side = F.broadcast(wanted) if wanted.count() <= BROADCAST_TEXTS else wanted
+    sets = rows.join(side, "text_hash", "left_semi").select("text_hash", "text").mapInArrow(_sets, "text_hash binary, items array<long>")
+    sets = stage.keep(sets.dropDuplicates(["text_hash"]), "sets").hint("merge")
+    both = pairs.join(sets.select(F.col("text_hash").alias("a"), F.col("items").alias("ia")), "a").join(sets.select(F.col("text_hash").alias("b"), F.col("items").alias("ib")), "b")
+    same = F.size(F.array_intersect("ia", "ib"))
+    return both.where(9 * same >= 4 * (F.size("ia") + F.size("ib"))).select(F.col("fa").alias("a"), F.col("fb").alias("b"))
+
+
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """One document of each group stays: that with the smallest id, once if its row is repeated."""
+    """One document of each group stays: that with the smallest id, once if its row is repeated.
+
+    Groups hold what is reachable over fingerprints of two bits or fewer apart, as in
+    simhash_groups, or a Jaccard similarity of 5-word shingles of 0.8 or more.
+    """
     stage = Staging(spark, "near")
-    groups = stage.keep(simhash_groups(spark, docs).select("doc_id", "component_id"), "groups")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    rows = rows.withColumn("text_hash", F.unhex(F.md5(F.col("text").cast("binary"))))
+    prints = stage.keep(with_prefixes(rows, common_shingles(rows)), "prints")
+    links = near_links(prints.select("fp").distinct()).unionByName(similar_links(stage, rows, prints))
+    roots = connected_components(stage, links)
+    placed = prints.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", "text_hash", F.coalesce("root", "fp").alias("root"))
+    lows = placed.groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    groups = stage.keep(placed.join(lows, "root").select("doc_id", "component_id"), "groups")
     left = without_ids(stage, docs, groups.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id"))
     repeated = groups.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
     return left if repeated.isEmpty() else left.dropDuplicates(["doc_id"])
