@@ -78,11 +78,16 @@ class Staging:
         where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
-def without_ids(stage: Staging, docs: DataFrame, gone: DataFrame, limit: int = 1_000_000) -> DataFrame:
-    """``docs`` without the ids in the one column of ``gone``; the texts are not moved while those are few."""
-    gone = stage.keep(gone.toDF("__gone").distinct(), "gone")
+def text_hash(text: str = "text") -> Column:
+    """With the id, what tells rows apart: rows equal in both are judged alike."""
+    return F.unhex(F.md5(F.col(text).cast("string").cast("binary")))
+
+
+def without_rows(stage: Staging, docs: DataFrame, gone: DataFrame, limit: int = 1_000_000) -> DataFrame:
+    """``docs`` without the rows whose id and text hash are in the two columns of ``gone``; the texts are not moved while those are few."""
+    gone = stage.keep(gone.toDF("__gone", "__hash").distinct(), "gone")
     side = F.broadcast(gone) if gone.count() <= limit else gone
-    return docs.join(side, docs["doc_id"].eqNullSafe(side["__gone"]), "left_anti")
+    return docs.join(side, docs["doc_id"].eqNullSafe(side["__gone"]) & text_hash().eqNullSafe(side["__hash"]), "left_anti")
 
 
 def ascii_lower(col: Column) -> Column:

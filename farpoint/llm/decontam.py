@@ -16,7 +16,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm.common import Staging, ascii_lower, repeat_rows, without_ids
+from farpoint.llm.common import Staging, ascii_lower, repeat_rows, text_hash, without_rows
 
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WINDOW = 13
@@ -100,6 +100,7 @@ def find_windows(base: DataFrame, prefixes: DataFrame) -> DataFrame:
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """Documents that the rule clears, all columns."""
-    bad = contamination(spark, docs, benchmark).where("contaminated").select("doc_id")
-    return without_ids(Staging(spark, "clean"), docs, bad)
+    """Documents that the rule clears, all columns. Rows are judged one by one, whatever their ids."""
+    keyed = docs.select(F.struct("doc_id", text_hash().alias("text_hash")).alias("doc_id"), "text")
+    bad = contamination(spark, keyed, benchmark).where("contaminated").select("doc_id.doc_id", "doc_id.text_hash")
+    return without_rows(Staging(spark, "clean"), docs, bad)

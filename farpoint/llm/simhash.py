@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farpoint.llm.common import Staging, without_ids
+from farpoint.llm.common import Staging, text_hash, without_rows
 from farpoint.llm.components import connected_components
 
 SEED = 42
@@ -277,20 +277,26 @@ def similar_links(stage: Staging, rows: DataFrame, prints: DataFrame) -> DataFra
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """One document of each group stays: that with the smallest id, once if its row is repeated.
+    """One document of each group stays: that with the smallest id (nulls last), of one id the smallest text
+    hash, once if its row is repeated. Rows count as repeated where id and text are equal; a row
+    without words also where its id stands on a row with words (a repeat that line dedup has emptied).
 
     Groups hold what is reachable over fingerprints of two bits or fewer apart, as in
     simhash_groups, or a Jaccard similarity of 5-word shingles of 0.8 or more.
     """
     stage = Staging(spark, "near")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = rows.withColumn("text_hash", F.unhex(F.md5(F.col("text").cast("binary"))))
+    rows = rows.withColumn("text_hash", text_hash())
     prints = stage.keep(with_prefixes(rows, common_shingles(rows)), "prints")
     links = near_links(prints.select("fp").distinct()).unionByName(similar_links(stage, rows, prints))
     roots = connected_components(stage, links)
-    placed = prints.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", "text_hash", F.coalesce("root", "fp").alias("root"))
-    lows = placed.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    groups = stage.keep(placed.join(lows, "root").select("doc_id", "component_id"), "groups")
-    left = without_ids(stage, docs, groups.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id"))
-    repeated = groups.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
-    return left if repeated.isEmpty() else left.dropDuplicates(["doc_id"])
+    emptied = prints.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max(F.col("n_items") > 0).alias("held"), F.min("n_items").alias("n")).where("held AND n = 0")
+    again = prints.where("n_items = 0").select("doc_id", "text_hash").join(emptied, "doc_id", "left_semi").distinct()
+    placed = prints.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", "text_hash", "n_items", F.coalesce("root", "fp").alias("root"))
+    placed = placed.join(emptied.select("doc_id", "held"), "doc_id", "left").where("n_items > 0 OR held IS NULL")
+    key = F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash")
+    firsts = placed.groupBy("root").agg(F.min(key).alias("first"))
+    groups = stage.keep(placed.join(firsts, "root").select("doc_id", "text_hash", (~key.eqNullSafe(F.col("first"))).alias("gone")), "groups")
+    left = without_rows(stage, docs, groups.where("gone").select("doc_id", "text_hash").union(again))
+    repeated = groups.where("NOT gone").groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1")
+    return left if repeated.isEmpty() else left.withColumn("__hash", text_hash()).dropDuplicates(["doc_id", "__hash"]).drop("__hash")
