@@ -28,6 +28,7 @@ LEAST_REVISIT = 1000
 ARCHIVE_BYTES = 64 << 20
 BLOCK_BYTES = 8 << 20
 HEADER_BYTES = 1 << 16
+LENGTH = b"\r\nContent-Length: "
 BROADCAST_ROWS = 500_000
 RECORD = "path string, at long, record_type string, page_id long, uri string, payload_bytes long, payload_digest string, refers_to long"
 
@@ -97,6 +98,8 @@ class _Window:
         self.file, self.start = store.open_input_file(path), start
         self.end = self.file.size()
         self.data = self.file.read_at(min(size, self.end - start), start)
+        self.blank_from = self.blank = self.end  # no blank line begins in between; one does at blank, unless that is the end
+        self.length_of, self.length_from, self.length = -1, 0, -1  # of the header that ends at length_of: its last length line
 
     def read(self, at: int, size: int) -> bytes:
         size = max(0, min(size, self.end - at))
@@ -105,24 +108,60 @@ class _Window:
             return self.data[lo : lo + size]
         return self.file.read_at(size, at)
 
+    def find(self, what: bytes, at: int, stop: int) -> int:
+        """The first place in [at, stop) where ``what`` begins, or -1."""
+        if at >= self.start and (lo := self.data.find(what, at - self.start, stop - self.start + len(what) - 1)) >= 0:
+            return self.start + lo
+        if at >= self.start:
+            at = max(at, self.start + len(self.data) - len(what) + 1)
+        size = 1 << 16
+        while at < stop:
+            part = self.read(at, size + len(what) - 1)
+            if (lo := part.find(what)) >= 0:
+                return at + lo if at + lo < stop else -1
+            at, size = at + size, min(2 * size, 1 << 22)
+        return -1
+
+    def header_stop(self, at: int) -> int:
+        """The first blank line from ``at`` on, or the file's end. Places asked for backwards are searched once in all."""
+        if not self.blank_from <= at <= self.blank:
+            back = at < self.blank_from
+            found = self.find(b"\r\n\r\n", at, self.blank_from if back else self.end)
+            self.blank = found if found >= 0 else self.blank if back else self.end
+            self.blank_from = at
+        return self.blank
+
+    def length_line(self, at: int, stop: int) -> int:
+        """The last length line in [at, stop), or -1."""
+        if self.length_of != stop:
+            self.length_of, self.length_from, self.length = stop, stop, -1
+        if at < self.length_from:
+            if self.length < 0:
+                found = self.read(at, min(self.length_from + len(LENGTH) - 1, stop) - at).rfind(LENGTH)
+                self.length = at + found if found >= 0 else -1
+            self.length_from = at
+        return self.length if self.length >= at else -1
+
+
+def record_ends(window: _Window, at: int) -> tuple[int, int, int] | None:
+    """End of the header, start of the block and start of the next record; None where no record can stand. Headers may have any length."""
+    if window.read(at, len(MAGIC)) != MAGIC or (stop := window.header_stop(at)) == window.end or (line := window.length_line(at, stop)) < 0:
+        return None
+    size = window.read(line + len(LENGTH), min(64, stop - line - len(LENGTH))).split(b"\r\n")[0]
+    if not re.fullmatch(rb"\d{1,18}", size):
+        return None
+    block = stop + 4
+    after = block + int(size) + 4
+    return (stop, block, after) if after <= window.end else None
+
 
 def parse_header(window: _Window, at: int) -> tuple[dict[str, str], int, int] | None:
     """Fields, start of the block and start of the next record; None where no record can stand."""
-    size = 2048
-    while True:
-        head = window.read(at, size)
-        stop = head.find(b"\r\n\r\n")
-        if stop >= 0 or len(head) < size or size >= HEADER_BYTES:
-            break
-        size *= 4
-    if stop < 0 or not head.startswith(MAGIC):
-        return None
-    fields = dict(x.split(": ", 1) for x in head[len(MAGIC) : stop].decode("latin-1").split("\r\n") if ": " in x)
-    if not re.fullmatch(r"\d{1,18}", fields.get("Content-Length", "")):
+    if (found := record_ends(window, at)) is None:
         return None
-    block = at + stop + 4
-    after = block + int(fields["Content-Length"]) + 4
-    return (fields, block, after) if after <= window.end else None
+    stop, block, after = found
+    head = window.read(at + len(MAGIC), stop - at - len(MAGIC)).decode("latin-1")
+    return dict(x.split(": ", 1) for x in head.split("\r\n") if ": " in x), block, after
 
 
 def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -137,7 +176,7 @@ def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 at = window.data.find(MAGIC, at + 1)
             leaves: dict[int, int] = {}
             for place in reversed(places):
-                if found := parse_header(window, place):
+                if found := record_ends(window, place):
                     after = found[2]
                     out = after if after >= stop else leaves.get(after)
                     if out is not None:
@@ -186,7 +225,7 @@ def _batch(rows: list[tuple], with_payload: bool) -> pa.RecordBatch:
 
 
 def read_warc(spark: SparkSession, manifest: DataFrame, stage: Staging, block_bytes: int = BLOCK_BYTES, with_payload: bool = False) -> DataFrame:
-    """One row per true record of the files (path, bytes)."""
+    """One row per true record of the files (path, bytes); an error where the records do not fill a file."""
     root = F.lit(stage.root)
     blocks = manifest.where("bytes > 0").select("path", "bytes", F.explode(F.expr(f"sequence(0L, bytes - 1, {block_bytes}L)")).alias("start"))
     blocks = stage.keep(blocks.select("path", "bytes", "start", F.least(F.col("start") + block_bytes, "bytes").alias("stop")), "blocks")
@@ -204,6 +243,10 @@ def read_warc(spark: SparkSession, manifest: DataFrame, stage: Staging, block_by
         known = now
         far = jumps.select("path", F.col("at").alias("after"), F.col("after").alias("far")).hint("merge")
         jumps = stage.keep(jumps.join(far, ["path", "after"], "left").select("path", "at", F.coalesce("far", "after").alias("after")), "jumps")
+    ends = leaps.join(entries.hint("merge"), ["path", "at"], "left_semi").groupBy("path").agg(F.max("after").alias("after"))
+    broken = manifest.where("bytes > 0").join(ends, "path", "left").where("after IS NULL OR after <> bytes").select("path", "bytes").head()
+    if broken is not None:
+        raise ValueError(f"the records of {broken.path} do not end at its {broken.bytes} bytes")
     place = F.expr(f"at - at % {block_bytes}")
     starts = entries.withColumn("start", place).join(blocks, ["path", "start"])
     todo = starts.select(root.alias("root"), "path", "at", "stop").repartition(min(n_blocks, 10_000), "path", "at")
