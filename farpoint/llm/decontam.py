@@ -1,9 +1,10 @@
 """Benchmark decontamination as a prefix-filtered set join, with DataFrame functions only.
 
 The records of the join are the item-sized windows of the benchmark (13 consecutive words, or the
-whole item where it is shorter); containment has to be complete, so by the prefix principle one
-token of a window is enough to find every document position that can hold it: its rarest word,
-by counts over all documents. Each occurrence of that word fixes the only possible start of the
+whole item where it is shorter), their tokens are shingles of SHINGLE words (the whole window where
+it is shorter) in the order of rarity, by counts over all documents. Containment has to be complete, so by
+the prefix principle one token of a window is enough to find every document position that can
+hold it: its rarest shingle. Each occurrence of that shingle fixes the only possible start of the
 window (positional bound), the window has to end inside the document (length bound), and what
 is left is verified word by word, all in the stage that scans the text. Only verified windows
 are shuffled.
@@ -20,6 +21,8 @@ from farpoint.llm.common import Staging, ascii_lower, repeat_rows, text_hash, wi
 
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WINDOW = 13
+#: Words of a token of the join.
+SHINGLE = 3
 #: Windows broadcast at once (about 200 bytes each); a larger benchmark is taken in blocks.
 BLOCK_WINDOWS = 100_000
 
@@ -29,8 +32,8 @@ def words_of(text: Column) -> Column:
 
 
 def benchmark_windows(benchmark: DataFrame, window: int, id_col: str = "item_id", text_col: str = "text") -> DataFrame:
-    """Distinct windows with the sorted ids (as text) of the items that hold them."""
-    items = benchmark.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("string").alias("item_id"), words_of(F.col(text_col)).alias("item_words"))
+    """Distinct windows with the sorted ids (as text) of the items that hold them; an item without an id has windows and no id to list."""
+    items = benchmark.select(F.col(id_col).cast("string").alias("item_id"), words_of(F.col(text_col)).alias("item_words"))
     items = items.withColumn("n", F.size("item_words")).where("n > 0")
     starts = F.explode_outer(F.sequence(F.lit(1), F.greatest(F.col("n") - window + 1, F.lit(1))))
     return (
@@ -40,12 +43,25 @@ def benchmark_windows(benchmark: DataFrame, window: int, id_col: str = "item_id"
     )
 
 
+def shingles_of(words: str, size: int) -> Column:
+    """The shingles of an array of words, in order: xxhash64 of each, seeded with the size by its first argument."""
+    shifted = [F.col(words) if i == 0 else F.slice(words, i + 1, F.greatest(F.size(words) - i, F.lit(0))) for i in range(size)]
+    return F.arrays_zip(*[x.alias(f"s{i}") for i, x in enumerate(shifted)])
+
+
+def with_tokens(rows: DataFrame, words: str, size: int, *keep: str) -> DataFrame:
+    """A row for each shingle in ``words``: its place ``pos`` and its ``token``. Equal tokens are only candidates, the words decide."""
+    each = rows.select(*keep, F.posexplode(shingles_of(words, size)).alias("pos", "shingle")).where(F.col(f"shingle.s{size - 1}").isNotNull())
+    return each.select(*keep, "pos", F.xxhash64(F.lit(size), *[F.col(f"shingle.s{i}") for i in range(size)]).alias("token"))
+
+
 def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20, block_windows: int = BLOCK_WINDOWS) -> DataFrame:
     """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated.
 
     A word inside any occurrence of a window is hit; contaminated means n_hit > 0 and
     share * n_hit >= n_words. Null text has no words; repeated rows each get a row; items without
-    words or id have no windows; further columns are ignored; either table may be empty.
+    words have no windows, items without id count in n_hit and not among the items; further columns are
+    ignored; either table may be empty.
     """
     stage = Staging(spark, "decontam")
     words = words_of(F.col("text"))
@@ -54,27 +70,31 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, wi
         "words",
     )
     wins = stage.keep(benchmark_windows(benchmark, window), "windows")
-    tokens = wins.select(F.explode("win").alias("token")).distinct()
-    few = wins.count() <= block_windows  # then their words are few as well
-    if few:
-        tokens = F.broadcast(tokens)
-    counts = base.select(F.explode_outer(F.split("body", " ")).alias("token")).join(tokens, "token").groupBy("token").agg(F.count("*").alias("df"))
-    spread = wins.select("win", "items", F.posexplode("win").alias("at", "token")).join(F.broadcast(counts) if few else counts, "token", "left")
-    rarest = stage.keep(
-        spread.groupBy("win").agg(F.min(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "token", "at")).alias("prefix"), F.first("items").alias("items"))
-        .where("prefix.df > 0")  # a word that no document has
-        .select(F.col("prefix.token").alias("token"), F.col("prefix.at").alias("offset"), "win", F.size("win").alias("win_len"), "items"),
-        "prefixes",
-    )
-    blocks = max(1, math.ceil(rarest.count() / block_windows))
+    wins = wins.withColumn("win_len", F.size("win"))
+    sizes = [r.n for r in wins.select(F.least("win_len", F.lit(SHINGLE)).alias("n")).distinct().orderBy("n").collect()]  # 1 to SHINGLE
+    few = wins.count() <= block_windows  # then their shingles are few as well
     found = None
-    for block in range(blocks):
-        part = rarest if blocks == 1 else rarest.where(F.pmod(F.xxhash64("token", "win"), F.lit(blocks)) == block)
-        hits = find_windows(base, part)
-        found = hits if found is None else found.unionByName(hits)
+    for size in sizes:
+        own = with_tokens(wins.where(F.least("win_len", F.lit(SHINGLE)) == size), "win", size, "win", "items", "win_len")
+        tokens = own.select("token").distinct()
+        scan = base.where("n_words > 0").select(F.split("body", " ").alias("doc_words"))
+        counts = with_tokens(scan, "doc_words", size).join(F.broadcast(tokens) if few else tokens, "token").groupBy("token").agg(F.count("*").alias("df"))
+        spread = own.join(F.broadcast(counts) if few else counts, "token")
+        every = F.col("win_len") - size + 1  # a shingle that no document has rules its window out
+        rarest = stage.keep(
+            spread.groupBy("win").agg(F.min(F.struct("df", "token", "pos")).alias("prefix"), F.count("*").alias("n"), F.first("items").alias("items"), F.first("win_len").alias("win_len"))
+            .where(F.col("n") == every)
+            .select(F.col("prefix.token").alias("token"), F.col("prefix.pos").alias("offset"), "win", "win_len", "items"),
+            f"prefixes-{size}",
+        )
+        blocks = max(1, math.ceil(rarest.count() / block_windows))
+        for block in range(blocks):
+            part = rarest if blocks == 1 else rarest.where(F.pmod(F.xxhash64("token", "win"), F.lit(blocks)) == block)
+            hits = find_windows(base, part, size)
+            found = hits if found is None else found.unionByName(hits)
     every = base.select("doc_id", "body_hash", "n_words", F.lit(1).cast("long").alias("copies"), F.lit(None).cast("struct<start:int,win_len:int>").alias("span"), F.lit(None).cast("array<string>").alias("items"))
     per_doc = (
-        every.unionByName(found.withColumn("copies", F.lit(0).cast("long")))
+        (every if found is None else every.unionByName(found.withColumn("copies", F.lit(0).cast("long"))))
         .groupBy("doc_id", "body_hash", "n_words")
         .agg(F.sum("copies").alias("copies"), F.collect_set("span").alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("items"))
     )
@@ -89,10 +109,13 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, wi
     )
 
 
-def find_windows(base: DataFrame, prefixes: DataFrame) -> DataFrame:
-    """Verified occurrences: prefix-token probe, positional and length bounds, then the words."""
-    scan = base.select("doc_id", "body_hash", "n_words", F.split("body", " ").alias("doc_words"))
-    at = scan.select("*", F.posexplode_outer("doc_words").alias("pos", "token"))
+def find_windows(base: DataFrame, prefixes: DataFrame, size: int) -> DataFrame:
+    """Verified occurrences by tokens of one size: prefix-token probe, positional and length bounds, then the words.
+
+    The words of a document stay with its scan's stage up to the verdict; no row of it is written with them.
+    """
+    scan = base.where("n_words > 0").select("doc_id", "body_hash", "n_words", F.split("body", " ").alias("doc_words"))
+    at = with_tokens(scan, "doc_words", size, "doc_id", "body_hash", "n_words", "doc_words")
     start = F.col("pos") - F.col("offset")
     cand = at.join(F.broadcast(prefixes), "token").where((start >= 0) & (start + F.col("win_len") <= F.col("n_words")))
     same = F.slice("doc_words", start + 1, F.col("win_len")) == F.col("win")

@@ -35,7 +35,7 @@ def brute(docs, items, size=13):
     for item, text in items:
         w = words(text)
         for s in range(max(len(w) - size + 1, 1) if w else 0):
-            wins.setdefault(tuple(w[s : s + size]), set()).add(str(item))
+            wins.setdefault(tuple(w[s : s + size]), set()).update([] if item is None else [str(item)])
     for doc, text in docs:
         w, hit, found = words(text), set(), set()
         for n in {len(x) for x in wins}:
@@ -49,10 +49,11 @@ def brute(docs, items, size=13):
 
 def test_contamination_against_brute_force(spark, sf):
     long = " ".join(f"w{i}" for i in range(40))
-    items = [(1, long), (10, "Alpha BETA"), (2, "beta"), (3, None), (4, "..."), (5, " ".join(f"w{i}" for i in range(5, 18))), (5, "Alpha BETA"), (6, "the the the")]
+    items = [(1, long), (10, "Alpha BETA"), (2, "beta"), (3, None), (4, "..."), (5, " ".join(f"w{i}" for i in range(5, 18))), (5, "Alpha BETA"), (6, "the the the"), (None, "nobody owns this passage")]
     docs = [
         (1, None), (2, ""), (3, "!!"), (4, f"x {long} y"), (5, "alpha-beta gamma " * 30), (6, "é Alpha É beta" + " z" * 100), (7, "w5 " + long[3:]),
         (8, "the " * 300), (9, "beta"), (9, "beta"), (None, "beta"), (11, "w0 w1 w2 w3 w4"),
+        (12, "nobody owns this passage"), (13, "long " * 150_000 + long),
     ]
     frame = spark.createDataFrame(docs, "doc_id long, text string").withColumn("token", F.lit("t")).withColumn("n_words", F.lit(1))
     bench = spark.createDataFrame(items, "item_id long, text string").withColumn("win", F.lit(0))
