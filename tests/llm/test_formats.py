@@ -41,6 +41,15 @@ def test_long_conversations_are_linear_and_checked():
 
     assert chat.locate(forgets_far, turns, context=4) == chat.locate(forgets_far, turns, context=1000)
     assert not chat.locate(forgets_far, turns, context=4)[0]
+
+    def hides_system(turns):
+        return chat.marked_template([t for t in turns if t[0] != "system"] if turns and turns[-1][0] == "tool" else turns)
+
+    asked = [("system", "s"), *((("user", "q") if i % 2 else ("assistant", "a")) for i in range(59))]
+    asked[37] = ("tool", "t")
+    appends, examples = chat.locate(hides_system, asked)
+    assert not appends and [x for x, _ in examples] == [hides_system(asked[: i + 1]) for i, (r, _) in enumerate(asked) if r == "assistant"]
+    assert all(x[s[0][3] : s[0][4]] == "a" for x, s in examples)
     a, b = "x" * 1000 + "ab", "x" * 1000 + "ba"
     assert chat.common(a, b) == 1000 and chat.common(a, a[:5]) == 5 and chat.common("", a) == 0 and chat.common("q", a) == 0
 
@@ -63,9 +72,11 @@ def test_conversations_in_parts(spark):
     frame = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
     whole = sorted(map(str, chat.chat_digests(spark, frame).collect()))
     assert sorted(map(str, chat.chat_digests(spark, frame, part_turns=7).collect())) == whole
-    parts = chat.format_chats(frame, part_turns=7).where("conv_id = 1").orderBy("part").collect()
-    one = chat.format_chats(frame).where("conv_id = 1").collect()
-    assert len(one) == 1 and "".join(p.formatted for p in parts) == one[0].formatted
+    for context in (1, None):
+        parts = chat.format_chats(frame, part_turns=7, context=context).where("conv_id = 1").orderBy("part").collect()
+        one = chat.format_chats(frame, context=context).where("conv_id = 1").collect()
+        assert len(one) == 1 and one[0].append_only and "".join(p.formatted for p in parts) == one[0].formatted
+        assert len(parts) == 1 or parts[1].append_only is (context and True)
 
 
 def test_warc_boundaries(spark):
