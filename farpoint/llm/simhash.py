@@ -1,12 +1,13 @@
 """SimHash near-duplicate detection with a pigeonring candidate filter.
 
-Fingerprints of 64 bits are cut into a ring of ``SEGMENTS`` segments. If two differ in at most
-``limit`` bits, the ring principle gives a segment from which every chain of l consecutive segments
-has at most l * limit / SEGMENTS differing bits. The chains too short to allow one bit are
-therefore equal and serve as the join key; the longer chains prune candidates before the full
-Hamming distance. Copies share a fingerprint and are collapsed before; a bucket gives links to a
-root of each linked set in it, never all pairs; a bucket over ``heavy`` fingerprints is linked
-through shared one-bit neighbours, which is exact for two bits and linear.
+Fingerprints of 64 bits are cut into a ring of segments. If two differ in at most ``limit`` bits, the
+ring principle gives a segment from which every chain of l consecutive segments has at most l * limit /
+segments differing bits. The chains too short to allow one bit are therefore equal and serve as the
+join key; the longer chains prune candidates before the full Hamming distance. The bits outside the key
+form a ring of their own with the same limit, so a key that too many fingerprints share is split by an equal
+chain of that ring, and so on until a key leaves FREE_BITS bits or fewer, which bounds what can share it.
+Copies share a fingerprint and are collapsed before; a bucket gives links to a root of each linked set
+in it, never all pairs.
 """
 
 from __future__ import annotations
@@ -15,72 +16,65 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from farpoint.llm.common import Staging, text_hash, without_rows
 from farpoint.llm.components import connected_components
+from farpoint.llm.shingles import SEED, majority_bits, shingle_hashes
+from farpoint.llm.similar import similar_links, slot_counts, with_prints
 
-SEED = 42
 SEGMENTS = 8
 LIMIT = 2
+#: Fingerprints that a bucket compares; a key that more share is split by the next ring.
 HEAVY = 1024
-#: Words of a shingle where near duplicates are judged by the Jaccard similarity of their sets.
-SIMILAR_SHINGLE = 5
-BROADCAST_TEXTS = 500_000
-
-
-def shingle_hashes(text: str | None, shingle: int, seed: int = SEED) -> Iterator[np.ndarray]:
-    """XXH64 of the word shingles in pieces; a text of fewer words is one shingle, one of none has none."""
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not words:
-        return
-    body = b" ".join(words)
-    n = max(len(words) - shingle + 1, 1)
-    sizes = np.fromiter(map(len, words), np.int64, len(words))
-    ends = np.cumsum(sizes + 1) - 1
-    starts = (ends - sizes)[:n].tolist()
-    stops = ends[len(words) - n :].tolist()
-    digest = xxhash.xxh64_intdigest
-    for lo in range(0, n, 65_536):
-        yield np.fromiter((digest(body[a:b], seed) for a, b in zip(starts[lo : lo + 65_536], stops[lo : lo + 65_536], strict=True)), np.uint64)
+#: Bits that the last ring leaves open.
+FREE_BITS = 9
 
 
 def fingerprint(text: str | None, shingle: int = 3, seed: int = SEED) -> int:
     """A bit is 1 if it is set in over half of the XXH64 of the word shingles, repeats included."""
-    votes, n = np.zeros(64, np.int64), 0
-    for hashes in shingle_hashes(text, shingle, seed):
-        bits = np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-        votes += np.add.reduce(bits, axis=0, dtype=np.int32)
-        n += len(hashes)
-    return int(np.packbits(votes * 2 > n, bitorder="little").view(np.uint64)[0])
+    return majority_bits(shingle_hashes(text, shingle, seed))
 
 
-def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        prints = np.fromiter(map(fingerprint, (x.as_py() for x in batch.column(1))), np.uint64, batch.num_rows)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints.view(np.int64))], names=["doc_id", "fp"])
-
+def with_fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            prints = np.fromiter((fingerprint(x.as_py(), shingle) for x in batch.column(1)), np.uint64, batch.num_rows)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints.view(np.int64))], names=["doc_id", "fp"])
 
-def with_fingerprints(docs: DataFrame) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(_fingerprints, "doc_id long, fp long")
-
-
-def ring_keys(fp: str = "fp", segments: int = SEGMENTS, limit: int = LIMIT):
-    """A key for each ring start: the start and the chain of segments that must be equal."""
-    width, chain = 64 // segments, equal_chain(segments, limit)
-    keys = []
-    for i in range(segments):
-        turned = F.shiftrightunsigned(fp, i * width).bitwiseOR(F.shiftleft(fp, 64 - i * width)) if i else F.col(fp)
-        keys.append(turned.bitwiseAND(F.lit((1 << chain * width) - 1)).bitwiseOR(F.lit(i << chain * width)))
-    return F.array(*keys)
+    return rows.mapInArrow(run, "doc_id long, fp long")
 
 
 def equal_chain(segments: int, limit: int) -> int:
     """The longest chain whose budget is below one bit."""
-    return max(n for n in range(1, segments + 1) if n * limit < segments)
+    return max(n for n in range(segments + 1) if n * limit < segments)
+
+
+def ring_levels(limit: int = LIMIT) -> list[tuple[int, int, int]]:
+    """(bits, bits of a segment, segments of an equal chain) of each ring: first the fingerprint's, then those of what is left."""
+    if not 0 < limit < 2 * SEGMENTS:
+        raise ValueError(f"limit {limit}: ring keys are made for 1 to {2 * SEGMENTS - 1} bits")
+    levels, bits = [], 64
+    while bits > FREE_BITS and len(levels) < 14:  # four bits of a path for each
+        width = next((w for w in (64 // SEGMENTS, 4, 2, 1) if bits % w == 0 and equal_chain(bits // w, limit)), 0)
+        if not width:
+            break
+        levels.append((bits, width, equal_chain(bits // width, limit)))
+        bits -= width * levels[-1][2]
+    return levels
+
+
+def with_ring_keys(rows: DataFrame, bits: int, width: int, chain: int) -> DataFrame:
+    """(fp, path, same, rest) -> a row for each start on the ring of ``rest``: the starts so far, the bits that must be equal, the bits left."""
+    held, each = width * chain, []
+    for i in range(bits // width):
+        back = F.shiftleft("rest", bits - i * width)
+        turned = F.shiftrightunsigned("rest", i * width).bitwiseOR(back if bits == 64 else back.bitwiseAND(F.lit((1 << bits) - 1))) if i else F.col("rest")
+        same = F.shiftleft("same", held).bitwiseOR(turned.bitwiseAND(F.lit((1 << held) - 1)))
+        each.append(F.struct((F.shiftleft("path", 4) + i).alias("path"), same.alias("same"), F.shiftrightunsigned(turned, held).alias("rest")))
+    return rows.select("fp", F.inline(F.array(*each)))
 
 
 def chain_passes(diff: np.ndarray, start: np.ndarray, segments: int = SEGMENTS, limit: int = LIMIT) -> np.ndarray:
@@ -95,21 +89,20 @@ def chain_passes(diff: np.ndarray, start: np.ndarray, segments: int = SEGMENTS,
     return ok
 
 
-def link_sorted(key: np.ndarray, fp: np.ndarray, segments: int = SEGMENTS, limit: int = LIMIT) -> tuple[np.ndarray, np.ndarray]:
-    """Links (fingerprint, root) inside runs of equal keys; at most one for each row."""
-    start = key >> (equal_chain(segments, limit) * (64 // segments))
+def link_sorted(run: np.ndarray, start: np.ndarray, fp: np.ndarray, limit: int = LIMIT) -> tuple[np.ndarray, np.ndarray]:
+    """Links (fingerprint, root) inside runs of equal numbers; at most one for each row."""
     left, right = [], []
-    live, gap = np.arange(len(key) - 1), 1
+    live, gap = np.arange(len(run) - 1), 1
     while len(live):
-        live = live[live + gap < len(key)]
-        live = live[key[live] == key[live + gap]]
-        ok = chain_passes(fp[live] ^ fp[live + gap], start[live], segments, limit)
+        live = live[live + gap < len(run)]
+        live = live[run[live] == run[live + gap]]
+        ok = chain_passes(fp[live] ^ fp[live + gap], start[live], limit=limit)
         left.append(live[ok])
         right.append(live[ok] + gap)
         gap += 1
     if not left:
         return fp[:0], fp[:0]
-    i, j, label = np.concatenate(left), np.concatenate(right), np.arange(len(key))
+    i, j, label = np.concatenate(left), np.concatenate(right), np.arange(len(run))
     while len(i):
         low = np.minimum(label[i], label[j])
         np.minimum.at(label, i, low)
@@ -117,178 +110,82 @@ def link_sorted(key: np.ndarray, fp: np.ndarray, segments: int = SEGMENTS, limit
         label = label[label]
         if (label[i] == label[j]).all():
             break
-    own = np.flatnonzero(label != np.arange(len(key)))
+    own = np.flatnonzero(label != np.arange(len(run)))
     return fp[own], fp[label[own]]
 
 
-def _bucket_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Input sorted by key; a run that a batch ends with waits for the next."""
-    held_key, held_fp = np.empty(0, np.int64), np.empty(0, np.uint64)
+def _bucket_links(level: int, limit: int):
+    """Input (path, same, fp) sorted by path and same; a run that a batch ends with waits for the next."""
 
-    def linked(key, fp):
-        a, b = link_sorted(key, fp)
+    def linked(path, same, fp):
+        run = np.cumsum(np.concatenate([[True], (path[1:] != path[:-1]) | (same[1:] != same[:-1])]))
+        a, b = link_sorted(run, path >> (4 * level), fp, limit)
         return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
 
-    for batch in batches:
-        key = np.concatenate([held_key, batch.column(0).to_numpy(zero_copy_only=False)])
-        fp = np.concatenate([held_fp, batch.column(1).to_numpy(zero_copy_only=False).view(np.uint64)])
-        cut = int(np.searchsorted(key, key[-1])) if len(key) else 0
-        if cut:
-            yield linked(key[:cut], fp[:cut])
-        held_key, held_fp = key[cut:], fp[cut:]
-    if len(held_key):
-        yield linked(held_key, held_fp)
-
-
-def near_links(prints: DataFrame, heavy: int = HEAVY) -> DataFrame:
-    """Distinct fingerprints (fp) -> links (a, b) that span every set reachable over <= 2 bits."""
-    keyed = prints.select("fp", F.explode(ring_keys()).alias("key"))
-    sizes = keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    light = keyed.join(sizes.where(F.col("n") <= heavy).select("key"), "key").select("key", "fp")
-    links = light.repartition("key").sortWithinPartitions("key", "fp").mapInArrow(_bucket_links, "a long, b long")
-    # exact and linear for buckets of any size: two fingerprints within two bits share a one-bit neighbour
-    dense = keyed.join(sizes.where(F.col("n") > heavy).select("key"), "key").select("fp").distinct()
-    around = F.array(F.col("fp"), *[F.col("fp").bitwiseXOR(F.lit((1 << i) if i < 63 else -(1 << 63))) for i in range(64)])
-    stars = dense.select("fp", F.explode(around).alias("near"))
-    hubs = stars.groupBy("near").agg(F.min("fp").alias("hub"), F.count("*").alias("n")).where("n > 1").select("near", "hub")
-    return links.unionByName(stars.join(hubs, "near").where("fp <> hub").select(F.col("fp").alias("a"), F.col("hub").alias("b")))
-
-
-def simhash_groups(spark: SparkSession, docs: DataFrame, heavy: int = HEAVY) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.uint64)]
+        for batch in batches:
+            new = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            held = [np.concatenate([x, y.view(x.dtype)]) for x, y in zip(held, new, strict=True)]
+            path, same, _ = held
+            last = np.flatnonzero((path != path[-1]) | (same != same[-1])) if len(path) else path
+            if len(last):
+                cut = int(last[-1]) + 1
+                yield linked(*(x[:cut] for x in held))
+                held = [x[cut:] for x in held]
+        if len(held[0]):
+            yield linked(*held)
+
+    return run
+
+
+def near_links(stage: Staging, prints: DataFrame, heavy: int = HEAVY, limit: int = LIMIT) -> DataFrame:
+    """Distinct fingerprints (fp) -> links (a, b) that span every set reachable over <= ``limit`` bits."""
+    rows = prints.select("fp", F.lit(0).cast("long").alias("path"), F.lit(0).cast("long").alias("same"), F.col("fp").alias("rest"))
+    links, levels = None, ring_levels(limit)
+    for level, (bits, width, chain) in enumerate(levels):
+        keyed = with_ring_keys(rows, bits, width, chain)
+        sizes = stage.keep(keyed.groupBy("path", "same").agg(F.count("*").alias("n")).where("n > 1"), "sizes")
+        crowded = F.col("n") > heavy if level + 1 < len(levels) else F.lit(False)
+        light = keyed.join(sizes.where(~crowded).select("path", "same"), ["path", "same"]).select("path", "same", "fp")
+        found = light.repartition("path", "same").sortWithinPartitions("path", "same").mapInArrow(_bucket_links(level, limit), "a long, b long")
+        links = found if links is None else links.unionByName(found)
+        if level + 1 == len(levels) or sizes.where(crowded).isEmpty():
+            break
+        rows = stage.keep(keyed.join(sizes.where(crowded).select("path", "same"), ["path", "same"]).select("fp", "path", "same", "rest"), "crowded")
+    return links
+
+
+def simhash_groups(spark: SparkSession, docs: DataFrame, heavy: int = HEAVY, shingle: int = 3, limit: int = LIMIT) -> DataFrame:
     """One row per document: doc_id, fingerprint (16 hex digits), component_id.
 
     Null and word-less texts have fingerprint zero and link like any other. component_id is the
-    smallest doc_id reachable over links of two bits or fewer (null ids are passed over unless a
+    smallest doc_id reachable over links of ``limit`` bits or fewer (null ids are passed over unless a
     group has no other). Repeated rows each get a row; other columns are ignored.
     """
     stage = Staging(spark, "simhash")
-    prints = stage.keep(with_fingerprints(docs), "prints")
+    prints = stage.keep(with_fingerprints(docs, shingle), "prints")
     nodes = stage.keep(prints.groupBy("fp").agg(F.min("doc_id").alias("low")), "nodes")
-    roots = connected_components(stage, near_links(nodes.select("fp"), heavy))
+    roots = connected_components(stage, near_links(stage, nodes.select("fp"), heavy, limit))
     placed = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
     lows = placed.groupBy("root").agg(F.min("low").alias("component_id"))
     named = stage.keep(placed.join(lows, "root").select("fp", "component_id"), "named")
     return prints.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def shingle_set(text: str | None) -> np.ndarray:
-    return np.unique(np.concatenate([np.empty(0, np.uint64), *shingle_hashes(text, SIMILAR_SHINGLE)]).view(np.int64))
-
-
-def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(text_hash, text) -> the set of the text's shingles, in rows of bounded size."""
-    for batch in batches:
-        for h, text in zip(batch.column(0), batch.column(1), strict=True):
-            yield pa.RecordBatch.from_arrays([pa.array([h.as_py()], pa.binary()), pa.array([shingle_set(text.as_py())], pa.list_(pa.int64()))], names=["text_hash", "items"])
-
-
-def common_shingles(rows: DataFrame, texts: int = 20_000, least: int = 8, most: int = 100_000) -> np.ndarray:
-    """Shingles that many texts of a sample hold. They go last in the order of the prefix filter, which is exact for any order."""
-    n = rows.count()
-    some = rows if n <= texts else rows.where(F.pmod(F.xxhash64("text_hash"), F.lit(n // texts + 1)) == 0)
-    some = some.where("text_hash IS NOT NULL").select("text_hash", "text").mapInArrow(_sets, "text_hash binary, items array<long>")
-    often = some.select("text_hash", F.explode("items").alias("item")).groupBy("item").agg(F.count("*").alias("n")).where(F.col("n") >= least)
-    return np.sort(np.array([r.item for r in often.orderBy(F.desc("n"), "item").limit(most).collect()], np.int64))
-
-
-def prefix_size(n: int) -> int:
-    """Of the first so many of n items, in one order for all sets, two sets of Jaccard 0.8 or more share one."""
-    return n - (4 * n + 4) // 5 + 1 if n else 0
-
-
-def with_prefixes(rows: DataFrame, last: np.ndarray) -> DataFrame:
-    """(doc_id, text, text_hash) -> doc_id, text_hash, fp, n_items and the prefix of the set of shingles."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            prints, sizes, prefixes = [], [], []
-            for text in (x.as_py() for x in batch.column(1)):
-                items = shingle_set(text)
-                late = np.isin(items, last, assume_unique=True)
-                prints.append(fingerprint(text))
-                sizes.append(len(items))
-                prefixes.append(np.concatenate([items[~late], items[late]])[: prefix_size(len(items))])
-            fp = pa.array(np.array(prints, np.uint64).view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), fp, pa.array(sizes, pa.int64()), pa.array(prefixes, pa.list_(pa.int64()))], names=["doc_id", "text_hash", "fp", "n_items", "prefix"])
-
-    return rows.select("doc_id", "text", "text_hash").mapInArrow(run, "doc_id long, text_hash binary, fp long, n_items long, prefix array<long>")
-
-
-def similar_pairs(item: np.ndarray, size: np.ndarray, at: np.ndarray, fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rows sorted by item -> row pairs of one item whose sizes and places allow a Jaccard of 0.8, and that are not linked by their fingerprints."""
-    left, right = [], []
-    live, gap = np.arange(len(item) - 1), 1
-    while len(live):
-        live = live[live + gap < len(item)]
-        live = live[item[live] == item[live + gap]]
-        a, b = live, live + gap
-        most = np.minimum(size[a] - at[a], size[b] - at[b])  # common items, if this is the first of them
-        ok = (9 * most >= 4 * (size[a] + size[b])) & (np.bitwise_count(fp[a] ^ fp[b]) > LIMIT)
-        left.append(a[ok])
-        right.append(b[ok])
-        # rows of an item are sorted by size: a later row is too large as well
-        live = live[5 * size[a] >= 4 * size[b]]
-        gap += 1
-    none = np.empty(0, np.int64)
-    return np.concatenate([none, *left]), np.concatenate([none, *right])
-
-
-def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Input (item, n_items, at, fp, text_hash) sorted by item and n_items; a run that a batch ends with waits for the next."""
-
-    def paired(rows: pa.Table):
-        item, size, at, fp = (rows.column(i).to_numpy() for i in range(4))
-        a, b = similar_pairs(item, size, at, fp.view(np.uint64))
-        for lo in range(0, len(a), 100_000):
-            x, y = (rows.take(pa.array(i[lo : lo + 100_000])).combine_chunks() for i in (a, b))
-            columns = [t.column(c).combine_chunks() for t, c in ((x, 4), (x, 3), (y, 4), (y, 3))]
-            yield pa.RecordBatch.from_arrays([c.chunk(0) if isinstance(c, pa.ChunkedArray) else c for c in columns], names=["a", "fa", "b", "fb"])
-
-    held: list[pa.RecordBatch] = []
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        item = batch.column(0).to_numpy()
-        cut = int(np.searchsorted(item, item[-1]))
-        if held and (cut or held[-1].column(0)[-1] != batch.column(0)[0]):
-            yield from paired(pa.Table.from_batches([*held, batch.slice(0, cut)]))
-            held = []
-        elif cut:
-            yield from paired(pa.Table.from_batches([batch.slice(0, cut)]))
-        held.append(batch.slice(cut))
-    if held:
-        yield from paired(pa.Table.from_batches(held))
-
-
-def similar_links(stage: Staging, rows: DataFrame, prints: DataFrame) -> DataFrame:
-    """Links (a, b) between the fingerprints of texts of Jaccard 0.8 or more: prefix, size and place filters, then the whole sets."""
-    texts = prints.where("n_items > 0").dropDuplicates(["text_hash"])
-    items = texts.select(F.posexplode("prefix").alias("at", "item"), "n_items", "fp", "text_hash").select("item", "n_items", F.col("at").cast("long").alias("at"), "fp", "text_hash")
-    pairs = items.repartition("item").sortWithinPartitions("item", "n_items").mapInArrow(_pairs, "a binary, fa long, b binary, fb long")
-    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("fa")).otherwise(F.col("fb")).alias("fa"), F.when(F.col("a") < F.col("b"), F.col("fb")).otherwise(F.col("fa")).alias("fb"))
-    pairs = stage.keep(pairs.distinct(), "pairs")
-    wanted = stage.keep(pairs.select(F.col("a").alias("text_hash")).union(pairs.select("b")).distinct(), "wanted")
-    side = F.broadcast(wanted) if wanted.count() <= BROADCAST_TEXTS else wanted
-    sets = rows.join(side, "text_hash", "left_semi").select("text_hash", "text").mapInArrow(_sets, "text_hash binary, items array<long>")
-    sets = stage.keep(sets.dropDuplicates(["text_hash"]), "sets").hint("merge")
-    both = pairs.join(sets.select(F.col("text_hash").alias("a"), F.col("items").alias("ia")), "a").join(sets.select(F.col("text_hash").alias("b"), F.col("items").alias("ib")), "b")
-    same = F.size(F.array_intersect("ia", "ib"))
-    return both.where(9 * same >= 4 * (F.size("ia") + F.size("ib"))).select(F.col("fa").alias("a"), F.col("fb").alias("b"))
-
-
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """One document of each group stays: that with the smallest id (nulls last), of one id the smallest text
     hash, once if its row is repeated. Rows count as repeated where id and text are equal; a row
     without words also where its id stands on a row with words (a repeat that line dedup has emptied).
 
-    Groups hold what is reachable over fingerprints of two bits or fewer apart, as in
-    simhash_groups, or a Jaccard similarity of 5-word shingles of 0.8 or more.
+    Groups hold what is reachable over fingerprints of 5-word shingles LIMIT bits or fewer apart, as in
+    simhash_groups, or a Jaccard similarity of these shingles of 0.8 or more.
     """
     stage = Staging(spark, "near")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     rows = rows.withColumn("text_hash", text_hash())
-    prints = stage.keep(with_prefixes(rows, common_shingles(rows)), "prints")
-    links = near_links(prints.select("fp").distinct()).unionByName(similar_links(stage, rows, prints))
+    prints = stage.keep(with_prints(rows, slot_counts(rows)), "prints")
+    links = similar_links(stage, rows, prints, near_links(stage, prints.select("fp").distinct()))
     roots = connected_components(stage, links)
     emptied = prints.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max(F.col("n_items") > 0).alias("held"), F.min("n_items").alias("n")).where("held AND n = 0")
     again = prints.where("n_items = 0").select("doc_id", "text_hash").join(emptied, "doc_id", "left_semi").distinct()

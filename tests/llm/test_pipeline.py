@@ -7,7 +7,7 @@ import corpus_pipeline as P
 from farpoint.llm import langid, sp_sample
 from tests.llm.test_lines import brute as brute_lines
 from tests.llm.test_native_ops import brute as brute_contamination
-from tests.llm.test_simhash import brute_components, brute_print
+from tests.llm.test_similar import brute_left
 
 
 def test_pipeline_against_brute_force(spark, sf):
@@ -18,8 +18,7 @@ def test_pipeline_against_brute_force(spark, sf):
     names, score = langid.Predictor(net)(pa.array(list(texts.values())))
     left = [(d, t) for (d, t), n, s in zip(texts.items(), names, score, strict=True) if n != "und" and s >= 0.35]
     left = [(r[0], r[1]) for r in map(ast.literal_eval, brute_lines(left, 50))]
-    lows = brute_components([d for d, _ in left], [brute_print(t) for _, t in left])
-    left = [(d, t) for d, t in left if lows[d] == d]
+    left = [(r[0], r[1]) for r in map(ast.literal_eval, brute_left(left))]
     bad = {r[0] for r in brute_contamination(left, bench) if r[5]}
     left = dict((d, t) for d, t in left if d not in bad)
     rows = P.run(spark, sf).collect()

@@ -15,7 +15,7 @@ def brute_print(text):
     return sum(1 << b for b in range(64) if sum(x >> b & 1 for x in h) * 2 > len(h)) if h else 0
 
 
-def brute_components(ids, prints):
+def brute_components(ids, prints, limit=2):
     root = list(range(len(ids)))
 
     def find(x):
@@ -25,7 +25,7 @@ def brute_components(ids, prints):
 
     for i in range(len(ids)):
         for j in range(i):
-            if (prints[i] ^ prints[j]).bit_count() <= 2:
+            if (prints[i] ^ prints[j]).bit_count() <= limit:
                 a, b = find(i), find(j)
                 root[max(a, b)] = min(a, b)
     low = {}
@@ -57,18 +57,25 @@ def test_links_of_light_and_heavy_buckets(spark):
                 x ^= 1 << rng.randrange(64)
     prints |= {0, (1 << 64) - 1, 1 << 63, (1 << 63) | 1}
     prints = sorted(prints)
-    want = brute_components(list(range(len(prints))), prints)
     frame = spark.createDataFrame([(int(np.uint64(p).view(np.int64)),) for p in prints], "fp long")
     index = {int(np.uint64(p).view(np.int64)): i for i, p in enumerate(prints)}
-    for heavy in (1024, 1):
+    for heavy, limit in ((1024, 2), (1, 2), (20, 3), (1, 1)):
+        want = brute_components(list(range(len(prints))), prints, limit)
         stage = Staging(spark, "test")
-        roots = {index[r.node]: index[r.root] for r in connected_components(stage, S.near_links(frame, heavy)).collect()}
+        roots = {index[r.node]: index[r.root] for r in connected_components(stage, S.near_links(stage, frame, heavy, limit)).collect()}
         groups = {}
         for i in range(len(prints)):
             groups.setdefault(roots.get(i, i), []).append(i)
         assert {i: min(g) for g in groups.values() for i in g} == want
 
 
+def test_ring_levels_bound_a_bucket():
+    for limit in (1, 2, 3, 5, 8, 15):
+        levels = S.ring_levels(limit)
+        assert levels[0][0] == 64 and all(a[0] - a[1] * a[2] == b[0] for a, b in zip(levels, levels[1:], strict=False))
+        assert limit > 3 or levels[-1][0] - levels[-1][1] * levels[-1][2] <= S.FREE_BITS
+
+
 def test_chain_components(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(60)] + [(100, 90), (90, 95), (7, 7)], "a long, b long")
     got = {r.node: r.root for r in connected_components(Staging(spark, "test"), links).collect()}
