@@ -1,16 +1,9 @@
-"""Repeated line runs by prefix doubling over line-ID sequences; later copies go.
-
-Every line gets an ID; lines that stand once need none. Prefix doubling then names the runs of 1, 2,
-4, ... lines at each place: a run of twice the length is a pair of names, and only pairs that stand
-twice get a name of their own, so the tables shrink with every round. These names are the suffix
-ranks cut at that depth. The window at a place is the fewest lines from there with at least
-``min_chars`` characters; suffixes whose common prefix reaches over their window form an interval of
-the suffix array, recognised by the names of the window's first and last power of two of lines.
-Of each interval the first member stays and the lines of the others' windows go, so a maximal
-repeated run goes as the union of its windows, up to the end of the last one. With ``whole_runs`` the
-windows taken backwards, the fewest lines that end at a place, are matched too: a line of a run
-either has enough characters after it in the run, and its own window holds it, or stands in the
-run's last window backwards. Then each maximal run of ``min_chars`` characters or more goes whole.
+"""Repeated line runs from a suffix array over line-ID sequences; later copies go.
+
+The suffixes of all texts' lines are put in order by prefix doubling (``suffix_order``), what neighbours in that order have in
+common gives intervals of suffixes that begin with the same run of lines (``intervals``), and of each
+interval all members but the one that stands first are later copies. For a suffix the deepest such interval tells the longest run from
+there that an earlier place holds as well: the maximal run. Runs of ``min_chars`` characters or more go whole.
 """
 
 from __future__ import annotations
@@ -24,9 +17,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from farpoint.llm.common import Staging
+from farpoint.llm.intervals import longest_copies
+from farpoint.llm.suffix_order import ordered_suffixes
 
 MIN_CHARS = 50
-BROADCAST_SPANS = 1_000_000
+BROADCAST_SPANS = 100_000
 ROW = "__row"
 
 
@@ -42,31 +37,23 @@ def window_lines(sizes: list[int], least: int) -> list[int]:
     return out
 
 
-def backward_lines(sizes: list[int], spans: list[int], least: int) -> list[int]:
-    """For each line the fewest lines up to it that hold ``least`` characters; 0 where ``spans`` has that window already."""
-    back = window_lines(sizes[::-1], least)[::-1]
-    return [n if n and spans[i - n + 1] != n else 0 for i, n in enumerate(back)]
+def _lines(least: int):
+    names = ["row_no", "doc_id", "pos", "line_hash", "span"]
+    kinds = [pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int32()]
 
+    def made(rows):
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [[]] * len(names), kinds, strict=True)], names=names)
 
-def _lines(least: int, whole_runs: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [ROW, "doc_id", "pos", "line_hash", "span", "back"]
-
-        def made(rows):
-            kinds = [pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int32(), pa.int32()]
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [[]] * 6, kinds, strict=True)], names=names)
-
         rows = []
         for batch in batches:
             for row, doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
                 if not text.is_valid:
                     continue
                 lines = text.as_py().split("\n")
-                sizes = [len(x) for x in lines]
-                spans = window_lines(sizes, least)
-                backs = backward_lines(sizes, spans, least) if whole_runs else [0] * len(lines)
-                for i, (line, n, back) in enumerate(zip(lines, spans, backs, strict=True)):
-                    rows.append((row, doc, i, hashlib.md5(line.encode("utf-8", "surrogatepass")).digest(), n, back))
+                spans = window_lines([len(x) for x in lines], least)
+                for i, (line, n) in enumerate(zip(lines, spans, strict=True)):
+                    rows.append((row, doc, i, hashlib.md5(line.encode("utf-8", "surrogatepass")).digest(), n))
                     if len(rows) >= 20_000:
                         yield made(rows)
                         rows = []
@@ -75,39 +62,19 @@ def _lines(least: int, whole_runs: bool):
     return run
 
 
-def _named(stage: Staging, rows: DataFrame, keys: list[str], table: str) -> DataFrame:
-    """``rows`` whose key stands more than once, with a name of the key in ``name``."""
-    again = rows.groupBy(*keys).agg(F.count("*").alias("n")).where("n > 1").select(*keys)
-    names = stage.keep(again.withColumn("name", F.monotonically_increasing_id()), f"{table}-names")
-    return stage.keep(rows.join(names.hint("merge"), keys).drop(*keys), table)  # names grow with the lines: not to be broadcast
-
-
-def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS, whole_runs: bool = False) -> DataFrame:
-    """(__row, doc_id, text) -> (__row, pos, span) of the windows that an earlier place holds too."""
-    lines = stage.keep(rows.mapInArrow(_lines(min_chars, whole_runs), f"{ROW} long, doc_id long, pos int, line_hash binary, span int, back int"), "lines")
-    ranks = [_named(stage, lines, ["line_hash"], "runs")]
-    longest = ranks[0].agg(F.max(F.greatest("span", "back"))).first()[0] or 0
-    while 2 << (len(ranks) - 1) <= longest:
-        step = 1 << (len(ranks) - 1)
-        here = ranks[-1].select(ROW, "pos", F.col("name").alias("head"))
-        there = ranks[-1].select(ROW, (F.col("pos") - step).alias("pos"), F.col("name").alias("tail"))
-        ranks.append(_named(stage, here.join(there.hint("merge"), [ROW, "pos"]), ["head", "tail"], "runs"))
-    places = ranks[0].where("span > 1").select(ROW, "doc_id", "pos", "span")
-    if whole_runs:
-        places = places.unionByName(ranks[0].where("back > 1").select(ROW, "doc_id", (F.col("pos") - F.col("back") + 1).alias("pos"), F.col("back").alias("span")))
-    windows = ranks[0].where("span = 1").select(ROW, "doc_id", "pos", "span", F.col("name").alias("head"), F.col("name").alias("tail"))
-    for k, rank in enumerate(ranks[1:], 1):
-        width = 1 << k
-        todo = places.where((F.col("span") >= width) & (F.col("span") < 2 * width))
-        head = rank.select(ROW, "pos", F.col("name").alias("head"))
-        tail = rank.select(ROW, F.col("pos").alias("last"), F.col("name").alias("tail"))
-        both = todo.join(head.hint("merge"), [ROW, "pos"]).withColumn("last", F.col("pos") + F.col("span") - width).join(tail.hint("merge"), [ROW, "last"])
-        windows = windows.unionByName(both.select(windows.columns))
-    windows = stage.keep(windows, "windows")
-    place = F.struct("doc_id", ROW, "pos")
-    intervals = windows.groupBy("span", "head", "tail").agg(F.min(place).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    intervals = stage.keep(intervals, "intervals")  # written, so that both sides of the join are plain exchanges and a hot interval can be split
-    return windows.join(intervals.hint("merge"), ["span", "head", "tail"]).where(place != F.col("first")).select(ROW, "pos", "span")
+def later_copies(stage: Staging, rows: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
+    """(__row, doc_id, text) -> (__row, pos, span) of the maximal runs that an earlier place holds too."""
+    lines = stage.keep(rows.mapInArrow(_lines(min_chars), "row_no long, doc_id long, pos int, line_hash binary, span int"), "lines")
+    suffixes, common = ordered_suffixes(stage, lines)
+    enough = stage.keep(suffixes.where("span > 0 AND span <= rest"), "suffixes")
+    place = F.struct("doc_id", "row_no", "pos")
+    classes = enough.groupBy("rank").agg(F.min(place).alias("first"), F.first("span").alias("span"), F.count("*").alias("n"))
+    classes = stage.keep(classes.join(common.hint("merge"), "rank", "left").select("rank", "first", "span", "n", F.coalesce("common", F.lit(0)).alias("common")), "classes")
+    copied = longest_copies(stage, classes.select("rank", "first.doc_id", "first.row_no", "first.pos", "common", "span"))
+    known = classes.select("rank", "first", "n").join(copied.hint("merge"), "rank").where("n > 1 OR copied > 0").select("rank", "first", "copied")
+    known = stage.keep(known, "known")  # written, so that both sides of the join are plain exchanges and a hot class can be split
+    length = F.when(place == F.col("first"), F.col("copied")).otherwise(F.col("rest"))
+    return enough.join(known.hint("merge"), "rank").select(F.col("row_no").alias(ROW), "pos", length.alias("span")).where("span > 0")
 
 
 def _cut(names: list[str], text_at: int):
@@ -134,12 +101,11 @@ def _cut(names: list[str], text_at: int):
     return run
 
 
-def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS, whole_runs: bool = False) -> DataFrame:
+def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     """``docs`` with later copies deleted from ``text``, and the columns n_lines and n_removed.
 
-    With ``whole_runs`` every line of a later copy of a run of ``min_chars`` characters or more goes;
-    without, the rule of the query's SQL, the lines after the run's last full window stay.
-    Lines end at a newline. Earlier means a smaller doc_id (null first), then the row, then the place.
+    Every line of a run of ``min_chars`` characters or more goes that an earlier place holds as well, line by line.
+    Lines end at a newline. Earlier means a smaller doc_id (null first), then the row, then the place, so copies may overlap.
     Null text stays null with no lines, the empty text is one empty line, an empty table gives
     none; a row repeated with the same id and text keeps one copy; other columns stay (those named
     n_lines, n_removed or __row are replaced).
@@ -147,7 +113,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS,
     stage = Staging(spark, "lines")
     docs = docs.drop("n_lines", "n_removed", ROW)
     rows = stage.keep(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
-    copies = later_copies(stage, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), "text"), min_chars, whole_runs)
+    copies = later_copies(stage, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), min_chars)
     spans = stage.keep(copies.groupBy(ROW).agg(F.collect_list(F.struct("pos", "span")).alias("__spans")), "spans")
     total = spans.agg(F.coalesce(F.sum(F.size("__spans")), F.lit(0))).first()[0]
     joined = rows.join(spans.hint("broadcast" if total <= BROADCAST_SPANS else "shuffle_hash"), ROW, "left")

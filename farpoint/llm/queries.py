@@ -154,16 +154,15 @@ FROM d LEFT JOIN kept k USING (doc_id)
     "op3_line_dedup": r"""
 WITH l AS (
   SELECT doc_id, unnest(range(1, len(x) + 1)) AS i, unnest(x) AS line FROM (SELECT doc_id, string_split(text, chr(10)) AS x FROM documents WHERE text IS NOT NULL)
-), c AS (
-  SELECT *, sum(length(line)) OVER (PARTITION BY doc_id ORDER BY i) AS cum FROM l
-), w AS (
-  SELECT a.doc_id, a.i AS s, min(b.i) AS e FROM c a JOIN c b ON a.doc_id = b.doc_id AND b.i >= a.i AND b.cum - a.cum + length(a.line) >= 50 GROUP BY 1, 2
-), k AS (
-  SELECT w.doc_id, w.s, w.e, md5(string_agg(l.line, chr(10) ORDER BY l.i)) AS body FROM w JOIN l ON l.doc_id = w.doc_id AND l.i BETWEEN w.s AND w.e GROUP BY 1, 2, 3
-), later AS (
-  SELECT *, row_number() OVER (PARTITION BY body ORDER BY doc_id, s) AS r FROM k
+), same AS (
+  SELECT a.doc_id, a.i, b.doc_id AS other, a.i - b.i AS ahead, length(a.line) AS size
+  FROM l a JOIN l b ON a.line = b.line AND (b.doc_id < a.doc_id OR b.doc_id = a.doc_id AND b.i < a.i)
+), runs AS (
+  SELECT *, i - row_number() OVER (PARTITION BY doc_id, other, ahead ORDER BY i) AS run FROM same
+), sizes AS (
+  SELECT doc_id, i, sum(size) OVER (PARTITION BY doc_id, other, ahead, run) AS chars FROM runs
 ), gone AS (
-  SELECT DISTINCT doc_id, unnest(range(s, e + 1)) AS i FROM later WHERE r > 1
+  SELECT DISTINCT doc_id, i FROM sizes WHERE chars >= 50
 ), kept AS (
   SELECT l.doc_id, count(*) AS n_lines, count(g.i) AS n_removed, string_agg(l.line, chr(10) ORDER BY l.i) FILTER (WHERE g.i IS NULL) AS body
   FROM l LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.i = l.i GROUP BY l.doc_id
