@@ -1,14 +1,17 @@
 """Repeated passages by prefix-partitioned suffix trees, cut at the window's depth.
 
-All suffixes of all texts would be many times the input. Suffixes are therefore partitioned by a
-prefix that their content chooses: of the GRAM-word sequences in a window that of the smallest hash.
-Equal windows choose the same one, and neighbouring windows mostly share it, so a partition gets short
-stretches of text, each holding several suffixes. A partition of one stretch has no internal node and
-is dropped before any text moves. The others are packed into memory-sized groups, in which
-all suffixes are refined together from depth 3 to 9, 27 and the window's length; a node of that depth with
-two leaves or more is a repeat. A partition that is too large for one group is dealt over several by
-where it stands; each tells the windows it holds, once each, and windows that only
-different groups share are found by content in a second step.
+All suffixes of all texts would be many times the input. So the texts' suffixes that trees are made of begin where
+content says: of the GRAMS[0]-word sequences in a window at that of the smallest hash. Equal windows choose the same
+one, and neighbouring windows mostly share it, so a partition, the suffixes of one prefix, gets short
+stretches of text around it, each standing for several windows. A partition of one stretch has no internal node and is dropped
+before any text moves. The prefix is as long as it has to be: a partition that is too large for a group in
+memory is taken apart by the longer sequences that its windows choose, until it fits or no longer prefix is left. Small
+partitions are packed into groups, and in a group all suffixes of its stretches are put in order
+by ranks of prefixes of 3, 9, 27 words and the window's length: neighbours in this order that agree in the
+window's length are the leaves of an internal node of that depth or deeper, a repeat. What even the longest prefix
+leaves too large is mostly copies of one passage; it is dealt over several groups, each tells the windows it
+holds, once each, and windows that only different groups share are found by content in a second step.
+Rows of one text are judged as one: only the first goes through the trees, all lose every window.
 """
 
 from __future__ import annotations
@@ -25,15 +28,19 @@ from pyspark.sql import functions as F
 from farpoint.llm.common import Staging
 
 WINDOW = 35
-GRAM = 8
+#: Words of a prefix: the first of all partitions, the others of those that are too large. Powers of two.
+GRAMS = (8, 16, 32)
 #: Stretches of a partition that one group takes; each has fewer than 2 * WINDOW words.
 GROUP_ROWS = 2000
-#: Words refined at once; three ranks of 20 bits are packed into one integer, so at most 2**20.
-GROUP_WORDS = 1 << 18
+#: Words put in order at once; three ranks of RANK_BITS bits are packed into one integer.
+GROUP_WORDS, RANK_BITS = 1 << 18, 20
 #: Words hashed at once.
 SCAN_WORDS = 200_000
-BROADCAST_SPANS = 1_000_000
+BROADCAST_SPANS = 200_000
+#: Behind the end of any text.
+END = (1 << 31) - 1
 ODD = np.uint64(0x9E3779B97F4A7C15)
+PLACES = "part long, doc_id long, body_hash long, first int, last int"
 
 
 class _Hashes(dict):
@@ -52,7 +59,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def grams(h: np.ndarray, size: int = GRAM) -> np.ndarray:
+def grams(h: np.ndarray, size: int) -> np.ndarray:
     """Hash of each run of ``size`` (a power of two) word hashes."""
     step = 1
     with np.errstate(over="ignore"):
@@ -64,7 +71,7 @@ def grams(h: np.ndarray, size: int = GRAM) -> np.ndarray:
         return _mix(h)
 
 
-def stretches(h: np.ndarray, lengths: np.ndarray, window: int = WINDOW) -> tuple[np.ndarray, ...]:
+def stretches(h: np.ndarray, lengths: np.ndarray, window: int = WINDOW, size: int = GRAMS[0]) -> tuple[np.ndarray, ...]:
     """(partition, document, first window, last window) of each run of windows that choose one place.
 
     ``h`` has the word hashes of the documents one after another, ``lengths`` their words.
@@ -72,9 +79,9 @@ def stretches(h: np.ndarray, lengths: np.ndarray, window: int = WINDOW) -> tuple
     ends = np.cumsum(lengths)
     if len(h) < window:
         return tuple(np.empty(0, t) for t in (np.uint64, np.int64, np.int64, np.int64))
-    g = grams(h)
+    g = grams(h, size)
     low = (g & ~np.uint64(0xFFFFFF)) | np.arange(len(g), dtype=np.uint64)  # ties: the first place
-    span, width = window - GRAM + 1, 1
+    span, width = window - size + 1, 1
     m = low
     while width * 2 <= span:
         m = np.minimum(m[:-width], m[width:])
@@ -127,6 +134,29 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield flush()
 
 
+def _finer(size: int):
+    """(doc_id, body_hash, text, runs: [(part, first, last)]) -> the stretches of the longer prefixes that the runs' windows choose."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hashes = _Hashes()
+        for batch in batches:
+            for i, runs in enumerate(batch.column(3)):
+                words = batch.column(2)[i].as_py().encode("utf-8", "surrogatepass").split()
+                h = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
+                part, first, last = (c.to_numpy() for c in runs.values.flatten())
+                for lo in range(0, len(part), 2000):
+                    pieces = [h[a : b + WINDOW] for a, b in zip(first[lo : lo + 2000].tolist(), last[lo : lo + 2000].tolist(), strict=True)]
+                    gram, at, begin, stop = stretches(np.concatenate(pieces), np.array([len(p) for p in pieces]), size=size)
+                    at += lo
+                    with np.errstate(over="ignore"):
+                        finer = _mix(part[at].view(np.uint64) * ODD + gram)
+                    n = len(at)
+                    columns = [pa.array(finer.view(np.int64)), batch.column(0).take(pa.array([i] * n, pa.int64())), batch.column(1).take(pa.array([i] * n, pa.int64()))]
+                    yield pa.RecordBatch.from_arrays([*columns, *(pa.array((x + first[at]).astype(np.int32)) for x in (begin, stop))], names=["part", "doc_id", "body_hash", "first", "last"])
+
+    return run
+
+
 def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(doc_id, body_hash, text, stretches) -> the text of each stretch."""
     names = ["part", "deal", "deals", "doc_id", "body_hash", "first", "body"]
@@ -157,20 +187,22 @@ def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def node_of(ids: np.ndarray, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
-    """For each suffix of ``window`` words or more its node at that depth, and the nodes' leaf counts.
+    """For each suffix of ``window`` words or more its place in the order of these prefixes (equal ones share a node of that depth), and the nodes' leaf counts.
 
-    Depths 3, 9, 27, ... as far as they go, each from three nodes of the depth before, then the window.
+    Depths 3, 9, 27, ... as far as they go, each from three ranks of the depth before, then the window.
     """
+    if len(ids) > 1 << RANK_BITS:
+        raise ValueError(f"{len(ids)} words in a group: ranks have {RANK_BITS} bits")
     rank, depth = ids.astype(np.int64), 1
     while depth * 3 <= window:
-        packed = rank[: len(rank) - 2 * depth] | (rank[depth : len(rank) - depth] << 20) | (rank[2 * depth :] << 40)
+        packed = (rank[: len(rank) - 2 * depth] << 2 * RANK_BITS) | (rank[depth : len(rank) - depth] << RANK_BITS) | rank[2 * depth :]
         rank = np.unique(packed, return_inverse=True)[1]
         depth *= 3
     if depth < window:
-        packed = rank[: len(rank) - (window - depth)] | (rank[window - depth :] << 20)
+        packed = (rank[: len(rank) - (window - depth)] << 2 * RANK_BITS) | rank[window - depth :]
         if window > 2 * depth:
             middle = (window - depth) // 2
-            packed |= rank[middle : middle + len(packed)] << 40
+            packed |= rank[middle : middle + len(packed)] << RANK_BITS
         rank = np.unique(packed, return_inverse=True)[1]
     return rank, np.bincount(rank)
 
@@ -180,9 +212,9 @@ def _trees(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     names = ["doc_id", "body_hash", "begin", "stop", "node", "leaves"]
     rows: list[tuple] = []
     fresh: list[tuple] = []
-    held, new, group = 0, 0, None
+    held, new, group, split = 0, 0, None, False
 
-    def refine(rows):
+    def refine(rows, split):
         seen: dict[bytes | int, int] = {}
         pieces, starts, at = [], [], 0
         for i, row in enumerate(rows):
@@ -200,7 +232,7 @@ def _trees(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             hit = leaves[own] > 1
             edge = np.flatnonzero(np.diff(np.concatenate([[False], hit, [False]]).astype(np.int8)))
             out += [(row[3], row[4], row[5] + x, row[5] + y - 1 + WINDOW, None, None) for x, y in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True)]
-            if row[2] > 1:
+            if split or row[2] > 1:
                 words = row[6].split(b" ")
                 for j, n in enumerate(own.tolist()):
                     if n not in told:
@@ -213,36 +245,76 @@ def _trees(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
             if (row[0], row[1]) != group:
-                if held + new > GROUP_WORDS // 2 and rows:
-                    yield refine(rows)
+                if split:
+                    yield refine(fresh, True)
+                    fresh = []
+                elif held + new > GROUP_WORDS and rows:
+                    yield refine(rows, False)
                     rows, held = [], 0
                 rows += fresh
-                held, fresh, new, group = held + new, [], 0, (row[0], row[1])
+                held, fresh, new, group, split = held + new if fresh else held, [], 0, (row[0], row[1]), False
+            elif new > GROUP_WORDS:  # one key alone is too much, as where rows are repeated: told window by window
+                yield refine(fresh, True)
+                fresh, new, split = [], 0, True
             fresh.append(row)
             new += row[6].count(b" ") + 2
     if held + new > GROUP_WORDS and rows:
-        yield refine(rows)
+        yield refine(rows, False)
         rows = []
+    if split:
+        yield refine(fresh, True)
+        fresh = []
     if rows + fresh:
-        yield refine(rows + fresh)
+        yield refine(rows + fresh, False)
+
+
+def _beside(stage: Staging, docs: DataFrame, runs: DataFrame, n_runs: int) -> DataFrame:
+    """``docs`` that have ``runs`` (doc_id, body_hash, s), with these in an array."""
+    per_doc = runs.groupBy("doc_id", "body_hash").agg(F.collect_set("s").alias("runs"))
+    per_doc = per_doc.select(F.col("doc_id").alias("k_id"), F.col("body_hash").alias("k_hash"), "runs").hint("broadcast" if n_runs <= BROADCAST_SPANS else "shuffle_hash")
+    joined = docs.join(per_doc, docs["doc_id"].eqNullSafe(per_doc["k_id"]) & (docs["body_hash"] == per_doc["k_hash"]))
+    return joined.select("doc_id", "body_hash", "text", "runs")
+
+
+def copies_of(stage: Staging, docs: DataFrame) -> DataFrame:
+    """(doc_id, body_hash, again) of rows whose whole text stands more than once; ``again`` on all but one row key of each text."""
+    narrow = docs.where(F.length("text") >= 2 * WINDOW - 1).select("doc_id", "body_hash", F.unhex(F.md5("text")).alias("whole"))
+    key = F.struct("doc_id", "body_hash")
+    groups = stage.keep(narrow.groupBy("whole").agg(F.min(key).alias("first"), F.count("*").alias("n")).where("n > 1"), "wholes")
+    copies = narrow.join(groups.hint("merge"), "whole").select("doc_id", "body_hash", (~key.eqNullSafe(F.col("first"))).alias("again"))
+    return stage.keep(copies.distinct(), "copies")
 
 
 def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_rows: int = GROUP_ROWS) -> DataFrame:
     """(doc_id, body_hash, spans): word ranges covered by a window that also starts elsewhere."""
-    places = stage.keep(docs.mapInArrow(_scan, "part long, doc_id long, body_hash long, first int, last int"), "places")
-    shared = places.groupBy("part").agg(F.count("*").alias("n")).where("n > 1").select("part", F.ceil(F.col("n") / group_rows).cast("int").alias("deals"))
-    shared = stage.keep(shared, "shared")  # written, so that both sides of the join are plain exchanges and a hot partition can be split
-    deal = F.pmod(F.xxhash64("doc_id", "body_hash", "first"), F.col("deals")).cast("int")
-    kept = places.join(shared.hint("merge"), "part").select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
-    per_doc = kept.groupBy("doc_id", "body_hash").agg(F.collect_set("s").alias("runs"))
-    per_doc = per_doc.select(F.col("doc_id").alias("k_id"), F.col("body_hash").alias("k_hash"), "runs").hint("shuffle_hash")
-    with_runs = docs.join(per_doc, docs["doc_id"].eqNullSafe(per_doc["k_id"]) & (docs["body_hash"] == per_doc["k_hash"]))
-    texts = with_runs.select("doc_id", "body_hash", "text", "runs").mapInArrow(_texts, "part long, deal int, deals int, doc_id long, body_hash long, first int, body binary")
+    copies = copies_of(stage, docs)
+    again = copies.where("again").select(F.col("doc_id").alias("a_id"), F.col("body_hash").alias("a_hash"))
+    again = again.hint("broadcast" if again.count() <= BROADCAST_SPANS else "shuffle_hash")
+    every = docs.mapInArrow(_scan, PLACES)
+    places = stage.keep(every.join(again, every["doc_id"].eqNullSafe(again["a_id"]) & (every["body_hash"] == again["a_hash"]), "left_anti"), "places")
+    kept = None
+    for level, finer in enumerate([*GRAMS[1:], None]):
+        sizes = places.groupBy("part").agg(F.count("*").alias("n")).where("n > 1")
+        sizes = stage.keep(sizes, "sizes")  # written, so that both sides of the join are plain exchanges and a hot partition can be split
+        crowded = F.col("n") > group_rows if finer else F.lit(False)
+        deals = F.ceil(F.col("n") / group_rows).cast("int")
+        fits = places.join(sizes.where(~crowded).select("part", deals.alias("deals")).hint("merge"), "part")
+        deal = F.pmod(F.xxhash64("doc_id", "body_hash", "first"), F.col("deals")).cast("int")
+        fits = fits.select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
+        kept = fits if kept is None else kept.unionByName(fits)
+        n_crowded = sizes.where(crowded).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        if not n_crowded:
+            break
+        runs = places.join(sizes.where(crowded).select("part").hint("merge"), "part").select("doc_id", "body_hash", F.struct("part", "first", "last").alias("s"))
+        places = stage.keep(_beside(stage, docs, runs, n_crowded).mapInArrow(_finer(finer), PLACES), f"places-{finer}")
+    kept = stage.keep(kept, "runs")
+    texts = _beside(stage, docs, kept, kept.count()).mapInArrow(_texts, "part long, deal int, deals int, doc_id long, body_hash long, first int, body binary")
     groups = texts.repartition("part", "deal").sortWithinPartitions("part", "deal")
     found = stage.keep(groups.mapInArrow(_trees, "doc_id long, body_hash long, begin int, stop int, node binary, leaves int"), "nodes")
     split = found.where("node is not null")
     wide = split.groupBy("node").agg(F.sum("leaves").alias("all_leaves")).where("all_leaves > 1")
     spans = found.where("node is null").unionByName(split.where("leaves = 1").join(wide.hint("merge"), "node", "left_semi").select(found.columns))
+    spans = spans.select("doc_id", "body_hash", "begin", "stop").unionByName(copies.select("doc_id", "body_hash", F.lit(0).alias("begin"), F.lit(END).alias("stop")))
     per_doc = spans.groupBy("doc_id", "body_hash").agg(F.collect_list(F.struct("begin", "stop")).alias("spans"))
     return stage.keep(per_doc.mapInArrow(_merge, "doc_id long, body_hash long, spans array<struct<begin:int,stop:int>>"), "spans")
 
@@ -272,11 +344,11 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for text, spans in zip(batch.column(1), batch.column(2), strict=True):
             words = (text.as_py() or "").encode("utf-8", "surrogatepass").split()
             n, gone = len(words), 0
-            if spans.is_valid:
+            if spans.is_valid and n >= WINDOW:  # a copied text may be shorter
                 drop = np.zeros(n + 1, np.int32)
                 edges = spans.values.flatten()
                 np.add.at(drop, edges[0].to_numpy(), 1)
-                np.add.at(drop, edges[1].to_numpy(), -1)
+                np.add.at(drop, np.minimum(edges[1].to_numpy(), n), -1)
                 stay = np.cumsum(drop)[:n] == 0
                 gone = n - int(stay.sum())
                 words = [words[i] for i in np.flatnonzero(stay).tolist()]

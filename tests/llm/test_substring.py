@@ -1,6 +1,8 @@
 import random
 
 import numpy as np
+import pyarrow as pa
+import pytest
 
 from farpoint.llm import substring_dedup as S
 
@@ -33,6 +35,9 @@ def texts():
             p = rng.choice(passages)
             words[at:at] = p[: rng.randrange(20, len(p) + 1)]
         docs.append((10 + i, rng.choice([" ", "\n", "  "]).join(words)))
+    hot = " ".join(rng.choice(vocab) for _ in range(80))
+    docs += [(150 + i, f"a{i} {hot} " + " ".join(rng.choice(vocab) for _ in range(rng.randrange(40)))) for i in range(12)]
+    docs += [(170 + i, hot) for i in range(5)] + [(180, "short copy"), (181, "short copy")] + [(190, hot + " z")] * 9
     return docs + [(20, docs[16][1]), (20, docs[16][1]), (99, docs[30][1]), (99, "the  " * 34 + docs[31][1])]
 
 
@@ -45,6 +50,30 @@ def test_against_brute_force(spark):
     assert S.substring_dedup(spark, frame.limit(0)).count() == 0
 
 
+def test_one_key_too_large_for_a_group(monkeypatch):
+    """Rows of one key that no deal takes apart come in several orders, which tell their windows."""
+    rng = random.Random(9)
+    words = [f"w{i}" for i in range(60)]
+    rows = [(7, 0, 1, i, 1, 0, " ".join([rng.choice(words) for _ in range(3)] + words[:40]).encode()) for i in range(50)] + [(8, 0, 1, 90, 1, 0, " ".join(words[5:45]).encode())]
+    names = ["part", "deal", "deals", "doc_id", "body_hash", "first", "body"]
+    batch = pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows, strict=True)], names=names)
+    monkeypatch.setattr(S, "GROUP_WORDS", 500)
+    out = pa.Table.from_batches(list(S._trees(iter([batch])))).to_pylist()
+    told = [r for r in out if r["node"] is not None]
+    assert {r["doc_id"] for r in out if r["node"] is None} == set(range(50)) and 90 not in {r["doc_id"] for r in told}
+    assert len({r["node"] for r in told}) < len(told)
+    with pytest.raises(ValueError):
+        S.node_of(np.zeros((1 << S.RANK_BITS) + 1, np.int64))
+
+
+def test_long_text(spark):
+    rng = random.Random(11)
+    words = [str(rng.randrange(5000)) for _ in range(400_000)]
+    docs = [(1, " ".join(words)), (2, " ".join(words[1000:1050]) + " end"), (3, "same " * 200_000)]
+    got = {r.doc_id: (r.n_words, r.n_removed) for r in S.substring_dedup(spark, spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == {1: (400_000, 50), 2: (51, 50), 3: (200_000, 200_000)}
+
+
 def test_long_text_in_pieces(monkeypatch):
     monkeypatch.setattr(S, "SCAN_WORDS", 50)
     rng = np.random.default_rng(1)
