@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
+import contextlib
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from farpoint.sources.staging import shared_dir
+
 #: White space of the text contracts, as a Java regular expression.
 SPACE_RUN = r"[\x20\x09-\x0D]+"
 
@@ -17,31 +18,11 @@ SPACE_RUN = r"[\x20\x09-\x0D]+"
 #: whole texts stay small in the Python workers.
 WHILE_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2000"}
 
-_own: dict[str, str] = {}
-
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
-
-    Where it is unset a temporary folder is made, but only for a local master; on a cluster
-    that would be a folder of one machine, so it is an error there.
-    """
-    configured = spark.conf.get("spark.checkpoint.dir", None)
-    if configured:
-        return configured.rstrip("/")
-    app = spark.sparkContext.applicationId
-    if app not in _own:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        _own[app] = tempfile.mkdtemp(prefix="farpoint-")
-        atexit.register(shutil.rmtree, _own[app], True)
-    return f"file://{_own[app]}"
-
-
 class Staging:
     """Tables written to the shared folder: they cut lineage and outlive lost executors."""
 
@@ -68,9 +49,20 @@ class Staging:
         kept.staged_path = path
         return kept
 
-    def drop(self, kept: DataFrame | str) -> None:
-        """Deletes a table that no later plan reads."""
-        self.delete(kept if isinstance(kept, str) else kept.staged_path)
+    def drop(self, *kept: DataFrame) -> None:
+        """Deletes tables that no later plan reads."""
+        for table in kept:
+            self.delete(table.staged_path)
+
+    @contextlib.contextmanager
+    def scratch(self) -> Iterator[Staging]:
+        """A place for tables that nothing reads after the block; what the result reads is kept outside."""
+        inner = Staging(self.spark, "scratch")
+        inner.root = self.path("scratch")
+        try:
+            yield inner
+        finally:
+            self.delete(inner.root)
 
     def delete(self, path: str) -> None:
         jvm = self.spark._jvm

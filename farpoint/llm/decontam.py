@@ -55,7 +55,7 @@ def with_tokens(rows: DataFrame, words: str, size: int, *keep: str) -> DataFrame
     return each.select(*keep, "pos", F.xxhash64(F.lit(size), *[F.col(f"shingle.s{i}") for i in range(size)]).alias("token"))
 
 
-def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20, block_windows: int = BLOCK_WINDOWS) -> DataFrame:
+def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20, block_windows: int = BLOCK_WINDOWS, stage: Staging | None = None) -> DataFrame:
     """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated.
 
     A word inside any occurrence of a window is hit; contaminated means n_hit > 0 and
@@ -63,7 +63,7 @@ def contamination(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, wi
     words have no windows, items without id count in n_hit and not among the items; further columns are
     ignored; either table may be empty.
     """
-    stage = Staging(spark, "decontam")
+    stage = stage or Staging(spark, "decontam")
     words = words_of(F.col("text"))
     base = stage.keep(
         docs.select("doc_id", F.array_join(words, " ").alias("body")).select("doc_id", "body", F.xxhash64("body").alias("body_hash"), F.when(F.col("body") == "", 0).otherwise(F.length("body") - F.length(F.replace(F.col("body"), F.lit(" "))) + 1).cast("long").alias("n_words")),
@@ -125,5 +125,7 @@ def find_windows(base: DataFrame, prefixes: DataFrame, size: int) -> DataFrame:
 def drop_contaminated(spark: SparkSession, docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Documents that the rule clears, all columns. Rows are judged one by one, whatever their ids."""
     keyed = docs.select(F.struct("doc_id", text_hash().alias("text_hash")).alias("doc_id"), "text")
-    bad = contamination(spark, keyed, benchmark).where("contaminated").select("doc_id.doc_id", "doc_id.text_hash")
-    return without_rows(Staging(spark, "clean"), docs, bad)
+    stage = Staging(spark, "clean")
+    with stage.scratch() as tmp:
+        bad = contamination(spark, keyed, benchmark, stage=tmp).where("contaminated").select("doc_id.doc_id", "doc_id.text_hash")
+        return without_rows(stage, docs, bad)

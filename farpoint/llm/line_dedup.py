@@ -113,8 +113,9 @@ def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS)
     stage = Staging(spark, "lines")
     docs = docs.drop("n_lines", "n_removed", ROW)
     rows = stage.keep(docs.withColumn(ROW, F.monotonically_increasing_id()), "rows")
-    copies = later_copies(stage, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), min_chars)
-    spans = stage.keep(copies.groupBy(ROW).agg(F.collect_list(F.struct("pos", "span")).alias("__spans")), "spans")
+    with stage.scratch() as tmp:
+        copies = later_copies(tmp, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), min_chars)
+        spans = stage.keep(copies.groupBy(ROW).agg(F.collect_list(F.struct("pos", "span")).alias("__spans")), "spans")
     total = spans.agg(F.coalesce(F.sum(F.size("__spans")), F.lit(0))).first()[0]
     joined = rows.join(spans.hint("broadcast" if total <= BROADCAST_SPANS else "shuffle_hash"), ROW, "left")
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)

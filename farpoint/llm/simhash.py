@@ -165,11 +165,12 @@ def simhash_groups(spark: SparkSession, docs: DataFrame, heavy: int = HEAVY, shi
     """
     stage = Staging(spark, "simhash")
     prints = stage.keep(with_fingerprints(docs, shingle), "prints")
-    nodes = stage.keep(prints.groupBy("fp").agg(F.min("doc_id").alias("low")), "nodes")
-    roots = connected_components(stage, near_links(stage, nodes.select("fp"), heavy, limit))
-    placed = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
-    lows = placed.groupBy("root").agg(F.min("low").alias("component_id"))
-    named = stage.keep(placed.join(lows, "root").select("fp", "component_id"), "named")
+    with stage.scratch() as tmp:
+        nodes = tmp.keep(prints.groupBy("fp").agg(F.min("doc_id").alias("low")), "nodes")
+        roots = connected_components(tmp, near_links(tmp, nodes.select("fp"), heavy, limit))
+        placed = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
+        lows = placed.groupBy("root").agg(F.min("low").alias("component_id"))
+        named = stage.keep(placed.join(lows, "root").select("fp", "component_id"), "named")
     return prints.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
@@ -181,19 +182,22 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
     Groups hold what is reachable over fingerprints of 5-word shingles LIMIT bits or fewer apart, as in
     simhash_groups, or a Jaccard similarity of these shingles of 0.8 or more.
     """
-    stage = Staging(spark, "near")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     rows = rows.withColumn("text_hash", text_hash())
-    prints = stage.keep(with_prints(rows, slot_counts(rows)), "prints")
-    links = similar_links(stage, rows, prints, near_links(stage, prints.select("fp").distinct()))
-    roots = connected_components(stage, links)
-    emptied = prints.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max(F.col("n_items") > 0).alias("held"), F.min("n_items").alias("n")).where("held AND n = 0")
-    again = prints.where("n_items = 0").select("doc_id", "text_hash").join(emptied, "doc_id", "left_semi").distinct()
-    placed = prints.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", "text_hash", "n_items", F.coalesce("root", "fp").alias("root"))
-    placed = placed.join(emptied.select("doc_id", "held"), "doc_id", "left").where("n_items > 0 OR held IS NULL")
-    key = F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash")
-    firsts = placed.groupBy("root").agg(F.min(key).alias("first"))
-    groups = stage.keep(placed.join(firsts, "root").select("doc_id", "text_hash", (~key.eqNullSafe(F.col("first"))).alias("gone")), "groups")
-    left = without_rows(stage, docs, groups.where("gone").select("doc_id", "text_hash").union(again))
-    repeated = groups.where("NOT gone").groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1")
-    return left if repeated.isEmpty() else left.withColumn("__hash", text_hash()).dropDuplicates(["doc_id", "__hash"]).drop("__hash")
+    stage = Staging(spark, "near")
+    with stage.scratch() as tmp:
+        prints = tmp.keep(with_prints(rows, slot_counts(rows)), "prints")
+        with tmp.scratch() as inner:
+            links = tmp.keep(similar_links(inner, rows, prints, near_links(inner, prints.select("fp").distinct())), "links")
+        roots = connected_components(tmp, links)
+        emptied = prints.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max(F.col("n_items") > 0).alias("held"), F.min("n_items").alias("n")).where("held AND n = 0")
+        again = prints.where("n_items = 0").select("doc_id", "text_hash").join(emptied, "doc_id", "left_semi").distinct()
+        placed = prints.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", "text_hash", "n_items", F.coalesce("root", "fp").alias("root"))
+        placed = tmp.keep(placed.join(emptied.select("doc_id", "held"), "doc_id", "left").where("n_items > 0 OR held IS NULL").drop("held"), "placed")
+        key = F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash")
+        firsts = tmp.keep(placed.groupBy("root").agg(F.min(key).alias("first")).select(F.col("first.doc_id").alias("f_id"), F.col("first.text_hash").alias("f_hash")), "firsts").hint("merge")
+        stays = placed["doc_id"].eqNullSafe(firsts["f_id"]) & placed["text_hash"].eqNullSafe(firsts["f_hash"])  # by row, as one root may have a third of them
+        gone = placed.join(firsts, stays, "left_anti").select("doc_id", "text_hash").union(again)
+        left = without_rows(stage, docs, gone)
+        repeated = not placed.join(firsts, stays, "left_semi").groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1").isEmpty()
+    return left.withColumn("__hash", text_hash()).dropDuplicates(["doc_id", "__hash"]).drop("__hash") if repeated else left

@@ -81,21 +81,24 @@ def with_prints(rows: DataFrame, counts: np.ndarray) -> DataFrame:
 
 
 def shared_keys(stage: Staging, texts: DataFrame) -> list[tuple[int, DataFrame]]:
-    """(shingles of a key, rows (key, tid, n, at) of the keys that several texts share) for each length of keys."""
-    items = texts.select("tid", F.col("n_items").cast("int").alias("n"), F.posexplode("prefix").alias("at", "key"))
-    rows, out = items.where(F.col("at") <= F.col("n") - F.ceil(F.col("n") * 4 / 5)).select("key", "tid", "n", "at"), []
+    """(shingles of a key, rows (key, tid, n_at) of the keys that several texts share) for each length of keys. n_at has the set's size and the place of the key's last shingle."""
+    last = F.col("n_items") - F.ceil(F.col("n_items") * 4 / 5)  # the last place of a prefix
+    n_at = F.shiftleft(F.col("n_items").cast("long"), 32)
+    rows, out = texts.select("tid", "n_items", F.posexplode("prefix").alias("at", "key")).where(F.col("at") <= last).select("key", "tid", (n_at + F.col("at")).alias("n_at")), []
     for level in range(1, LEVELS + 1):
         sizes = rows.groupBy("key").agg(F.count("*").alias("members")).where("members > 1")
         sizes = stage.keep(sizes, "sizes")  # written, so that both sides of the join are plain exchanges and a hot key can be split
         shared = stage.keep(rows.join(sizes.hint("merge"), "key"), "shared")
         crowded = F.col("members") > CROWD if level < LEVELS else F.lit(False)
-        out.append((level, shared.where(~crowded).select("key", "tid", "n", "at")))
-        if level == LEVELS or sizes.where(crowded).isEmpty():
+        out.append((level, shared.where(~crowded).select("key", "tid", "n_at")))
+        n_crowded = sizes.where(crowded).agg(F.coalesce(F.sum("members"), F.lit(0))).first()[0]
+        if level == LEVELS or not n_crowded:
             break
-        later = items.select(F.col("tid").alias("t2"), F.col("at").alias("next"), F.col("key").alias("item"))
-        more = shared.where(crowded).drop("members").join(later.hint("merge"), (F.col("tid") == F.col("t2")) & (F.col("next") > F.col("at")))
-        more = more.where(F.col("next") <= F.col("n") - F.ceil(F.col("n") * 4 / 5) + level)
-        rows = stage.keep(more.select(F.xxhash64("key", "item").alias("key"), "tid", "n", F.col("next").alias("at")), "longer")
+        begun = shared.where(crowded).groupBy("tid").agg(F.collect_list(F.struct("key", "n_at")).alias("begun"))  # at most the prefix's size each
+        begun = F.broadcast(begun) if n_crowded <= BROADCAST_ROWS else begun.hint("merge")
+        more = texts.join(begun, "tid").select("tid", "n_items", "prefix", F.explode("begun").alias("b")).select("tid", "n_items", "b", F.posexplode("prefix").alias("next", "item"))
+        more = more.where((F.col("next") > F.col("b.n_at").bitwiseAND(F.lit((1 << 32) - 1))) & (F.col("next") <= last + level))
+        rows = stage.keep(more.select(F.xxhash64("b.key", "item").alias("key"), "tid", (n_at + F.col("next")).alias("n_at")), "longer")
     return out
 
 
@@ -159,12 +162,12 @@ def cross_pairs(key: np.ndarray, n: np.ndarray, at: np.ndarray, root: np.ndarray
 
 
 def _pairs(level: int, crossing: bool):
-    """(key, tid, n, at[, root]) sorted by key and n -> pairs (a, b) of tids."""
+    """(key, tid, n_at[, root]) sorted by key and n_at -> pairs (a, b) of tids."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _runs(batches):
-            key, tid, n, at, *root = (c.to_numpy() for c in rows.columns)
-            n, at = n.astype(np.int64), at.astype(np.int64)
+            key, tid, n_at, *root = (c.to_numpy() for c in rows.columns)
+            n, at = n_at >> 32, n_at & 0xFFFFFFFF
             a, b = cross_pairs(key, n, at, *root, level) if crossing else hub_pairs(key, n, at, level)
             for lo in range(0, len(a), 100_000):
                 yield pa.RecordBatch.from_arrays([pa.array(tid[a[lo : lo + 100_000]]), pa.array(tid[b[lo : lo + 100_000]])], names=["a", "b"])
@@ -177,8 +180,8 @@ def candidates(stage: Staging, keys: list[tuple[int, DataFrame]], roots: DataFra
     out = None
     for level, rows in keys:
         if roots is not None:
-            rows = rows.join(roots.hint("merge"), "tid", "left").select("key", "tid", "n", "at", F.coalesce("root", "tid").alias("root"))
-        dealt = rows.repartition("key").sortWithinPartitions("key", "n", "tid")
+            rows = rows.join(roots.hint("merge"), "tid", "left").select("key", "tid", "n_at", F.coalesce("root", "tid").alias("root"))
+        dealt = rows.repartition("key").sortWithinPartitions("key", "n_at", "tid")
         found = dealt.mapInArrow(_pairs(level, roots is not None), "a long, b long")
         out = found if out is None else out.unionByName(found)
     return stage.keep(out.distinct(), "pairs")

@@ -285,7 +285,7 @@ def copies_of(stage: Staging, docs: DataFrame) -> DataFrame:
     return stage.keep(copies.distinct(), "copies")
 
 
-def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_rows: int = GROUP_ROWS) -> DataFrame:
+def repeated_spans(docs: DataFrame, stage: Staging, group_rows: int = GROUP_ROWS) -> DataFrame:
     """(doc_id, body_hash, spans): word ranges covered by a window that also starts elsewhere."""
     copies = copies_of(stage, docs)
     again = copies.where("again").select(F.col("doc_id").alias("a_id"), F.col("body_hash").alias("a_hash"))
@@ -316,7 +316,7 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, stage: Staging, group_r
     spans = found.where("node is null").unionByName(split.where("leaves = 1").join(wide.hint("merge"), "node", "left_semi").select(found.columns))
     spans = spans.select("doc_id", "body_hash", "begin", "stop").unionByName(copies.select("doc_id", "body_hash", F.lit(0).alias("begin"), F.lit(END).alias("stop")))
     per_doc = spans.groupBy("doc_id", "body_hash").agg(F.collect_list(F.struct("begin", "stop")).alias("spans"))
-    return stage.keep(per_doc.mapInArrow(_merge, "doc_id long, body_hash long, spans array<struct<begin:int,stop:int>>"), "spans")
+    return per_doc.mapInArrow(_merge, "doc_id long, body_hash long, spans array<struct<begin:int,stop:int>>")
 
 
 def merged(begin: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -366,7 +366,8 @@ def substring_dedup(spark: SparkSession, docs: DataFrame, group_rows: int = GROU
     """
     stage = Staging(spark, "substrings")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("body_hash"), "text")
-    spans = repeated_spans(spark, docs, stage, group_rows)
+    with stage.scratch() as tmp:
+        spans = stage.keep(repeated_spans(docs, tmp, group_rows), "spans")
     total = spans.agg(F.coalesce(F.sum(F.size("spans")), F.lit(0))).first()[0]
     side = spans.select(F.col("doc_id").alias("s_id"), F.col("body_hash").alias("s_hash"), "spans").hint("broadcast" if total <= BROADCAST_SPANS else "shuffle_hash")
     joined = docs.join(side, docs["doc_id"].eqNullSafe(side["s_id"]) & (docs["body_hash"] == side["s_hash"]), "left")

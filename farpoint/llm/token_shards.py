@@ -149,6 +149,7 @@ def write_shards(
         ranged = part.repartitionById(high - low, F.col("shard") - low).sortWithinPartitions("slot")
         done = stage.keep(ranged.mapInArrow(_shards(folder, length), "shard int, slot long, doc_id long, chunk int, n_tokens int, path string"), "index")
         index = done if index is None else index.unionByName(done)
+    stage.drop(made)
     return index
 
 

@@ -224,14 +224,9 @@ def _batch(rows: list[tuple], with_payload: bool) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, (_, k) in enumerate(kinds)], names=[n for n, _ in kinds])
 
 
-def read_warc(spark: SparkSession, manifest: DataFrame, stage: Staging, block_bytes: int = BLOCK_BYTES, with_payload: bool = False) -> DataFrame:
-    """One row per true record of the files (path, bytes); an error where the records do not fill a file."""
-    root = F.lit(stage.root)
-    blocks = manifest.where("bytes > 0").select("path", "bytes", F.explode(F.expr(f"sequence(0L, bytes - 1, {block_bytes}L)")).alias("start"))
-    blocks = stage.keep(blocks.select("path", "bytes", "start", F.least(F.col("start") + block_bytes, "bytes").alias("stop")), "blocks")
-    n_blocks = max(1, blocks.count())
-    spread = blocks.repartition(min(n_blocks, 10_000), "path", "start")
-    leaps = stage.keep(spread.select(root, "path", "start", "stop").mapInArrow(_candidates, "path string, at long, after long"), "leaps")
+def _entries(stage: Staging, manifest: DataFrame, blocks: DataFrame, n_blocks: int) -> DataFrame:
+    """(path, at) of the first true record of each block, by pointer jumping from each file's start."""
+    leaps = stage.keep(blocks.mapInArrow(_candidates, "path string, at long, after long"), "leaps")
     entries = stage.keep(leaps.where("at = 0").select("path", "at"), "entries")
     known, jumps = entries.count(), leaps
     every = leaps.select("path", "at").hint("merge")  # a row for each possible record: not to be broadcast
@@ -247,6 +242,18 @@ def read_warc(spark: SparkSession, manifest: DataFrame, stage: Staging, block_by
     broken = manifest.where("bytes > 0").join(ends, "path", "left").where("after IS NULL OR after <> bytes").select("path", "bytes").head()
     if broken is not None:
         raise ValueError(f"the records of {broken.path} do not end at its {broken.bytes} bytes")
+    return entries
+
+
+def read_warc(spark: SparkSession, manifest: DataFrame, stage: Staging, block_bytes: int = BLOCK_BYTES, with_payload: bool = False) -> DataFrame:
+    """One row per true record of the files (path, bytes); an error where the records do not fill a file."""
+    root = F.lit(stage.root)
+    blocks = manifest.where("bytes > 0").select("path", "bytes", F.explode(F.expr(f"sequence(0L, bytes - 1, {block_bytes}L)")).alias("start"))
+    blocks = stage.keep(blocks.select("path", "bytes", "start", F.least(F.col("start") + block_bytes, "bytes").alias("stop")), "blocks")
+    n_blocks = max(1, blocks.count())
+    spread = blocks.repartition(min(n_blocks, 10_000), "path", "start")
+    with stage.scratch() as tmp:
+        entries = stage.keep(_entries(tmp, manifest, spread.select(root, "path", "start", "stop"), n_blocks), "entries")
     place = F.expr(f"at - at % {block_bytes}")
     starts = entries.withColumn("start", place).join(blocks, ["path", "start"])
     todo = starts.select(root.alias("root"), "path", "at", "stop").repartition(min(n_blocks, 10_000), "path", "at")
