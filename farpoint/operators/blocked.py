@@ -20,7 +20,7 @@ from farpoint.plans.planner import Level, LevelPlan, blocks_for, plan_levels
 from farpoint.sources.staging import materialise
 
 LOCAL = "block int, " + CENTERS + ", n_block long, elapsed_ns long"
-#: Points that one task solves, unless a capacity is given; more centers than this get a further level.
+#: Points that one task solves, unless a capacity is given.
 CAPACITY = 2_000_000
 Solver = Callable[[np.ndarray, int, int, str], tuple[np.ndarray, np.ndarray, float]]
 
@@ -30,7 +30,7 @@ def default_solver(x: np.ndarray, k: int, seed: int, measure: str) -> tuple[np.n
 
 
 def _block(k: int, measure: str | Metric, solver: Solver, seeds: dict[int, int], chunk: int | None):
-    """``chunk`` bounds the rows of a block held at a time: each chunk leaves its k centers (one more round)."""
+    """``chunk`` bounds the rows of a block held at a time: where there are several, each leaves its k centers (one more round)."""
 
     def solved(ids, x, block):
         at = np.searchsorted(ids, seeds.get(block, ids[0])) if len(ids) else 0
@@ -60,9 +60,9 @@ def _block(k: int, measure: str | Metric, solver: Solver, seeds: dict[int, int],
                 if rows >= chunk:
                     took += reduce()
                     held, rows = [], 0
-            if held and rows:
+            if kept_ids and rows:
                 took += reduce()
-            ids, x = kernels.by_id(np.concatenate(kept_ids), np.concatenate(kept_x)) if kept_ids else (np.empty(0, np.int64), np.empty((0, 1)))
+            ids, x = kernels.by_id(np.concatenate(kept_ids), np.concatenate(kept_x)) if kept_ids else gathered(held)
         if not len(ids):
             return
         began = time.perf_counter_ns()  # of the solver alone: moving the rows is not counted
@@ -109,7 +109,8 @@ def blocked_farthest_first(
     points: DataFrame, k: int, m: int, strategy: str = "id_mod", measure: str | Metric = "euclidean", capacity: int | None = None, rounds: int | None = None, n: int | None = None,
     solver: Solver = default_solver, level_seeds: list[dict[int, int]] | None = None, keep_rounds: bool = False, chunk: int | None = None,
 ) -> BlockedResult:
-    """Two rounds unless ``capacity`` (points of a task) or ``rounds`` asks for more; factor 2 * rounds.
+    """Two rounds unless ``capacity`` (points of a task) or ``rounds`` asks for more; factor 2 * rounds. Centers of all blocks that
+    do not fit into one task are an error without either, as further rounds cost quality.
 
     ``level_seeds`` gives a starting id for blocks of each level, the final one included as block 0.
     ``keep_rounds`` writes the rounds' centers for the trace, and so runs each block once.
@@ -120,10 +121,12 @@ def blocked_farthest_first(
         counts = [level.blocks for level in plan.levels]
     else:  # the size of the points is not asked for, only that all blocks' centers fit into one task
         counts = [points.rdd.getNumPartitions() if strategy == "scan_split" else m]
-        while k * counts[-1] > CAPACITY and -(-k * counts[-1] // CAPACITY) < counts[-1]:
-            counts.append(-(-k * counts[-1] // CAPACITY))
+        if k * counts[0] > CAPACITY:
+            raise ValueError(f"{counts[0]} blocks leave {k * counts[0]} centers, a task takes {CAPACITY}: give capacity= or rounds=, each further round adds 2 to the factor")
         plan = LevelPlan(tuple(Level(-1, b, k * b) for b in counts), k * counts[-1])
     level_seeds = level_seeds or []
+    if strategy == "scan_split" and chunk is None:
+        chunk = CAPACITY  # a split of the scan may have any number of points; a larger one counts as one more round
     at, done = points.select("id", "coords"), []
     for i, blocks in enumerate(counts):
         local = local_round(at, k, blocks, strategy if i == 0 or strategy not in ("scan_split", "range", "spatial_grid", "adversarial") else "id_mod", measure, solver, level_seeds[i] if i < len(level_seeds) else None, chunk if i == 0 else None)

@@ -3,6 +3,9 @@
 While many points are live, some join the sample and a few become probes. The probe of a
 given rank by distance to the sample is the pivot; live points no farther from the sample than it go.
 The distance to the sample stays with each live point, so a round compares it with new members only.
+
+An iteration reads the live points twice: draws depend on ids alone and give the table of new members; then the
+points' keys are lowered and written. Probes are read off the written keys, the pruning is a filter of its next reading.
 """
 
 from __future__ import annotations
@@ -66,6 +69,17 @@ class PivotSample:
     params: SamplingParams
     terminated: bool = True
 
+    def rounds_as_published(self, machines: int = 50) -> DataFrame:
+        """iteration, round_no, name, work: the three parallel rounds of each iteration as published, with the work of the slowest of
+        ``machines``: draws in points, the pivot's and the pruning's in distances to the whole sample, as if nothing were kept."""
+        rows, members, no = [], 0, 0
+        for t in self.trace:
+            share, members = -(-t["live"] // machines), members + t["new_sample"]
+            for name, work in (("draw", share), ("pivot", t["probes"] * members), ("prune", share * members)):
+                no += 1
+                rows.append((t["iteration"], no, name, work))
+        return self.sample.sparkSession.createDataFrame(rows, "iteration int, round_no int, name string, work long")
+
     def trace_frame(self) -> DataFrame:
         """iteration, live, new_sample, probes, pivot_key, live_after."""
         rows = [(t["iteration"], t["live"], t["new_sample"], t["probes"], t["pivot_key"], t["live_after"]) for t in self.trace]
@@ -105,10 +119,9 @@ def with_set_distance(points: DataFrame, members: np.ndarray, measure: str | Met
     return points
 
 
-def select_pivot(probes: DataFrame, rank: int) -> float | None:
+def select_pivot(probes: np.ndarray, rank: int) -> float | None:
     """The key of the probe of that rank, farthest first; the nearest probe where there are fewer."""
-    rows = probes.select("key", "id").orderBy(F.desc("key"), "id").limit(rank).collect()  # rank is about log n
-    return rows[-1].key if rows else None
+    return float(np.sort(probes)[::-1][min(rank, len(probes)) - 1]) if len(probes) else None
 
 
 def pivot_sample(
@@ -131,20 +144,21 @@ def pivot_sample(
         drawn = live.withColumns({"in_s": _draw(generator, seed + redraws, iteration - 1, "S") < params.sample_rate(size), "in_h": _draw(generator, seed + redraws, iteration - 1, "H") < params.probe_rate(size), "ns": F.lit(0).cast("long")})
         if machines:
             drawn = drawn.repartition(machines)
-        new = drawn.where("in_s").select("id", "coords")
-        members = np.array([list(r.coords) for r in new.select("coords").toLocalIterator()])  # about 9 k n^eps log n rows
+        new = materialise(drawn.where("in_s").select("id", "coords"), "members")
+        members = kernels.matrix(new.select("coords").toArrow().column(0).combine_chunks())  # about 9 k n^eps log n rows
         if not len(members) and sample is None:
+            release(new)
             redraws += 1  # nothing drawn at first: distances to an empty sample are undefined
             continue
-        new = materialise(new, "members")
         sample = new if sample is None else sample.unionByName(new)
         nearer = materialise(with_set_distance(drawn, members, measure), "live")
-        counts = nearer.agg(F.sum(F.col("in_s").cast("long")).alias("s"), F.sum(F.col("in_h").cast("long")).alias("h"), F.max("ns").alias("ns")).first()
-        pivot = select_pivot(nearer.where("in_h"), params.pivot_rank)
+        probes = nearer.where("in_h").select("key").toArrow().column(0).to_numpy()  # about 4 n^eps log n rows
+        pivot = select_pivot(probes, params.pivot_rank)
         limit = 0.0 if pivot is None else pivot
-        live = nearer.where(F.col("key") > limit if tie_rule == "drop_equal" else F.col("key") >= limit).select("id", "coords", "key")
-        after = live.count()
-        trace.append({"iteration": iteration, "live": size, "new_sample": counts.s, "probes": counts.h, "pivot_key": limit, "live_after": after, "slowest_ns": counts.ns})
+        stays = F.col("key") > limit if tie_rule == "drop_equal" else F.col("key") >= limit
+        after, slowest = nearer.agg(F.count_if(stays), F.max("ns")).first()
+        live = nearer.where(stays).select("id", "coords", "key")
+        trace.append({"iteration": iteration, "live": size, "new_sample": len(members), "probes": len(probes), "pivot_key": limit, "live_after": after, "slowest_ns": slowest})
         if kept is not None:
             release(kept)
         kept, size = nearer, after

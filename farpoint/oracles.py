@@ -97,25 +97,47 @@ def blocked_ctes(dims: int, k: int, m: int, strategy: str = "id_mod", more: tupl
     return [*ctes, f"survivors AS MATERIALIZED (SELECT DISTINCT id, {cs(dims)} FROM {at})", *traversal("last", "survivors", dims, k)]
 
 
-def sampling_ctes(dims: int, k: int, phi: float, iterations: int, eps: float = 0.1, seed: int = 42, keep_equal: bool = False) -> list[str]:
-    """The unrolled loop: members{i}, live{i}, pivot{i}, and ``sample`` (id, c0, ..., part)."""
+def sampling_ctes(dims: int, k: int, phi: float, iterations: int, eps: float = 0.1, seed: int = 42, keep_equal: bool = False, guarded: bool = False) -> list[str]:
+    """The unrolled loop: members{i}, live{i}, pivot{i}, and ``sample`` (id, c0, ..., part).
+
+    With ``guarded`` an iteration does nothing once the live points are few enough (go{i}), so ``iterations`` may be any number that is large enough.
+    """
     ctes = [f"size AS (SELECT count(*) AS n, pow(count(*), {eps}) AS g, ln(count(*)) AS l FROM pts)", f"live0 AS (SELECT id, {cs(dims)}, CAST({BIG} AS BIGINT) AS d FROM pts)"]
     for i in range(1, iterations + 1):
         draw = lambda tag: duck_uniform(repr(str(seed)), repr(str(i - 1)), repr(tag), "CAST(id AS VARCHAR)")  # noqa: B023, E731
+        go = f"m > 4 / {eps} * {k} * g * l" if guarded else "true"
         ctes += [
             f"count{i} AS (SELECT count(*) AS m FROM live{i - 1})",
-            f"drawn{i} AS MATERIALIZED (SELECT r.*, {draw('S')} < 9 * {k} * g * l / m AS in_s, {draw('H')} < 4 * g * l / m AS in_h FROM live{i - 1} r, size, count{i})",
+            f"go{i} AS MATERIALIZED (SELECT {go} AS go FROM size, count{i})",
+            f"drawn{i} AS MATERIALIZED (SELECT r.*, go AND {draw('S')} < 9 * {k} * g * l / m AS in_s, go AND {draw('H')} < 4 * g * l / m AS in_h FROM live{i - 1} r, size, count{i}, go{i})",
             f"members{i} AS MATERIALIZED (SELECT id, {cs(dims)} FROM drawn{i} WHERE in_s)",
             f"near{i} AS MATERIALIZED (SELECT a.id, min({squared('a', 'b', dims)}) AS e FROM drawn{i} a, members{i} b GROUP BY a.id)",
-            f"lower{i} AS MATERIALIZED (SELECT a.id, {cs(dims, 'a.')}, least(a.d, e) AS d, in_s, in_h FROM drawn{i} a JOIN near{i} USING (id))",
+            f"lower{i} AS MATERIALIZED (SELECT a.id, {cs(dims, 'a.')}, least(a.d, coalesce(e, a.d)) AS d, in_s, in_h FROM drawn{i} a LEFT JOIN near{i} USING (id))",
             f"pivot{i} AS (SELECT d AS p FROM (SELECT d, row_number() OVER (ORDER BY d DESC, id) AS r FROM lower{i} WHERE in_h) WHERE r <= (SELECT greatest(1, floor({phi} * l)) FROM size) ORDER BY r DESC LIMIT 1)",
-            f"live{i} AS MATERIALIZED (SELECT id, {cs(dims)}, d FROM lower{i} WHERE d {'>=' if keep_equal else '>'} (SELECT p FROM pivot{i}))",
+            f"live{i} AS MATERIALIZED (SELECT id, {cs(dims)}, d FROM lower{i} WHERE d {'>=' if keep_equal else '>'} (SELECT p FROM pivot{i}) OR NOT (SELECT go FROM go{i}))",
         ]
     parts = [f"SELECT id, {cs(dims)}, 'S' AS part FROM members{i}" for i in range(1, iterations + 1)]
     rest = f"SELECT id, {cs(dims)}, 'R' AS part FROM live{iterations}" + (f" WHERE id NOT IN (SELECT id FROM members{iterations})" if keep_equal and iterations else "")
     return [*ctes, f"sample AS MATERIALIZED ({' UNION ALL '.join([*parts, rest])})"]
 
 
+def iterations_run(iterations: int) -> str:
+    """How many iterations a guarded loop has run."""
+    return "CAST(" + " + ".join(f"(SELECT CAST(go AS INT) FROM go{i})" for i in range(1, iterations + 1)) + " AS INT)"
+
+
+def sampled(view: str, k: int, phi: float, final: str, iterations: int = 8, eps: float = 0.1, seed: int = 42, keep_equal: bool = False, traverse: bool = True, groups: int = 25) -> str:
+    """A guarded loop and, over its sample, the traversal ``ff``; ``final`` may name iterations as {runs} and the radius key as {radius}."""
+    pts, dims = points_cte(view, groups)
+    ctes = [pts, *sampling_ctes(dims, k, phi, iterations, eps, seed, keep_equal, guarded=True), *(traversal("ff", "sample", dims, k) if traverse else [])]
+    return query(ctes, final.replace("{runs}", iterations_run(iterations)).replace("{radius}", f"CAST({radius_key('ff', dims)} AS BIGINT)"))
+
+
+def all_of(queries: list[str]) -> str:
+    """One table of several queries, each with its own names."""
+    return " UNION ALL ".join(f"SELECT * FROM ({q})" for q in queries)
+
+
 def sampling(view: str, k: int, phi: float, iterations: int, final: str = "SELECT id, part FROM sample", keep_equal: bool = False, traverse: bool = False) -> str:
     pts, dims = points_cte(view)
     ctes = [pts, *sampling_ctes(dims, k, phi, iterations, keep_equal=keep_equal)]

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from farpoint.sources.staging import materialise
+
 
 def relative_value(runs: DataFrame, baseline: str = "farthest_first") -> DataFrame:
     """(dataset, k, alg, radius) with ``relative``: the radius over the baseline's."""
@@ -47,10 +49,20 @@ def running_sample(trace: DataFrame) -> DataFrame:
 
 
 def rank_in_live(live: DataFrame) -> DataFrame:
-    """id, rank_live: how many live points are farther from the sample."""
+    """id, rank_live: how many live points are farther from the sample.
+
+    The keys are ordered over all machines by ranges; each range needs only how many points the ranges before it have.
+    """
     counts = live.groupBy("key").agg(F.count("*").alias("n"))
-    w = Window.orderBy(F.desc("key")).rowsBetween(Window.unboundedPreceding, -1)
-    farther = counts.select("key", F.coalesce(F.sum("n").over(w), F.lit(0)).alias("rank_live"))
+    ranges = materialise(counts.repartitionByRange(F.desc("key")).withColumn("part", F.spark_partition_id()), "ranges")
+    sizes = sorted((r.part, r.n) for r in ranges.groupBy("part").agg(F.sum("n").alias("n")).collect())  # a row for each range
+    before, offsets = 0, []
+    for part, n in sizes:
+        offsets.append((part, before))
+        before += n
+    small = F.broadcast(live.sparkSession.createDataFrame(offsets, "part int, offset long"))
+    w = Window.partitionBy("part").orderBy(F.desc("key")).rowsBetween(Window.unboundedPreceding, -1)
+    farther = ranges.join(small, "part").select("key", (F.col("offset") + F.coalesce(F.sum("n").over(w), F.lit(0))).alias("rank_live"))
     return live.join(farther, "key").select("id", "rank_live")
 
 

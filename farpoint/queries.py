@@ -15,6 +15,7 @@ from farpoint.operators.blocked import blocked_farthest_first, round_trace, slab
 from farpoint.operators.farthest_first import blocked_by_group, farthest_first, farthest_first_by_group, farthest_first_edges, opt_lower_bound, radius_profile
 from farpoint.plans import bounds, cost, measures, planner
 from farpoint.plans.problem import distinct_points
+from farpoint.sources import generators
 from farpoint.sources.staging import materialise
 from farpoint.sources.views import clustered_sql, points_of
 
@@ -98,9 +99,9 @@ for _name, _view, _k, _m in (("q_bff2_orders_k10_m8", "orders_2d", 10, 8), ("q_b
     register(_name, lambda s, d, v=_view, k=_k, m=_m: picked(blocked_farthest_first(points_of(s, d, v), k, m).centers), O.blocked(_view, _k, _m))
 for _part in ("hash", "range", "ntile"):
     register(f"q_bff_{_part}_orders", lambda s, d, p=_part: picked(blocked_farthest_first(points_of(s, d, "orders_2d"), 10, 8, p).centers), O.blocked("orders_2d", 10, 8, _part))
-# 60 k points, 50 blocks give 500 centers, 5 blocks 50, then the last round
-register("q_bff3_lineitem_k10", lambda s, d: picked(blocked_farthest_first(points_of(s, d, "lineitem_4d"), 10, 50, rounds=3, n=60_000).centers), O.blocked("lineitem_4d", 10, 50, more=(25,)))
-register("q_bff4_lineitem_k10", lambda s, d: picked(blocked_farthest_first(points_of(s, d, "lineitem_4d"), 10, 50, rounds=4, n=60_000).centers), O.blocked("lineitem_4d", 10, 50, more=(25, 12)))
+# forced rounds halve the blocks: 50, 25, 12
+register("q_bff3_lineitem_k10", lambda s, d: picked(blocked_farthest_first(points_of(s, d, "lineitem_4d"), 10, 50, rounds=3).centers), O.blocked("lineitem_4d", 10, 50, more=(25,)))
+register("q_bff4_lineitem_k10", lambda s, d: picked(blocked_farthest_first(points_of(s, d, "lineitem_4d"), 10, 50, rounds=4).centers), O.blocked("lineitem_4d", 10, 50, more=(25, 12)))
 
 
 def slabs(s: SparkSession, d: str) -> DataFrame:
@@ -118,6 +119,22 @@ def _slab_sql() -> str:
 
 
 register("q_bff_slab_orders", slabs, _slab_sql())
+
+
+def _tight(s: SparkSession, d: str) -> DataFrame:
+    """Blocks and starts for which two rounds cost four times the optimum: centers, radius key and the optimum's."""
+    p = s.createDataFrame([(v, [float(v)]) for v in (1, 2, 3, 5, 6, 7)], "id long, coords array<double>")
+    block = p.selectExpr("id", "coords", "CASE WHEN id IN (2, 3) THEN 1 ELSE 0 END AS b").repartitionById(2, "b").select("id", "coords")
+    centers = blocked_farthest_first(block, 2, 2, "scan_split", level_seeds=[{0: 5, 1: 2}, {0: 3}]).centers
+    found = A.covering_radius(p, centers).select(F.col("radius_key").cast("bigint").alias("radius_key"))
+    return picked(centers).crossJoin(found).crossJoin(exact.brute_force_opt(p, 2).select(F.col("opt_key").cast("bigint").alias("opt_key")))
+
+
+register("q_bff_tight_instance", _tight, O.query([
+    "pts AS (SELECT CAST(v AS BIGINT) AS id, CAST(v AS BIGINT) AS c0, CAST(v IN (2, 3) AS INT) AS block FROM (VALUES (1), (2), (3), (5), (6), (7)) AS t(v))",
+    *O.traversal("local", "pts", 1, 2, "block", seed="CAST(id NOT IN (5, 2) AS INT), id"), "pooled AS MATERIALIZED (SELECT DISTINCT id, c0 FROM local)", *O.traversal("last", "pooled", 1, 2, seed="CAST(id <> 3 AS INT), id"),
+    "pairs AS (SELECT a.id AS a, b.id AS b, max(least((p.c0 - a.c0) ** 2, (p.c0 - b.c0) ** 2)) AS w FROM pts p, pts a, pts b WHERE a.id < b.id GROUP BY 1, 2)"],
+    f"SELECT rank, id, coalesce(CAST(key AS BIGINT), 0) AS key, CAST({O.radius_key('last', 1)} AS BIGINT) AS radius_key, (SELECT CAST(min(w) AS BIGINT) FROM pairs) AS opt_key FROM last"))
 register("q_bff_scan_split_orders", lambda s, d: picked(blocked_farthest_first(points_of(s, d, "orders_2d"), 10, 8, "scan_split").centers))
 register("q_bff_threshold_solver", lambda s, d: A.covering_radius(points_of(s, d, "customer_2d"), blocked_farthest_first(points_of(s, d, "customer_2d"), 5, 4, solver=threshold.threshold_solver).centers))
 
@@ -140,7 +157,9 @@ for _phi, _it in ((8, 2), (4, 1), (1, 1)):
 register("q_ps_fallback_orders_k25", lambda s, d: picked(farthest_first(drawn(s, d, "orders_2d", 25, 8).sample, 25)), O.farthest_first("orders_2d", 25))
 register("q_ps_keep_equal_grid", lambda s, d: traced(drawn(s, d, "lineitem_grid", 5, 4, tie_rule="keep_equal", max_iterations=1)), O.sampling_trace("lineitem_grid", 5, 4, 1, keep_equal=True))
 register("q_ps_drop_equal_grid", lambda s, d: traced(drawn(s, d, "lineitem_grid", 5, 4, max_iterations=1)), O.sampling_trace("lineitem_grid", 5, 4, 1))
-register("q_ps_final_blocked_orders", lambda s, d: picked(sampling.pivot_sampling_kcenter(points_of(s, d, "orders_2d"), 5, final="blocked", phi=4, generator="md5")[0]))
+register("q_ps_final_blocked_orders", lambda s, d: picked(sampling.pivot_sampling_kcenter(points_of(s, d, "orders_2d"), 5, final="blocked", phi=4, generator="md5")[0]), O.query(
+    [O.points_cte("orders_2d")[0], *O.sampling_ctes(2, 5, 4, 3, guarded=True), "dealt AS MATERIALIZED (SELECT id, c0, c1, id % 8 AS block FROM sample)", *O.traversal("level0", "dealt", 2, 5, "block"), "survivors AS MATERIALIZED (SELECT DISTINCT id, c0, c1 FROM level0)", *O.traversal("last", "survivors", 2, 5)],
+    O.PICKED.format("last")))
 
 
 def _rank_in_live(s: SparkSession, d: str) -> DataFrame:
@@ -153,6 +172,40 @@ def _rank_in_live(s: SparkSession, d: str) -> DataFrame:
 
 register("q_ps_pivot_rank", _rank_in_live, O.sampling("orders_2d", 10, 4, 1, "SELECT id, rank() OVER (ORDER BY d DESC) - 1 AS rank_live FROM live1"))
 
+
+
+def _low_rank(s: SparkSession, d: str) -> DataFrame:
+    """How many of the k centers of the whole set are among the i live points farthest from the sample."""
+    ranked = materialise(_rank_in_live(s, d), "ranked")
+    centers, out = farthest_first(points_of(s, d, "orders_2d"), 10), None
+    for i in (0, 5, 50, 500, 5000):
+        row = measures.low_rank_count(ranked, centers, i).select(F.lit(i).cast("long").alias("i"), "low_ranked")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+register("q_ps_low_rank_count", _low_rank, O.query([O.points_cte("orders_2d")[0], *O.sampling_ctes(2, 10, 4, 1), *O.traversal("ff", "pts", 2, 10), "ranked AS (SELECT id, rank() OVER (ORDER BY d DESC) - 1 AS rank_live FROM live1)"],
+    "SELECT CAST(i AS BIGINT) AS i, (SELECT count(*) FROM ranked WHERE rank_live <= i AND id IN (SELECT id FROM ff)) AS low_ranked FROM (VALUES (0), (5), (50), (500), (5000)) AS t(i)"))
+register("q_ps_rounds_as_published", lambda s, d: drawn(s, d, "orders_2d", 10, 8).rounds_as_published(50), O.sampled("orders_2d", 10, 8, " UNION ALL ".join(
+    f"SELECT {i} AS iteration, {3 * i - 2 + j} AS round_no, '{name}' AS name, CAST({work} AS BIGINT) AS work FROM count{i}, go{i}, (SELECT {' + '.join(f'(SELECT count(*) FROM members{x})' for x in range(1, i + 1))} AS s) WHERE go"
+    for i in range(1, 9) for j, (name, work) in enumerate((("draw", "ceil(m / 50.0)"), ("pivot", f"s * (SELECT count(*) FROM drawn{i} WHERE in_h)"), ("prune", "ceil(m / 50.0) * s")))), traverse=False))
+
+
+def _slopes(s: SparkSession, d: str) -> DataFrame:
+    """Of each kind of round: the slope of its work against k over runs that sample, and how well a line fits."""
+    points, out = materialised(points_of(s, d, "orders_2d")), None
+    for k in SLOPE_KS:
+        rounds = sampling.pivot_sample(points, k, phi=8, generator="md5").rounds_as_published(50)
+        row = rounds.groupBy("name").agg(F.sum("work").alias("work")).withColumn("k", F.lit(k))
+        out = row if out is None else out.unionByName(row)
+    return out.groupBy("name").agg(F.count("*").alias("runs"), F.round(F.regr_slope("work", "k"), 3).alias("slope"), F.round(F.regr_r2("work", "k"), 6).alias("fit"))
+
+
+SLOPE_KS = (2, 4, 6, 8, 10, 12)
+register("q_ps_round_slopes", _slopes, "SELECT name, count(*) AS runs, round(regr_slope(work, k), 3) AS slope, round(regr_r2(work, k), 6) AS fit FROM (" + O.all_of([O.sampled("orders_2d", _k, 8, f"SELECT {_k} AS k, name, sum(work) AS work FROM (" + " UNION ALL ".join(
+    f"SELECT '{name}' AS name, CAST({work} AS BIGINT) AS work FROM count{i}, go{i}, (SELECT {' + '.join(f'(SELECT count(*) FROM members{x})' for x in range(1, i + 1))} AS s) WHERE go"
+    for i in range(1, 9) for name, work in (("draw", "ceil(m / 50.0)"), ("pivot", f"s * (SELECT count(*) FROM drawn{i} WHERE in_h)"), ("prune", "ceil(m / 50.0) * s"))) + ") GROUP BY name", traverse=False) for _k in SLOPE_KS]) + ") GROUP BY name")
+
 # ---- measures ----
 
 
@@ -252,6 +305,18 @@ def _threshold(s: SparkSession, d: str) -> DataFrame:
 
 
 register("q_threshold_cover_supplier", _threshold)
+
+
+def _threshold_nation(s: SparkSession, d: str) -> DataFrame:
+    p = points_of(s, d, "nation_tiny")
+    return A.covering_radius(p, threshold.threshold_cover(p, 4)).select(F.col("radius_key").cast("bigint").alias("radius_key"))
+
+
+# every pairwise key in turn: its greedy cover by balls of twice the distance; the least that needs four balls or fewer
+register("q_threshold_cover_nation", _threshold_nation, O.query([O.points_cte("nation_tiny")[0], f"keys AS MATERIALIZED (SELECT DISTINCT {O.squared('a', 'b', 2)} AS r FROM pts a, pts b)",
+    f"g AS (SELECT r, 1 AS rank, [(SELECT min(id) FROM pts)] AS ids FROM keys UNION ALL SELECT g.r, g.rank + 1, list_append(g.ids, m.id) FROM g, LATERAL (SELECT min(p.id) AS id FROM pts p WHERE NOT EXISTS (SELECT 1 FROM pts c WHERE list_contains(g.ids, c.id) AND {O.squared('p', 'c', 2)} <= 4 * g.r)) m WHERE m.id IS NOT NULL AND g.rank < 6)",
+    "best AS MATERIALIZED (SELECT arg_max(ids, rank) AS ids FROM g WHERE r = (SELECT min(r) FROM (SELECT r FROM g GROUP BY r HAVING max(rank) <= 4)))", "few AS MATERIALIZED (SELECT p.* FROM pts p, best WHERE list_contains(best.ids, p.id))"],
+    f"SELECT CAST({O.radius_key('few', 2)} AS BIGINT) AS radius_key"))
 _grid_points = O.points_cte("nation_tiny")[0]
 register(
     "q_known_opt_cover_nation", lambda s, d: threshold.known_opt_cover(points_of(s, d, "nation_tiny"), 100.0).select("rank", "id"),
@@ -315,7 +380,27 @@ register("q_theory_table", _theory, """SELECT CAST(n AS BIGINT) AS n, CAST(k AS
 ELSE k * pow(n, 1.1) * ln(n) / (50 * pow(1 - pow(n, -0.1), 2)) END, 3) AS evaluations FROM (VALUES (15000), (60000), (1000000)) AS a(n), (VALUES (2), (10), (100)) AS b(k), (VALUES ('farthest_first', 2), ('blocked', 4), ('pivot_sampling', 10)) AS c(alg, factor)""")
 register("q_slowdown", lambda s, d: _values(s, [(n, round(cost.predict_slowdown(n), 9)) for n in (10_000, 100_000, 1_000_000)], "n long, slowdown double"), "SELECT CAST(n AS BIGINT) AS n, round(pow(n, 0.1) * pow(1 - pow(n, -0.1), -2) * ln(n), 9) AS slowdown FROM (VALUES (10000), (100000), (1000000)) AS t(n)")
 register("q_max_sampling_k", lambda s, d: _values(s, [(n, sampling.max_sampling_k(n)) for n in (6_000, 10_000, 15_000, 50_000, 60_000, 100_000, 1_000_000)], "n long, most_k long"), "SELECT CAST(n AS BIGINT) AS n, CAST(greatest(0, ceil(n / (40 * pow(n, 0.1) * ln(n))) - 1) AS BIGINT) AS most_k FROM (VALUES (6000), (10000), (15000), (50000), (60000), (100000), (1000000)) AS t(n)")
-register("q_phi_threshold", lambda s, d: _values(s, [(b, x, round(bounds.phi_threshold(b, x), 6)) for b, x in ((5.0, 1.0), (4.0, 1.0), (4.0, 1.05))], "b double, x double, phi double"))
+_PHIS = ((5.0, 1.0), (4.0, 1.0), (4.0, 1.05))
+register("q_phi_threshold", lambda s, d: _values(s, [(b, x, round(bounds.phi_threshold(b, x), 6)) for b, x in _PHIS], "b double, x double, phi double"), f"""WITH RECURSIVE g AS (SELECT CAST(b AS DOUBLE) AS b, CAST(x AS DOUBLE) AS x FROM (VALUES {', '.join(map(str, _PHIS))}) AS t(b, x)),
+r AS (SELECT b, x, x AS lo, CAST(1e6 AS DOUBLE) AS hi, 0 AS i FROM g UNION ALL SELECT b, x, CASE WHEN ok THEN lo ELSE mid END, CASE WHEN ok THEN mid ELSE hi END, i + 1
+FROM (SELECT *, b * (mid + x / 2 - sqrt(2 * x * mid + x * x / 4)) >= mid + x + sqrt(2 * x * mid + x * x) AS ok FROM (SELECT *, (lo + hi) / 2 AS mid FROM r)) WHERE i < 200)
+SELECT b, x, round(hi, 6) AS phi FROM r WHERE i = 200""")
+register("q_feasible_roots", lambda s, d: _values(s, [(phi, x, round(bounds.feasible_acd(phi, x), 9), round(bounds.feasible_bcd(phi, x), 9)) for phi in (1.0, 4.0, 6.0, 8.0) for x in (1.0, 1.05)], "phi double, x double, acd double, bcd double"),
+    "SELECT phi, x, round(phi + x / 2 - sqrt(2 * x * phi + x * x / 4), 9) AS acd, round(phi + x + sqrt(2 * x * phi + x * x), 9) AS bcd FROM (SELECT CAST(p AS DOUBLE) AS phi, CAST(q AS DOUBLE) AS x FROM (VALUES (1), (4), (6), (8)) AS a(p), (VALUES (1.0), (1.05)) AS b(q))")
+register("q_rounds", lambda s, d: _values(s, [(a, i, cost.rounds(a, i, i)) for a, _ in _THEORY for i in (0, 1, 2, 3)], "alg string, i long, rounds long"),
+    "SELECT alg, CAST(i AS BIGINT) AS i, CAST(CASE alg WHEN 'farthest_first' THEN 1 WHEN 'blocked' THEN i + 1 ELSE 3 * i + 1 END AS BIGINT) AS rounds FROM (VALUES ('farthest_first'), ('blocked'), ('pivot_sampling')) AS a(alg), range(0, 4) AS r(i)")
+_EXPECTED = [(n, k, phi) for n in (15_000, 200_000, 1_000_000) for k in (2, 10, 100) for phi in (1.0, 8.0)]
+_PARTS = ("live", "new_sample", "probes", "live_after")
+
+
+def _expected(s: SparkSession, d: str) -> DataFrame:
+    rows = [(n, k, phi, t["iteration"], *(round(float(t[c]), 3) for c in _PARTS)) for n, k, phi in _EXPECTED for t in sampling.expected_trace(n, k, phi=phi)]
+    return _values(s, rows, "n long, k long, phi double, iteration long, " + ", ".join(f"{c} double" for c in _PARTS))
+
+
+register("q_ps_expected_trace", _expected, f"""WITH RECURSIVE g AS (SELECT CAST(n AS BIGINT) AS n, CAST(k AS BIGINT) AS k, CAST(phi AS DOUBLE) AS phi, pow(n, 0.1) AS w, ln(n) AS l FROM (VALUES {', '.join(map(str, _EXPECTED))}) AS t(n, k, phi)),
+r AS (SELECT *, CAST(1 AS BIGINT) AS iteration, CAST(n AS DOUBLE) AS live FROM g UNION ALL SELECT n, k, phi, w, l, iteration + 1, live * least(1, phi / (4 * w)) FROM r WHERE live * least(1, phi / (4 * w)) < live AND live > 40 * k * w * l)
+SELECT n, k, phi, iteration, round(live, 3) AS live, round(least(live, 9 * k * w * l), 3) AS new_sample, round(least(live, 4 * w * l), 3) AS probes, round(live * least(1, phi / (4 * w)), 3) AS live_after FROM r WHERE live > 40 * k * w * l""")
 register(
     "q_success_probability", lambda s, d: _values(s, [(n, round(bounds.success_probability(n, bounds.gamma_of(n)), 12), bounds.mapping_condition(n, 0.1)) for n in (1_000, 10_000, 1_000_000)], "n long, probability double, maps boolean"),
     "SELECT CAST(n AS BIGINT) AS n, round(1 - 2 * pow(n, -(1 + ln(ln(n)) / ln(n))), 12) AS probability, 5 / pow(n, 0.1) < 2 AS maps FROM (VALUES (1000), (10000), (1000000)) AS t(n)",
@@ -404,39 +489,91 @@ def _with_sampling(view: str) -> Query:
     """All three methods, with iterations: which wins, and where sampling falls back to the traversal."""
 
     def run(s: SparkSession, d: str) -> DataFrame:
-        runs = W.radius_grid(materialised(points_of(s, d, view)), view, ks=(2, 5, 10, 25), phis=(8.0,), generator="md5")
-        seen = runs.select(F.col("k").alias("r_k"), F.col("alg").alias("r_alg"), "iterations")
-        told = measures.relative_value(runs).join(seen, (F.col("k") == F.col("r_k")) & (F.col("alg") == F.col("r_alg")))
-        return told.select("dataset", "k", "alg", "radius", F.round("relative", 6).alias("relative"), "iterations")
+        runs = W.radius_grid(materialised(points_of(s, d, view)), view, phis=(8.0,), generator="md5")
+        base = runs.where("alg = 'farthest_first'").select(F.col("k").alias("b_k"), F.col("radius").alias("base"))
+        told = runs.where("alg = 'pivot_sampling'").join(base, F.col("k") == F.col("b_k"))
+        return told.select("dataset", "k", F.col("radius_key").cast("bigint").alias("radius_key"), F.round(F.col("radius") / F.col("base"), 6).alias("relative"), "iterations")
 
     return run
 
 
+def _sampling_oracle(view: str) -> str:
+    pts, dims = O.points_cte(view)
+    base = O.query([pts, *O.traversal("ff", "pts", dims, max(W.KS) + 1)], "SELECT rank - 1 AS k, key FROM ff WHERE rank > 1")  # the next center's key is the radius
+    runs = O.all_of([O.sampled(view, k, 8, f"SELECT {k} AS k, {{radius}} AS radius_key, {{runs}} AS iterations") for k in W.KS])
+    return f"SELECT '{view}' AS dataset, r.k, radius_key, round(sqrt(CAST(radius_key AS DOUBLE)) / sqrt(CAST(b.key AS DOUBLE)), 6) AS relative, iterations FROM ({runs}) r JOIN ({base}) b ON b.k = r.k"
+
+
 for _w, _view in (("w1", "gauss_on_orders"), ("w2", "orders_2d"), ("w3", "skew_on_orders"), ("w4", "lineitem_grid"), ("w5", "lineitem_4d"), ("w5_events", "events_2d"), ("w22", "embeddings_64d")):
     register(f"q_workload_{_w}", _grid(_view), _grid_oracle(_view))
-    register(f"q_workload_{_w}_sampling", _with_sampling(_view))
+    register(f"q_workload_{_w}_sampling", _with_sampling(_view), _sampling_oracle(_view))
+
 
+def _runtimes(view: str, ks: tuple[int, ...], groups: int = 25, sizes: tuple[int, ...] = ()) -> Query:
+    """Evaluations and times of the three methods for each k, on the view and on generated sets of the given sizes."""
 
-def _evaluations(view: str, k: int) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        t = W.runtimes(materialised(points_of(s, d, view)), view, k)
-        return t.select("dataset", "alg", "n", "k", "evaluations", "sampled", "seconds", "simulated_seconds")
+        sets = [(view, materialised(points_of(s, d, view, groups)))] + [(f"clustered_{n}", materialised(generators.gaussian_clusters(s, n, 25, scale=10_000))) for n in sizes]
+        out = None
+        for name, points in sets:
+            for k in ks:
+                t = W.runtimes(points, name, k).select("dataset", "alg", "n", "k", "evaluations", "sampled", "seconds", "simulated_seconds")
+                out = t if out is None else out.unionByName(t)
+        return out
 
     return run
 
 
-for _w, _view, _k in (("w6", "gauss_on_orders", 25), ("w7", "orders_2d", 10), ("w8", "gauss_on_orders", 50), ("w9", "gauss_on_orders", 10), ("w10", "lineitem_4d", 10), ("w11", "lineitem_4d", 100)):
-    register(f"q_workload_{_w}_runtime", _evaluations(_view, _k))
+for _w, _view, _groups in (("w6", "gauss_on_orders", 25), ("w7", "orders_2d", 25), ("w8", "gauss_on_orders", 50)):
+    register(f"q_workload_{_w}_runtime", _runtimes(_view, W.KS, _groups))
+register("q_workload_w9_runtime", _runtimes("gauss_on_orders", (2, 5, 10, 12, 14, 15, 25, 50, 100), 50))  # at 15,000 points up to 14 centers are sampled
+for _w, _k in (("w10", 10), ("w11", 100)):
+    register(f"q_workload_{_w}_runtime", _runtimes("lineitem_4d", (_k,), sizes=(10_000, 50_000, 100_000)))
 
 
 def _phi(s: SparkSession, d: str) -> DataFrame:
-    sweep = W.phi_sweep(materialised(points_of(s, d, "gauss_on_orders")), ks=(2, 5, 10), generator="md5")
-    return measures.best_in_row(sweep, "k", "phi", "radius_key")
+    sweep = W.phi_sweep(materialised(points_of(s, d, "gauss_on_orders")), generator="md5")
+    return measures.best_in_row(sweep, "k", "phi", "radius_key").select("k", "phi", F.col("radius_key").cast("bigint").alias("radius_key"), "iterations", "sample_size", "is_best")
 
 
-register("q_workload_w12_phi", _phi)
-register("q_workload_w13_phi_cost", lambda s, d: W.phi_sweep(materialised(points_of(s, d, "orders_2d")), ks=(2, 10), generator="md5").select("k", "phi", "iterations", "sample_size", "evaluations", "sampled"))
-register("q_workload_w14_eps", lambda s, d: W.eps_sweep(materialised(points_of(s, d, "orders_2d")), 5, generator="md5"))
+def _phi_sql() -> str:
+    runs = O.all_of([O.sampled("gauss_on_orders", k, phi, f"SELECT {k} AS k, CAST({phi} AS DOUBLE) AS phi, {{radius}} AS radius_key, {{runs}} AS iterations, (SELECT count(*) FROM sample) AS sample_size") for k in W.KS for phi in W.PHIS])
+    return f"SELECT *, row_number() OVER (PARTITION BY k ORDER BY radius_key, phi) = 1 AS is_best FROM ({runs})"
+
+
+register("q_workload_w12_phi", _phi, _phi_sql())
+
+
+def _phi_seconds(s: SparkSession, d: str) -> DataFrame:
+    """Evaluations, and the time on the slowest of 50 machines, by k and phi."""
+    points, out = materialised(points_of(s, d, "gauss_on_orders")), None
+    for k in W.KS:
+        for phi in W.PHIS:
+            one = sampling.pivot_sample(points, k, phi=float(phi), generator="md5", machines=50)
+            counted, took = cost.count_sampling(one.trace, 50, one.sample.count(), k), W.sampling_ns(one, k)
+            row = _values(s, [(k, float(phi), len(one.trace), counted["draws"], counted["pivot"], counted["prune"], counted["final"], one.sampled, took / 1e9)], "k int, phi double, iterations int, draws long, pivot long, prune long, final long, sampled boolean, simulated_seconds double")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+register("q_workload_w13_phi_cost", _phi_seconds)
+register("q_workload_w14_eps", lambda s, d: W.eps_sweep(materialised(points_of(s, d, "orders_2d")), 5, generator="md5").withColumn("radius_key", F.col("radius_key").cast("bigint")),
+    O.all_of([O.sampled("orders_2d", 5, 8, f"SELECT CAST({e} AS DOUBLE) AS eps, {{runs}} AS iterations, (SELECT count(*) FROM sample) AS sample_size, {{radius}} AS radius_key", iterations=16, eps=e) for e in W.EPSILONS]))
+SPREAD_SEEDS = (1, 2, 3)
+
+
+def _spread(s: SparkSession, d: str) -> DataFrame:
+    """Mean and spread of the radius over seeds, by phi."""
+    points, rows = materialised(points_of(s, d, "orders_2d")), None
+    for seed in SPREAD_SEEDS:
+        run = W.phi_sweep(points, ks=(5,), generator="md5", seed=seed).select("phi", F.sqrt("radius_key").alias("radius"), "sample_size")
+        rows = run if rows is None else rows.unionByName(run)
+    told = measures.average_runs(rows, "phi")
+    return told.select("phi", "repeats", *[F.round(c, 3).alias(c) for c in ("mean", "spread", "least", "most")])
+
+
+register("q_workload_phi_spread", _spread, "SELECT phi, count(*) AS repeats, round(avg(r), 3) AS mean, round(stddev_samp(r), 3) AS spread, round(min(r), 3) AS least, round(max(r), 3) AS most FROM (" + O.all_of(
+    [O.sampled("orders_2d", 5, p, f"SELECT CAST({p} AS DOUBLE) AS phi, sqrt(CAST({{radius}} AS DOUBLE)) AS r", seed=seed) for p in W.PHIS for seed in SPREAD_SEEDS]) + ") GROUP BY phi")
 
 
 def _inherent(s: SparkSession, d: str) -> DataFrame:
@@ -461,11 +598,46 @@ def _inherent_sql() -> str:
 
 
 register("q_workload_w15_inherent", _inherent, _inherent_sql())
-register("q_workload_w16_ties", lambda s, d: W.tie_rule_sweep(materialised(points_of(s, d, "lineitem_grid")), 5, phi=4.0, generator="md5"))
-register("q_workload_w17_rounds", lambda s, d: W.rounds_sweep(materialised(points_of(s, d, "lineitem_4d")), 10, 50))
-register("q_workload_w18_partitioners", lambda s, d: W.partitioner_sweep(materialised(points_of(s, d, "orders_2d")), 10, 8))
-register("q_workload_w18_seeds", lambda s, d: baselines.worst_seed(materialised(points_of(s, d, "orders_2d")), 5, [0, 100, 777, 5000]).withColumn("radius_key", F.col("radius_key").cast("bigint")))
-register("q_workload_w19_iterations", lambda s, d: traced(drawn(s, d, "orders_2d", 2, 8)).withColumn("rounds_so_far", F.lit(3) * F.col("iteration")))
+register("q_workload_w16_ties", lambda s, d: W.tie_rule_sweep(materialised(points_of(s, d, "lineitem_grid")), 5, phi=4.0, generator="md5"), O.all_of([
+    O.sampled("lineitem_grid", 5, 4, f"SELECT '{rule}' AS tie_rule, {{runs}} AS iterations, (SELECT count(*) FROM live6) <= (SELECT 40 * 5 * g * l FROM size) AS terminated, (SELECT count(*) FROM live6) AS live_after", iterations=6, keep_equal=rule == "keep_equal", traverse=False)
+    for rule in ("drop_equal", "keep_equal")]))
+_rounds_pts, _rounds_dims = O.points_cte("lineitem_4d")
+register("q_workload_w17_rounds", lambda s, d: W.rounds_sweep(materialised(points_of(s, d, "lineitem_4d")), 10, 50).withColumn("radius_key", F.col("radius_key").cast("bigint")), O.all_of([
+    O.query([_rounds_pts, *O.blocked_ctes(_rounds_dims, 10, 50, more=more)], f"SELECT {len(more) + 2} AS rounds, {2 * len(more) + 4} AS guarantee, CAST({O.radius_key('last', _rounds_dims)} AS BIGINT) AS radius_key") for more in ((), (25,), (25, 12))]))
+_TOLD = ("id_mod", "hash", "range", "ntile")
+
+
+def _partitioners(view: str, k: int, m: int, strategies: tuple[str, ...]) -> Query:
+    return lambda s, d: W.partitioner_sweep(materialised(points_of(s, d, view)), k, m, strategies).withColumn("radius_key", F.col("radius_key").cast("bigint"))
+
+
+def _partitioners_sql(view: str, k: int, m: int) -> str:
+    pts, dims = O.points_cte(view)
+    return O.all_of([O.query([pts, *O.blocked_ctes(dims, k, m, p)], f"SELECT '{p}' AS strategy, CAST({O.radius_key('last', dims)} AS BIGINT) AS radius_key") for p in _TOLD])
+
+
+for _view, _m in (("orders_2d", 8), ("embeddings_64d", 4)):
+    register(f"q_workload_w18_{_view}", _partitioners(_view, 10, _m, _TOLD), _partitioners_sql(_view, 10, _m))
+    register(f"q_workload_w18_{_view}_others", _partitioners(_view, 10, _m, ("random", "spatial_grid", "adversarial")))
+_STARTS = (0, 100, 777, 5000)
+register("q_workload_w18_seeds", lambda s, d: baselines.worst_seed(materialised(points_of(s, d, "orders_2d")), 5, list(_STARTS)).withColumn("radius_key", F.col("radius_key").cast("bigint")), O.all_of([
+    O.query([_pts_orders, *O.traversal("ff", "pts", 2, 5, seed=f"CAST(id <> {start} AS INT), id")], f"SELECT CAST({start} AS BIGINT) AS seed, CAST({O.radius_key('ff', 2)} AS BIGINT) AS radius_key") for start in _STARTS]))
+
+
+def _iterations_seen(s: SparkSession, d: str) -> DataFrame:
+    rows = []
+    for view in SEEN_VIEWS:
+        points = materialised(points_of(s, d, view))
+        for k in W.KS:
+            for phi in (1, 8):
+                one = sampling.pivot_sample(points, k, phi=float(phi), generator="md5")
+                rows.append((view, k, phi, len(one.trace), cost.rounds("pivot_sampling", len(one.trace))))
+    return _values(s, rows, "dataset string, k int, phi int, iterations int, rounds int")
+
+
+SEEN_VIEWS = ("orders_2d", "gauss_on_orders", "events_2d")
+register("q_workload_w19_iterations", _iterations_seen, "SELECT *, 3 * iterations + 1 AS rounds FROM (" + O.all_of(
+    [O.sampled(_v, _k, _p, f"SELECT '{_v}' AS dataset, {_k} AS k, {_p} AS phi, {{runs}} AS iterations", traverse=False) for _v in SEEN_VIEWS for _k in W.KS for _p in (1, 8)]) + ")")
 register("q_workload_w21_documents", lambda s, d: W.document_clusters(s, d), _with_centers(
     "SELECT n.center_id AS center_id, count(*) AS size, CAST(max(n.key) AS BIGINT) AS radius_key, count(DISTINCT lang) AS languages, CAST(sum(quality) AS BIGINT) AS n_quality, count(quality) AS n_labelled "
     "FROM assigned a JOIN documents d ON d.doc_id = a.id LEFT JOIN labels l ON l.doc_id = a.id GROUP BY 1", "documents_tf", 10))

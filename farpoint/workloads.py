@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from farpoint.operators import kernels
 from farpoint.operators.blocked import blocked_farthest_first, local_round, round_trace
 from farpoint.operators.farthest_first import CENTERS, center_batch, farthest_first, gathered
-from farpoint.operators.sampling import pivot_sample
+from farpoint.operators.sampling import PivotSample, pivot_sample
 from farpoint.plans import cost
 from farpoint.sources.staging import materialise
 from farpoint.sources.views import points_of
@@ -150,7 +150,7 @@ def runtimes(points: DataFrame, dataset: str, k: int, m: int = 50, phi: float =
     began = time.perf_counter()
     farthest_first(points, k).collect()
     took = time.perf_counter() - began
-    rows.append((dataset, "farthest_first", n, k, took, _solver_ns(points, k) / 1e9, cost.count_farthest_first(n, k), None))
+    rows.append((dataset, "farthest_first", n, k, took, solver_ns(points, k) / 1e9, cost.count_farthest_first(n, k), None))
     began = time.perf_counter()
     blocked_farthest_first(points, k, m).centers.collect()
     took = time.perf_counter() - began
@@ -163,12 +163,16 @@ def runtimes(points: DataFrame, dataset: str, k: int, m: int = 50, phi: float =
     took = time.perf_counter() - began
     one = pivot_sample(points, k, phi=phi, seed=seed, machines=m)
     counted = cost.count_sampling(one.trace, m, one.sample.count(), k)
-    simulated = sum(t["slowest_ns"] for t in one.trace) + _solver_ns(one.sample, k)
-    rows.append((dataset, f"pivot_sampling_{phi:g}", n, k, took, simulated / 1e9, sum(counted.values()), one.sampled))
+    rows.append((dataset, f"pivot_sampling_{phi:g}", n, k, took, sampling_ns(one, k) / 1e9, sum(counted.values()), one.sampled))
     return points.sparkSession.createDataFrame(rows, "dataset string, alg string, n long, k int, seconds double, simulated_seconds double, evaluations long, sampled boolean")
 
 
-def _solver_ns(points: DataFrame, k: int) -> int:
+def sampling_ns(one: PivotSample, k: int) -> int:
+    """The slowest machine of each iteration, where the sample was drawn with ``machines``, and the final traversal."""
+    return sum(t["slowest_ns"] for t in one.trace) + solver_ns(one.sample, k)
+
+
+def solver_ns(points: DataFrame, k: int) -> int:
     """Time of one traversal over all points in one task, without moving them."""
     return local_round(points, k, 1, "round_robin").agg(F.max("elapsed_ns")).first()[0] or 0
 

@@ -86,10 +86,12 @@ def test_levels_follow_from_the_capacity(spark, sf, monkeypatch):
     from farpoint.operators import blocked
 
     p = points_of(spark, sf, "orders_2d")
-    monkeypatch.setattr(blocked, "CAPACITY", 50)
-    done = blocked_farthest_first(p, 10, 16, keep_rounds=True)
+    done = blocked_farthest_first(p, 10, 16, capacity=100, keep_rounds=True)
     assert len(done.rounds) == 3 and done.plan.guarantee == 6
-    assert [r.blocks for r in done.trace().orderBy("round_no").collect()] == [16, 4, 1]
+    assert [r.blocks for r in done.trace().orderBy("round_no").collect()] == [16, 2, 1]
+    monkeypatch.setattr(blocked, "CAPACITY", 50)
+    with pytest.raises(ValueError, match="capacity="):  # a further round is not added unasked
+        blocked_farthest_first(p, 10, 16)
 
 
 def test_chunks_bound_memory_and_keep_the_guarantee(spark, sf):
