@@ -21,7 +21,6 @@ from farpoint.llm.intervals import longest_copies
 from farpoint.llm.suffix_order import ordered_suffixes
 
 MIN_CHARS = 50
-BROADCAST_SPANS = 100_000
 ROW = "__row"
 
 
@@ -116,7 +115,6 @@ def line_dedup(spark: SparkSession, docs: DataFrame, min_chars: int = MIN_CHARS)
     with stage.scratch() as tmp:
         copies = later_copies(tmp, rows.select(ROW, F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), min_chars)
         spans = stage.keep(copies.groupBy(ROW).agg(F.collect_list(F.struct("pos", "span")).alias("__spans")), "spans")
-    total = spans.agg(F.coalesce(F.sum(F.size("__spans")), F.lit(0))).first()[0]
-    joined = rows.join(spans.hint("broadcast" if total <= BROADCAST_SPANS else "shuffle_hash"), ROW, "left")
+    joined = rows.join(spans.hint("shuffle_hash"), ROW, "left")  # spans grow with the lines: not to be broadcast
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
     return joined.select(*[F.col(f"`{c}`") for c in docs.columns], "__spans").mapInArrow(_cut(docs.columns, docs.columns.index("text")), schema + ", n_lines long, n_removed long")

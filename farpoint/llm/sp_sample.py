@@ -206,8 +206,12 @@ class Lattice:
             back[order[a:b]] = sums
             inner[e0:e1] = value - np.repeat(sums, degree[order[a:b]])
         self.lp = inner
-        cum = np.cumsum(np.exp(inner))
-        self.cum = cum - np.repeat(np.concatenate([[0], cum])[first[:-1]], degree[order])
+        self.cum = np.exp(inner)  # summed edge by edge in each node, so that rounding does not depend on the other texts
+        more, edges, k = first[:-1], degree[order], 1
+        while len(more := more[edges > k]):
+            edges = edges[edges > k]
+            self.cum[more + k] += self.cum[more + k - 1]
+            k += 1
         self.cum[first[1:] - 1] = 2.0
         self.source = np.repeat(order, degree[order])
 

@@ -1,4 +1,7 @@
+import zlib
+
 import numpy as np
+from pyspark.sql import functions as F
 
 from farpoint.llm import langid as L
 
@@ -10,6 +13,20 @@ def test_held_out_accuracy(spark):
     assert all(0 <= r.score <= 1 for r in got)
 
 
+def test_split_and_what_a_prediction_may_see(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    net = L.train(docs)
+    rows = L.identify(docs, net).collect()
+    assert {r.doc_id: r.held_out for r in rows} == {r.doc_id: zlib.crc32(str(r.doc_id).encode()) % 4 == 2 for r in rows}
+    told = {r.doc_id: (r.lang_pred, r.score) for r in rows}
+    other = docs.withColumns({"lang": F.lit("xx"), "source": F.lit("s"), "n_chars": F.lit(0), "doc_id": F.col("doc_id") + 7_000})
+    assert {r.doc_id - 7_000: (r.lang_pred, r.score) for r in L.identify(other, net).collect()} == told
+    hidden = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2
+    wrong = docs.withColumn("lang", F.when(hidden, F.lit("xx")).otherwise(F.col("lang"))).withColumn("text", F.when(hidden, F.lit("qq")).otherwise(F.col("text")))
+    again = L.train(wrong)  # what is held out teaches nothing
+    assert again.classes == net.classes and all(np.array_equal(again.p[k], net.p[k]) for k in net.p)
+
+
 def test_gradient():
     rng = np.random.default_rng(0)
     net = L.ByteNet(["a", "b", "c"])

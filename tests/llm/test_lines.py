@@ -89,6 +89,14 @@ def test_scan_in_ranges_is_that_of_all():
         assert [got[i] for i in range(n)] == want
 
 
+def test_very_long_texts(spark):
+    many = "\n".join(f"line {i} of a very long text" for i in range(60_000))
+    docs = [(1, many), (2, "new\n" + many), (3, "x" * 2_000_000), (4, "x" * 2_000_000 + "\nend"), (5, "\n" * 50_000)]
+    got = {r.doc_id: (r.n_lines, r.n_removed, r.text) for r in L.line_dedup(spark, spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got[1][:2] == (60_000, 0) and got[2] == (60_001, 60_000, "new") and got[3][:2] == (1, 0)
+    assert got[4] == (2, 1, "end") and got[5][:2] == (50_001, 0)
+
+
 def test_window_lines():
     assert L.window_lines([10, 40, 0, 5], 50) == [2, 0, 0, 0]
     assert L.window_lines([0, 0, 50, 1], 50) == [3, 2, 1, 0]

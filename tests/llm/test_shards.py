@@ -44,3 +44,11 @@ def test_query_rows(spark, sf):
         want |= {(d.doc_id, c, hashlib.sha256(ids[c * T.LENGTH : (c + 1) * T.LENGTH].tobytes()).hexdigest()) for c in range(-(-len(ids) // T.LENGTH))}
     assert {(r.doc_id, r.chunk, r.tokens_sha256) for r in rows} == want and len(rows) == len(want)
     assert T.shard_round_trip(spark, docs.limit(0)).count() == 0
+
+
+def test_columns_of_other_meaning(spark):
+    docs = spark.createDataFrame([(1, "a b c", 9, 9, "x"), (1, "a b c", 9, 9, "x"), (None, None, 9, 9, "x"), (2, "long " * 60_000, 9, 9, "x")], "doc_id long, text string, slot int, shard int, part string")
+    rows = T.shard_round_trip(spark, docs).collect()
+    assert sorted(r.slot for r in rows) == list(range(len(rows))) and sum(r.doc_id == 1 for r in rows) == 2 and sum(r.doc_id is None for r in rows) == 1
+    ids = np.array([*T.encoding(T.TOKENIZER).encode_ordinary("long " * 60_000), T.END_OF_TEXT], "<u2")
+    assert sum(r.n_tokens for r in rows if r.doc_id == 2) == len(ids)

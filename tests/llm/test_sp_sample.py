@@ -98,3 +98,16 @@ def test_edge_rows(spark):
     assert sorted(r.doc_id or 0 for r in got) == [0, 0, 1, 2, 4, 4, 5, 5, 5, 5]
     assert {r.decoded_sha256 for r in got if r.doc_id == 4} == {hashlib.sha256(odd.encode()).hexdigest()}
     assert S.sampled_encodings(frame.limit(0)).count() == 0
+
+
+def test_samples_do_not_depend_on_the_batch(toy):
+    texts = ["abcab abc " * 40, "ab", "bc " * 200]
+    alone = [S.sample(toy, [t], [i], 2)[0] for i, t in enumerate(texts)]
+    for again, want in zip(S.sample(toy, texts, [0, 1, 2], 2), alone, strict=True):
+        assert [(ids.tolist(), lp, value, score) for ids, lp, value, score in again] == [(ids.tolist(), lp, value, score) for ids, lp, value, score in want]
+
+
+def test_very_long_text(spark):
+    text = "many words of one text " * 20_000
+    rows = S.sampled_encodings(spark.createDataFrame([(1, text)], "doc_id long, text string")).collect()
+    assert len(rows) == S.SAMPLES and {r.decoded_sha256 for r in rows} == {hashlib.sha256(text.encode()).hexdigest()}
