@@ -5,10 +5,10 @@ content says: of the GRAMS[0]-word sequences in a window at that of the smallest
 one, and neighbouring windows mostly share it, so a partition, the suffixes of one prefix, gets short
 stretches of text around it, each standing for several windows. A partition of one stretch has no internal node and is dropped
 before any text moves. The prefix is as long as it has to be: a partition that is too large for a group in
-memory is taken apart by the longer sequences that its windows choose, until it fits or no longer prefix is left. Small
+memory is taken apart by the longer sequences, GRAMS[1] words, that its windows choose. Small
 partitions are packed into groups, and in a group all suffixes of its stretches are put in order
 by ranks of prefixes of 3, 9, 27 words and the window's length: neighbours in this order that agree in the
-window's length are the leaves of an internal node of that depth or deeper, a repeat. What even the longest prefix
+window's length are the leaves of an internal node of that depth or deeper, a repeat. What even the longer prefix
 leaves too large is mostly copies of one passage; it is dealt over several groups, each tells the windows it
 holds, once each, and windows that only different groups share are found by content in a second step.
 Rows of one text are judged as one: only the first goes through the trees, all lose every window.
@@ -28,8 +28,10 @@ from pyspark.sql import functions as F
 from farpoint.llm.common import Staging
 
 WINDOW = 35
-#: Words of a prefix: the first of all partitions, the others of those that are too large. Powers of two.
-GRAMS = (8, 16, 32)
+#: Words of a prefix: of all partitions, and of those that are too large. Powers of two.
+GRAMS = (8, 16)
+#: Partitions with longer prefixes, whose numbers all tasks get (8 bytes each); were there more that are too large, the rest would be dealt as they are.
+LONGER = 1_000_000
 #: Stretches of a partition that one group takes; each has fewer than 2 * WINDOW words.
 GROUP_ROWS = 2000
 #: Words put in order at once; three ranks of RANK_BITS bits are packed into one integer.
@@ -71,14 +73,8 @@ def grams(h: np.ndarray, size: int) -> np.ndarray:
         return _mix(h)
 
 
-def stretches(h: np.ndarray, lengths: np.ndarray, window: int = WINDOW, size: int = GRAMS[0]) -> tuple[np.ndarray, ...]:
-    """(partition, document, first window, last window) of each run of windows that choose one place.
-
-    ``h`` has the word hashes of the documents one after another, ``lengths`` their words.
-    """
-    ends = np.cumsum(lengths)
-    if len(h) < window:
-        return tuple(np.empty(0, t) for t in (np.uint64, np.int64, np.int64, np.int64))
+def chosen(h: np.ndarray, size: int, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
+    """The hashes of all sequences of ``size`` words, and for each window the place of the one it chooses."""
     g = grams(h, size)
     low = (g & ~np.uint64(0xFFFFFF)) | np.arange(len(g), dtype=np.uint64)  # ties: the first place
     span, width = window - size + 1, 1
@@ -88,71 +84,73 @@ def stretches(h: np.ndarray, lengths: np.ndarray, window: int = WINDOW, size: in
         width *= 2
     if span > width:
         m = np.minimum(m[: len(m) - (span - width)], m[span - width :])
-    doc = np.repeat(np.arange(len(lengths)), lengths)[: len(m)]
-    at = np.flatnonzero(np.arange(len(m)) + window <= ends[doc])
+    return g, (m & np.uint64(0xFFFFFF)).astype(np.int64)
+
+
+def stretches(h: np.ndarray, lengths: np.ndarray, window: int = WINDOW, crowded: np.ndarray | None = None) -> tuple[np.ndarray, ...]:
+    """(partition, document, first window, last window) of each run of windows that choose one place.
+
+    ``h`` has the word hashes of the documents one after another, ``lengths`` their words. With ``crowded`` only
+    windows of these partitions (sorted) count, and they choose a longer prefix as well.
+    """
+    none = tuple(np.empty(0, t) for t in (np.uint64, np.int64, np.int64, np.int64))
+    if len(h) < window:
+        return none
+    ends = np.cumsum(lengths)
+    g, place = chosen(h, GRAMS[0], window)
+    doc = np.repeat(np.arange(len(lengths)), lengths)[: len(place)]
+    at = np.flatnonzero(np.arange(len(place)) + window <= ends[doc])
+    part = g[place[at]]
+    longer = place
+    if crowded is not None and len(crowded):
+        held = crowded[np.minimum(np.searchsorted(crowded, part), len(crowded) - 1)] == part
+        at, part = at[held], part[held]
+        g, longer = chosen(h, GRAMS[1], window)
+        with np.errstate(over="ignore"):
+            part = _mix(part * ODD + g[longer[at]])
     if not len(at):
-        return tuple(np.empty(0, t) for t in (np.uint64, np.int64, np.int64, np.int64))
-    place = (m[at] & np.uint64(0xFFFFFF)).astype(np.int64)
-    new = np.flatnonzero(np.concatenate([[True], (place[1:] != place[:-1]) | (at[1:] != at[:-1] + 1) | (doc[at[1:]] != doc[at[:-1]])]))
+        return none
+    same = (place[at[1:]] == place[at[:-1]]) & (longer[at[1:]] == longer[at[:-1]]) & (at[1:] == at[:-1] + 1) & (doc[at[1:]] == doc[at[:-1]])
+    new = np.flatnonzero(np.concatenate([[True], ~same]))
     last = np.concatenate([new[1:], [len(at)]]) - 1
     d = doc[at[new]]
     begin = (ends - lengths)[d]
-    return g[place[new]], d, at[new] - begin, at[last] - begin
-
+    return part[new], d, at[new] - begin, at[last] - begin
 
-def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    hashes = _Hashes()
-    for batch in batches:
-        ids, keys = batch.column(0), batch.column(1)
-        rows, shifts, parts, lengths, held = [], [], [], [], 0
-
-        def flush():
-            out = stretches(np.concatenate(parts), np.array(lengths, np.int64))
-            pick, shift = np.array(rows)[out[1]], np.array(shifts)[out[1]]
-            return pa.RecordBatch.from_arrays(
-                [pa.array(out[0].view(np.int64)), ids.take(pa.array(pick)), keys.take(pa.array(pick)), pa.array((out[2] + shift).astype(np.int32)), pa.array((out[3] + shift).astype(np.int32))],
-                names=["part", "doc_id", "body_hash", "first", "last"],
-            )
-
-        for i, text in enumerate(batch.column(2)):
-            words = (text.as_py() or "").encode("utf-8", "surrogatepass").split()
-            if len(words) < WINDOW:
-                continue
-            h = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
-            del words
-            for lo in range(0, len(h) - WINDOW + 1, SCAN_WORDS):  # pieces of a very long text overlap by a window less one
-                piece = h[lo : lo + SCAN_WORDS + WINDOW - 1]
-                rows.append(i)
-                shifts.append(lo)
-                parts.append(piece)
-                lengths.append(len(piece))
-                held += len(piece)
-                if held >= SCAN_WORDS:
-                    yield flush()
-                    rows, shifts, parts, lengths, held = [], [], [], [], 0
-        if held:
-            yield flush()
-
-
-def _finer(size: int):
-    """(doc_id, body_hash, text, runs: [(part, first, last)]) -> the stretches of the longer prefixes that the runs' windows choose."""
 
+def _scan(crowded: np.ndarray | None = None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = _Hashes()
         for batch in batches:
-            for i, runs in enumerate(batch.column(3)):
-                words = batch.column(2)[i].as_py().encode("utf-8", "surrogatepass").split()
+            ids, keys = batch.column(0), batch.column(1)
+            rows, shifts, parts, lengths, held = [], [], [], [], 0
+
+            def flush():
+                out = stretches(np.concatenate(parts), np.array(lengths, np.int64), crowded=crowded)
+                pick, shift = np.array(rows)[out[1]], np.array(shifts)[out[1]]
+                return pa.RecordBatch.from_arrays(
+                    [pa.array(out[0].view(np.int64)), ids.take(pa.array(pick)), keys.take(pa.array(pick)), pa.array((out[2] + shift).astype(np.int32)), pa.array((out[3] + shift).astype(np.int32))],
+                    names=["part", "doc_id", "body_hash", "first", "last"],
+                )
+
+            for i, text in enumerate(batch.column(2)):
+                words = (text.as_py() or "").encode("utf-8", "surrogatepass").split()
+                if len(words) < WINDOW:
+                    continue
                 h = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
-                part, first, last = (c.to_numpy() for c in runs.values.flatten())
-                for lo in range(0, len(part), 2000):
-                    pieces = [h[a : b + WINDOW] for a, b in zip(first[lo : lo + 2000].tolist(), last[lo : lo + 2000].tolist(), strict=True)]
-                    gram, at, begin, stop = stretches(np.concatenate(pieces), np.array([len(p) for p in pieces]), size=size)
-                    at += lo
-                    with np.errstate(over="ignore"):
-                        finer = _mix(part[at].view(np.uint64) * ODD + gram)
-                    n = len(at)
-                    columns = [pa.array(finer.view(np.int64)), batch.column(0).take(pa.array([i] * n, pa.int64())), batch.column(1).take(pa.array([i] * n, pa.int64()))]
-                    yield pa.RecordBatch.from_arrays([*columns, *(pa.array((x + first[at]).astype(np.int32)) for x in (begin, stop))], names=["part", "doc_id", "body_hash", "first", "last"])
+                del words
+                for lo in range(0, len(h) - WINDOW + 1, SCAN_WORDS):  # pieces of a very long text overlap by a window less one
+                    piece = h[lo : lo + SCAN_WORDS + WINDOW - 1]
+                    rows.append(i)
+                    shifts.append(lo)
+                    parts.append(piece)
+                    lengths.append(len(piece))
+                    held += len(piece)
+                    if held >= SCAN_WORDS:
+                        yield flush()
+                        rows, shifts, parts, lengths, held = [], [], [], [], 0
+            if held:
+                yield flush()
 
     return run
 
@@ -290,23 +288,27 @@ def repeated_spans(docs: DataFrame, stage: Staging, group_rows: int = GROUP_ROWS
     copies = copies_of(stage, docs)
     again = copies.where("again").select(F.col("doc_id").alias("a_id"), F.col("body_hash").alias("a_hash"))
     again = again.hint("broadcast" if again.count() <= BROADCAST_SPANS else "shuffle_hash")
-    every = docs.mapInArrow(_scan, PLACES)
-    places = stage.keep(every.join(again, every["doc_id"].eqNullSafe(again["a_id"]) & (every["body_hash"] == again["a_hash"]), "left_anti"), "places")
-    kept = None
-    for level, finer in enumerate([*GRAMS[1:], None]):
-        sizes = places.groupBy("part").agg(F.count("*").alias("n")).where("n > 1")
-        sizes = stage.keep(sizes, "sizes")  # written, so that both sides of the join are plain exchanges and a hot partition can be split
-        crowded = F.col("n") > group_rows if finer else F.lit(False)
+
+    def placed(crowded: np.ndarray | None, table: str) -> tuple[DataFrame, DataFrame]:
+        every = docs.mapInArrow(_scan(crowded), PLACES)
+        places = stage.keep(every.join(again, every["doc_id"].eqNullSafe(again["a_id"]) & (every["body_hash"] == again["a_hash"]), "left_anti"), table)
+        # written, so that both sides of the join are plain exchanges and a hot partition can be split
+        return places, stage.keep(places.groupBy("part").agg(F.count("*").alias("n")).where("n > 1"), f"{table}-sizes")
+
+    def fitting(places: DataFrame, sizes: DataFrame) -> DataFrame:
         deals = F.ceil(F.col("n") / group_rows).cast("int")
-        fits = places.join(sizes.where(~crowded).select("part", deals.alias("deals")).hint("merge"), "part")
+        fits = places.join(sizes.select("part", deals.alias("deals")).hint("merge"), "part")
         deal = F.pmod(F.xxhash64("doc_id", "body_hash", "first"), F.col("deals")).cast("int")
-        fits = fits.select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
-        kept = fits if kept is None else kept.unionByName(fits)
-        n_crowded = sizes.where(crowded).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-        if not n_crowded:
-            break
-        runs = places.join(sizes.where(crowded).select("part").hint("merge"), "part").select("doc_id", "body_hash", F.struct("part", "first", "last").alias("s"))
-        places = stage.keep(_beside(stage, docs, runs, n_crowded).mapInArrow(_finer(finer), PLACES), f"places-{finer}")
+        return fits.select("doc_id", "body_hash", F.struct("part", deal.alias("deal"), "deals", "first", "last").alias("s"))
+
+    places, sizes = placed(None, "places")
+    large = sizes.where(F.col("n") > group_rows).orderBy(F.desc("n"), "part").limit(LONGER)
+    crowded = np.sort(large.select("part").toArrow().column(0).to_numpy().view(np.uint64))
+    if len(crowded):
+        longer = stage.keep(large.select("part"), "longer")
+        kept = fitting(places, sizes.join(longer, "part", "left_anti")).unionByName(fitting(*placed(crowded, "longer-places")))
+    else:
+        kept = fitting(places, sizes)
     kept = stage.keep(kept, "runs")
     texts = _beside(stage, docs, kept, kept.count()).mapInArrow(_texts, "part long, deal int, deals int, doc_id long, body_hash long, first int, body binary")
     groups = texts.repartition("part", "deal").sortWithinPartitions("part", "deal")
