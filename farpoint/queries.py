@@ -509,14 +509,14 @@ for _w, _view in (("w1", "gauss_on_orders"), ("w2", "orders_2d"), ("w3", "skew_o
     register(f"q_workload_{_w}_sampling", _with_sampling(_view), _sampling_oracle(_view))
 
 
-def _runtimes(view: str, ks: tuple[int, ...], groups: int = 25, sizes: tuple[int, ...] = ()) -> Query:
-    """Evaluations and times of the three methods for each k, on the view and on generated sets of the given sizes."""
+def _runtimes(view: str, ks: tuple[int, ...] | None = None, groups: int = 25, sizes: tuple[int, ...] = ()) -> Query:
+    """Evaluations and times of the three methods for each k (all by default), on the view and on generated sets of the given sizes."""
 
     def run(s: SparkSession, d: str) -> DataFrame:
         sets = [(view, materialised(points_of(s, d, view, groups)))] + [(f"clustered_{n}", materialised(generators.gaussian_clusters(s, n, 25, scale=10_000))) for n in sizes]
         out = None
         for name, points in sets:
-            for k in ks:
+            for k in ks or W.KS:
                 t = W.runtimes(points, name, k).select("dataset", "alg", "n", "k", "evaluations", "sampled", "seconds", "simulated_seconds")
                 out = t if out is None else out.unionByName(t)
         return out
@@ -525,7 +525,7 @@ def _runtimes(view: str, ks: tuple[int, ...], groups: int = 25, sizes: tuple[int
 
 
 for _w, _view, _groups in (("w6", "gauss_on_orders", 25), ("w7", "orders_2d", 25), ("w8", "gauss_on_orders", 50)):
-    register(f"q_workload_{_w}_runtime", _runtimes(_view, W.KS, _groups))
+    register(f"q_workload_{_w}_runtime", _runtimes(_view, None, _groups))
 register("q_workload_w9_runtime", _runtimes("gauss_on_orders", (2, 5, 10, 12, 14, 15, 25, 50, 100), 50))  # at 15,000 points up to 14 centers are sampled
 for _w, _k in (("w10", 10), ("w11", 100)):
     register(f"q_workload_{_w}_runtime", _runtimes("lineitem_4d", (_k,), sizes=(10_000, 50_000, 100_000)))

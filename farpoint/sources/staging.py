@@ -14,8 +14,12 @@ _own: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; a temporary folder only where it is unset and the master is local."""
-    configured = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that driver and executors share: ``spark.checkpoint.dir``, or the folder of setCheckpointDir.
+
+    Where neither is set a temporary folder is made, but only for a local master; on a cluster that would be
+    a folder of one machine, so it is an error there.
+    """
+    configured = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if configured:
         return configured.rstrip("/")
     app = spark.sparkContext.applicationId
