@@ -44,6 +44,13 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay, all columns; ids are taken to be unique."""
-    marks = exact_dedup(docs, id_col, text_col).where("kept").select(F.col("doc_id").alias("__kept_id"))
-    return docs.join(marks, docs[id_col].eqNullSafe(marks["__kept_id"]), "left_semi")
+    """The rows of ``docs`` that stay, all columns. Rows are told apart by id and text, so ids may be null or repeated; of rows equal in both one stays."""
+    marks = exact_dedup(docs, id_col, text_col)
+    marks = marks.where(F.col("doc_id").eqNullSafe(F.col("keep_id"))).groupBy("doc_id", "text_sha256").agg(F.count("*").alias("copies"))
+    marks = marks.select(F.col("doc_id").alias("__kept_id"), F.col("text_sha256").alias("__kept_hash"), "copies")
+    own = F.sha2(normalised(F.col(f"`{text_col}`")), 256)
+    left = docs.withColumn("__hash", own)
+    left = left.join(marks.select("__kept_id", "__kept_hash"), left[id_col].eqNullSafe(F.col("__kept_id")) & (F.col("__hash") == F.col("__kept_hash")), "left_semi")
+    if not marks.where("copies > 1").isEmpty():
+        left = left.dropDuplicates([id_col, "__hash"])
+    return left.drop("__hash")

@@ -24,6 +24,9 @@ def test_exact_dedup_rows(spark):
     again = spark.createDataFrame([(5, "a"), (5, "a")], "doc_id long, text string")
     assert sorted(r.kept for r in exact_dedup(again).collect()) == [False, True]
     assert drop_exact_duplicates(docs).where("doc_id in (3,7)").count() == 2
+    shared = [(1, "a"), (1, "b"), (1, "a"), (None, "c"), (None, "d"), (None, "a"), (2, "c")]
+    left = drop_exact_duplicates(spark.createDataFrame(shared, "doc_id long, text string")).collect()
+    assert sorted(map(str, map(tuple, left))) == sorted(map(str, [(1, "a"), (1, "b"), (None, "d"), (2, "c")]))
 
 
 def brute(docs, items, size=13):
