@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -16,8 +17,8 @@ from farpoint.operators.farthest_first import blocked_by_group, farthest_first,
 from farpoint.plans import bounds, cost, measures, planner
 from farpoint.plans.problem import distinct_points
 from farpoint.sources import generators
-from farpoint.sources.staging import materialise
-from farpoint.sources.views import clustered_sql, points_of
+from farpoint.sources.staging import materialise, shared_dir
+from farpoint.sources.views import clustered_sql, points_of, stream_of
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -721,6 +722,22 @@ register(
 register("q_distance_profile_orders", lambda s, d: A.distance_profile(_served(s, d)))
 
 
+def _streamed(s: SparkSession, d: str) -> DataFrame:
+    """Centers of the events read as a stream; its batches are the levels' sets."""
+    from farpoint.streaming.kcenter_stream import stream_kcenter
+
+    sink, query = stream_kcenter(stream_of(s, d, "events_2d"), 10, f"{shared_dir(s)}/stream-{uuid.uuid4().hex}")
+    try:
+        query.processAllAvailable()
+    finally:
+        query.stop()
+    ids, _ = sink.levels.centers()
+    return _values(s, [(i, int(x)) for i, x in enumerate(ids, 1)], "rank long, id long")
+
+
+register("q_stream_events", _streamed, O.blocked("events_2d", 10, 8, final="SELECT CAST(rank AS BIGINT) AS rank, id FROM last"))  # one file is one batch
+
+
 def _udf_assign(s: SparkSession, d: str) -> DataFrame:
     p = points_of(s, d, "customer_2d")
     near = A.nearest_center_udf(farthest_first(p, 25))

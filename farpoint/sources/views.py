@@ -105,8 +105,21 @@ def points_of(spark: SparkSession, sf_dir: str, name: str, groups: int = 25) ->
 
         table, key, text = {"documents_tf": ("documents", "doc_id", "text"), "pages_tf": ("pages", "page_id", "regexp_replace(html, '<[^>]*>', ' ')"), "benchmark_tf": ("benchmark", "item_id", "text"), "conversations_tf": ("conversations", "conv_id", "text")}[name]
         return term_counts(spark.read.parquet(f"{sf_dir}/{table}.parquet").selectExpr(f"{key} AS id", f"{text} AS text"))
-    v = VIEWS[name]
-    rows = spark.read.parquet(f"{sf_dir}/{v.table}.parquet")
+    return _points(spark.read.parquet(f"{sf_dir}/{VIEWS[name].table}.parquet"), VIEWS[name])
+
+
+def stream_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """The view as a stream over the table's files, for views that need no distinct rows."""
+    v, path = VIEWS[name], f"{sf_dir}/{VIEWS[name].table}.parquet"
+    if v.distinct:
+        raise ValueError(f"{name} keeps one of equal rows, which takes state over the whole stream")
+    reader, where = spark.readStream.schema(spark.read.parquet(path).schema), spark._jvm.org.apache.hadoop.fs.Path(path)
+    if where.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(where).isFile():  # a stream reads folders
+        return _points(reader.option("pathGlobFilter", f"{v.table}.parquet").parquet(sf_dir), v)
+    return _points(reader.parquet(path), v)
+
+
+def _points(rows: DataFrame, v: View) -> DataFrame:
     coords = f"array({', '.join(f'CAST({x} AS DOUBLE)' for x in v.spark)}) AS coords"
     out = rows.selectExpr(f"CAST({v.id} AS BIGINT) AS id", coords, *([v.extra] if v.extra else []))
     return out.dropDuplicates(["id"]) if v.distinct else out
