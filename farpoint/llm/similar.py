@@ -1,7 +1,8 @@
 """Texts whose sets of word shingles have a Jaccard similarity of 0.8 or more, by a prefix-filtered join.
 
 The shingles of a text are put in one order for all texts, rare ones first. Two similar texts share one of
-the first few of each, so these are the join key; sizes and places prune, whole sets decide. A key that more than
+the first few of each, so these are the join key; sizes, and how many of the first shingles two texts have to share at
+least, prune, and whole sets decide. A key that more than
 CROWD texts share is replaced by keys of one shingle more, for similar texts share almost all of them.
 Inside a key pairs are not written out: first each text is compared with one hub of its size, what is
 found similar is joined to components, and only texts of different components are then compared with one another.
@@ -30,6 +31,8 @@ SLOTS = 1 << 16
 #: Members of a hub that one task compares with it.
 HUB_ROWS = 1000
 BROADCAST_ROWS = 100_000
+#: Mark of texts with a key that was replaced: what they share there is not counted.
+MARK = 1 << 31
 PRINT = "doc_id long, text_hash binary, fp long, n_items long, set_hash binary, prefix array<long>"
 
 
@@ -81,7 +84,7 @@ def with_prints(rows: DataFrame, counts: np.ndarray) -> DataFrame:
 
 
 def shared_keys(stage: Staging, texts: DataFrame) -> list[tuple[int, DataFrame]]:
-    """(shingles of a key, rows (key, tid, n_at) of the keys that several texts share) for each length of keys. n_at has the set's size and the place of the key's last shingle."""
+    """(shingles of a key, rows (key, tid, n_at) of the keys that several texts share) for each length of keys. n_at has the set's size, MARK and the place of the key's last shingle."""
     last = F.col("n_items") - F.ceil(F.col("n_items") * 4 / 5)  # the last place of a prefix
     n_at = F.shiftleft(F.col("n_items").cast("long"), 32)
     rows, out = texts.select("tid", "n_items", F.posexplode("prefix").alias("at", "key")).where(F.col("at") <= last).select("key", "tid", (n_at + F.col("at")).alias("n_at")), []
@@ -90,8 +93,12 @@ def shared_keys(stage: Staging, texts: DataFrame) -> list[tuple[int, DataFrame]]
         sizes = stage.keep(sizes, "sizes")  # written, so that both sides of the join are plain exchanges and a hot key can be split
         shared = stage.keep(rows.join(sizes.hint("merge"), "key"), "shared")
         crowded = F.col("members") > CROWD if level < LEVELS else F.lit(False)
-        out.append((level, shared.where(~crowded).select("key", "tid", "n_at")))
+        light = shared.where(~crowded).select("key", "tid", "n_at")
         n_crowded = sizes.where(crowded).agg(F.coalesce(F.sum("members"), F.lit(0))).first()[0]
+        if level == 1 and n_crowded:
+            marked = stage.keep(shared.where(crowded).select("tid").distinct().withColumn("marked", F.lit(MARK)), "marked")
+            light = light.join(marked.hint("merge"), "tid", "left").select("key", "tid", F.col("n_at").bitwiseOR(F.coalesce("marked", F.lit(0)).cast("long")).alias("n_at"))
+        out.append((level, light))
         if level == LEVELS or not n_crowded:
             break
         begun = shared.where(crowded).groupBy("tid").agg(F.collect_list(F.struct("key", "n_at")).alias("begun"))  # at most the prefix's size each
@@ -121,13 +128,14 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def possible(n: np.ndarray, at: np.ndarray, a: np.ndarray, b: np.ndarray, level: int) -> np.ndarray:
-    """Whether sizes and places of the pairs allow a Jaccard of 0.8, if the key's last item is the level-th common one."""
-    most = np.minimum(n[a] - at[a], n[b] - at[b]) + level - 1
-    return 9 * most >= 4 * (n[a] + n[b])
+def least_shared(n: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """How many items of both prefixes the pairs have in common at least, if their Jaccard is 0.8: one prefix ends first in the order, and what is behind it counts once at most."""
+    both = -(-4 * (n[a] + n[b]) // 9)
+    behind = (4 * n + 4) // 5 - 1
+    return np.maximum(both - np.maximum(behind[a], behind[b]), 1)
 
 
-def hub_pairs(key: np.ndarray, n: np.ndarray, at: np.ndarray, level: int) -> tuple[np.ndarray, np.ndarray]:
+def hub_pairs(key: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Rows sorted by key and n -> each row with the hub of its key and size: the first row, then the first that is too large for the hub."""
     first = np.concatenate([[True], key[1:] != key[:-1]])
     hub = np.maximum.accumulate(np.where(first, np.arange(len(key)), 0))
@@ -140,12 +148,11 @@ def hub_pairs(key: np.ndarray, n: np.ndarray, at: np.ndarray, level: int) -> tup
         lead = np.flatnonzero(far)[np.concatenate([[True], old[1:] != old[:-1]])]
         hub[far] = lead[np.searchsorted(hub[lead], old)]
     a = np.flatnonzero(hub != np.arange(len(key)))
-    ok = possible(n, at, a, hub[a], level)
-    return a[ok], hub[a][ok]
+    return a, hub[a]
 
 
-def cross_pairs(key: np.ndarray, n: np.ndarray, at: np.ndarray, root: np.ndarray, level: int) -> tuple[np.ndarray, np.ndarray]:
-    """Rows sorted by key and n -> the pairs of one key but different components that sizes and places allow."""
+def cross_pairs(key: np.ndarray, n: np.ndarray, root: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows sorted by key and n -> the pairs of one key but different components that sizes allow."""
     left, right = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
     starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.empty(0, np.int64)
     one = np.minimum.reduceat(root, starts) == np.maximum.reduceat(root, starts) if len(key) else starts
@@ -153,38 +160,44 @@ def cross_pairs(key: np.ndarray, n: np.ndarray, at: np.ndarray, root: np.ndarray
     while len(live):
         live = live[live + gap < len(key)]
         live = live[(key[live] == key[live + gap]) & (5 * n[live] >= 4 * n[live + gap])]  # sorted by size: a later row is too large as well
-        a, b = live[root[live] != root[live + gap]], live[root[live] != root[live + gap]] + gap
-        ok = possible(n, at, a, b, level)
-        left.append(a[ok])
-        right.append(b[ok])
+        apart = live[root[live] != root[live + gap]]
+        left.append(apart)
+        right.append(apart + gap)
         gap += 1
     return np.concatenate(left), np.concatenate(right)
 
 
 def _pairs(level: int, crossing: bool):
-    """(key, tid, n_at[, root]) sorted by key and n_at -> pairs (a, b) of tids."""
+    """(key, tid, n_at[, root]) sorted by key and n_at -> pairs (a, b) of tids and how many keys they have to share; 0 where the count does not tell."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _runs(batches):
             key, tid, n_at, *root = (c.to_numpy() for c in rows.columns)
-            n, at = n_at >> 32, n_at & 0xFFFFFFFF
-            a, b = cross_pairs(key, n, at, *root, level) if crossing else hub_pairs(key, n, at, level)
+            n, marked = n_at >> 32, n_at & MARK > 0
+            a, b = cross_pairs(key, n, *root) if crossing else hub_pairs(key, n)
+            least = np.where(marked[a] & marked[b], 0, least_shared(n, a, b)) if level == 1 else np.zeros(len(a), np.int64)
+            swap = (n[a] < n[b]) | ((n[a] == n[b]) & (tid[a] < tid[b]))  # b is the smaller set, as a hub is
+            a, b = tid[np.where(swap, b, a)], tid[np.where(swap, a, b)]
             for lo in range(0, len(a), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(tid[a[lo : lo + 100_000]]), pa.array(tid[b[lo : lo + 100_000]])], names=["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 100_000]) for x in (a, b, least)], names=["a", "b", "least"])
 
     return run
 
 
 def candidates(stage: Staging, keys: list[tuple[int, DataFrame]], roots: DataFrame | None) -> DataFrame:
-    """Distinct pairs (a, b) to be compared: with hubs, or where ``roots`` (tid, smallest tid of its component) are given, across components."""
+    """Distinct pairs (a, b) to be compared: with hubs, or where ``roots`` (tid, smallest tid of its component) are given, across components.
+
+    Two texts meet in every key that they share, so how often is how many items they share; of hubs only some of these are seen,
+    which may lose pairs there and not across components.
+    """
     out = None
     for level, rows in keys:
         if roots is not None:
             rows = rows.join(roots.hint("merge"), "tid", "left").select("key", "tid", "n_at", F.coalesce("root", "tid").alias("root"))
         dealt = rows.repartition("key").sortWithinPartitions("key", "n_at", "tid")
-        found = dealt.mapInArrow(_pairs(level, roots is not None), "a long, b long")
+        found = dealt.mapInArrow(_pairs(level, roots is not None), "a long, b long, least long")
         out = found if out is None else out.unionByName(found)
-    return stage.keep(out.distinct(), "pairs")
+    return stage.keep(out.groupBy("a", "b").agg(F.count("*").alias("n"), F.min("least").alias("least")).where("n >= least").select("a", "b"), "pairs")
 
 
 def _whole_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -64,12 +64,12 @@ def test_pairs_inside_keys():
     key, n = np.sort(rng.integers(0, 6, 120)), rng.integers(1, 40, 120)
     order = np.lexsort([n, key])
     key, n = key[order], n[order]
-    at, root = np.zeros(120, np.int64), rng.integers(0, 3, 120)
+    root = rng.integers(0, 3, 120)
     root[key == 2] = 1
-    a, b = similar.cross_pairs(key, n, at, root, 1)
+    a, b = similar.cross_pairs(key, n, root)
     want = {(i, j) for i in range(120) for j in range(i + 1, 120) if key[i] == key[j] and root[i] != root[j] and 5 * n[i] >= 4 * n[j]}
     assert set(zip(a.tolist(), b.tolist(), strict=True)) == want
-    a, b = similar.hub_pairs(key, n, at, 1)
+    a, b = similar.hub_pairs(key, n)
     hubs, want = {}, set()
     for i in range(120):
         if key[i] not in hubs or 4 * n[i] > 5 * n[hubs[key[i]]]:
@@ -77,4 +77,17 @@ def test_pairs_inside_keys():
         else:
             want.add((i, hubs[key[i]]))
     assert set(zip(a.tolist(), b.tolist(), strict=True)) == want
-    assert [len(x) for x in similar.cross_pairs(key[:0], n[:0], at[:0], root[:0], 1)] == [0, 0] == [len(x) for x in similar.hub_pairs(key[:0], n[:0], at[:0], 1)]
+    assert [len(x) for x in similar.cross_pairs(key[:0], n[:0], root[:0])] == [0, 0] == [len(x) for x in similar.hub_pairs(key[:0], n[:0])]
+
+
+def test_least_shared_holds_for_similar_sets():
+    rng = np.random.default_rng(4)
+    for _ in range(3000):
+        size = int(rng.integers(2, 60))
+        items = rng.permutation(400)[: size + 20]
+        a, b = set(items[:size].tolist()), set(items[int(rng.integers(0, 4)) : size + int(rng.integers(0, 4))].tolist())
+        if 5 * len(a & b) < 4 * len(a | b):
+            continue
+        first = [set(sorted(x)[: similar.prefix_size(len(x))]) for x in (a, b)]
+        n = np.array([len(a), len(b)])
+        assert len(first[0] & first[1]) >= similar.least_shared(n, np.array([0]), np.array([1]))[0]
