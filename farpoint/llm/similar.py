@@ -31,8 +31,6 @@ SLOTS = 1 << 16
 #: Members of a hub that one task compares with it.
 HUB_ROWS = 1000
 BROADCAST_ROWS = 100_000
-#: Mark of texts with a key that was replaced: what they share there is not counted.
-MARK = 1 << 31
 PRINT = "doc_id long, text_hash binary, fp long, n_items long, set_hash binary, prefix array<long>"
 
 
@@ -84,7 +82,7 @@ def with_prints(rows: DataFrame, counts: np.ndarray) -> DataFrame:
 
 
 def shared_keys(stage: Staging, texts: DataFrame) -> list[tuple[int, DataFrame]]:
-    """(shingles of a key, rows (key, tid, n_at) of the keys that several texts share) for each length of keys. n_at has the set's size, MARK and the place of the key's last shingle."""
+    """(shingles of a key, rows (key, tid, n_at) of the keys that several texts share) for each length of keys. n_at has the set's size and the place of the key's last shingle."""
     last = F.col("n_items") - F.ceil(F.col("n_items") * 4 / 5)  # the last place of a prefix
     n_at = F.shiftleft(F.col("n_items").cast("long"), 32)
     rows, out = texts.select("tid", "n_items", F.posexplode("prefix").alias("at", "key")).where(F.col("at") <= last).select("key", "tid", (n_at + F.col("at")).alias("n_at")), []
@@ -95,9 +93,6 @@ def shared_keys(stage: Staging, texts: DataFrame) -> list[tuple[int, DataFrame]]
         crowded = F.col("members") > CROWD if level < LEVELS else F.lit(False)
         light = shared.where(~crowded).select("key", "tid", "n_at")
         n_crowded = sizes.where(crowded).agg(F.coalesce(F.sum("members"), F.lit(0))).first()[0]
-        if level == 1 and n_crowded:
-            marked = stage.keep(shared.where(crowded).select("tid").distinct().withColumn("marked", F.lit(MARK)), "marked")
-            light = light.join(marked.hint("merge"), "tid", "left").select("key", "tid", F.col("n_at").bitwiseOR(F.coalesce("marked", F.lit(0)).cast("long")).alias("n_at"))
         out.append((level, light))
         if level == LEVELS or not n_crowded:
             break
@@ -128,11 +123,10 @@ def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def least_shared(n: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """How many items of both prefixes the pairs have in common at least, if their Jaccard is 0.8: one prefix ends first in the order, and what is behind it counts once at most."""
-    both = -(-4 * (n[a] + n[b]) // 9)
-    behind = (4 * n + 4) // 5 - 1
-    return np.maximum(both - np.maximum(behind[a], behind[b]), 1)
+def possible(n: np.ndarray, at: np.ndarray, a: np.ndarray, b: np.ndarray, level: int) -> np.ndarray:
+    """Whether sizes and places of the pairs allow a Jaccard of 0.8, if the key's last item is the level-th common one."""
+    most = np.minimum(n[a] - at[a], n[b] - at[b]) + level - 1
+    return 9 * most >= 4 * (n[a] + n[b])
 
 
 def hub_pairs(key: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -168,36 +162,43 @@ def cross_pairs(key: np.ndarray, n: np.ndarray, root: np.ndarray) -> tuple[np.nd
 
 
 def _pairs(level: int, crossing: bool):
-    """(key, tid, n_at[, root]) sorted by key and n_at -> pairs (a, b) of tids and how many keys they have to share; 0 where the count does not tell."""
+    """(key, tid, n_at[, root]) sorted by key and n_at -> pairs (a, b) of tids that sizes and places allow."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _runs(batches):
             key, tid, n_at, *root = (c.to_numpy() for c in rows.columns)
-            n, marked = n_at >> 32, n_at & MARK > 0
+            n, at = n_at >> 32, n_at & 0xFFFFFFFF
             a, b = cross_pairs(key, n, *root) if crossing else hub_pairs(key, n)
-            least = np.where(marked[a] & marked[b], 0, least_shared(n, a, b)) if level == 1 else np.zeros(len(a), np.int64)
+            ok = possible(n, at, a, b, level)
+            a, b = a[ok], b[ok]
             swap = (n[a] < n[b]) | ((n[a] == n[b]) & (tid[a] < tid[b]))  # b is the smaller set, as a hub is
             a, b = tid[np.where(swap, b, a)], tid[np.where(swap, a, b)]
             for lo in range(0, len(a), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 100_000]) for x in (a, b, least)], names=["a", "b", "least"])
+                yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 100_000]) for x in (a, b)], names=["a", "b"])
 
     return run
 
 
-def candidates(stage: Staging, keys: list[tuple[int, DataFrame]], roots: DataFrame | None) -> DataFrame:
+def candidates(stage: Staging, keys: list[tuple[int, DataFrame]], texts: DataFrame, roots: DataFrame | None) -> DataFrame:
     """Distinct pairs (a, b) to be compared: with hubs, or where ``roots`` (tid, smallest tid of its component) are given, across components.
 
-    Two texts meet in every key that they share, so how often is how many items they share; of hubs only some of these are seen,
-    which may lose pairs there and not across components.
+    One of two prefixes ends first in the order, and what is behind it counts once at most; so many items of
+    both prefixes have to be common, or the sets are not similar.
     """
     out = None
     for level, rows in keys:
         if roots is not None:
             rows = rows.join(roots.hint("merge"), "tid", "left").select("key", "tid", "n_at", F.coalesce("root", "tid").alias("root"))
         dealt = rows.repartition("key").sortWithinPartitions("key", "n_at", "tid")
-        found = dealt.mapInArrow(_pairs(level, roots is not None), "a long, b long, least long")
+        found = dealt.mapInArrow(_pairs(level, roots is not None), "a long, b long")
         out = found if out is None else out.unionByName(found)
-    return stage.keep(out.groupBy("a", "b").agg(F.count("*").alias("n"), F.min("least").alias("least")).where("n >= least").select("a", "b"), "pairs")
+    met = stage.keep(out.distinct(), "met")
+    behind = F.ceil(F.col("n_items") * 4 / 5) - 1
+    prefix = F.slice("prefix", 1, (F.col("n_items") - behind).cast("int"))
+    for side in ("a", "b"):
+        met = met.join(texts.select(F.col("tid").alias(side), F.col("n_items").alias(f"n_{side}"), behind.alias(f"behind_{side}"), prefix.alias(f"prefix_{side}")).hint("merge"), side)
+    least = F.ceil((F.col("n_a") + F.col("n_b")) * 4 / 9) - F.greatest("behind_a", "behind_b")
+    return stage.keep(met.where(F.size(F.array_intersect("prefix_a", "prefix_b")) >= least).select("a", "b"), "pairs")
 
 
 def _whole_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -258,10 +259,10 @@ def similar_links(stage: Staging, rows: DataFrame, prints: DataFrame, others: Da
         named = pairs.join(numbers.select(F.col("tid").alias("a"), F.col("fp").alias("fa")).hint("merge"), "a").join(numbers.select(F.col("tid").alias("b"), F.col("fp").alias("fb")).hint("merge"), "b")
         return named.select(F.col("fa").alias("a"), F.col("fb").alias("b"))
 
-    near = similar_of(stage, rows, texts, candidates(stage, keys, None))
+    near = similar_of(stage, rows, texts, candidates(stage, keys, texts, None))
     links = links.unionByName(between(near))
     roots = connected_components(stage, links)
     placed = stage.keep(numbers.join(roots.select(F.col("node").alias("fp"), "root").hint("merge"), "fp").select("tid", "root"), "placed")
     lows = stage.keep(placed.groupBy("root").agg(F.min("tid").alias("low")), "lows")
-    across = candidates(stage, keys, placed.join(lows.hint("merge"), "root").select("tid", F.col("low").alias("root")))
+    across = candidates(stage, keys, texts, placed.join(lows.hint("merge"), "root").select("tid", F.col("low").alias("root")))
     return links if across.isEmpty() else links.unionByName(between(similar_of(stage, rows, texts, across)))

@@ -78,16 +78,3 @@ def test_pairs_inside_keys():
             want.add((i, hubs[key[i]]))
     assert set(zip(a.tolist(), b.tolist(), strict=True)) == want
     assert [len(x) for x in similar.cross_pairs(key[:0], n[:0], root[:0])] == [0, 0] == [len(x) for x in similar.hub_pairs(key[:0], n[:0])]
-
-
-def test_least_shared_holds_for_similar_sets():
-    rng = np.random.default_rng(4)
-    for _ in range(3000):
-        size = int(rng.integers(2, 60))
-        items = rng.permutation(400)[: size + 20]
-        a, b = set(items[:size].tolist()), set(items[int(rng.integers(0, 4)) : size + int(rng.integers(0, 4))].tolist())
-        if 5 * len(a & b) < 4 * len(a | b):
-            continue
-        first = [set(sorted(x)[: similar.prefix_size(len(x))]) for x in (a, b)]
-        n = np.array([len(a), len(b)])
-        assert len(first[0] & first[1]) >= similar.least_shared(n, np.array([0]), np.array([1]))[0]
